@@ -16,6 +16,18 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files_of(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.toxicity import score_documents
+
+    return score_documents(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.quality import quality_report
+
+    return quality_report(documents(spark, sf_dir))
+
+
 def op9_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.pieces import encode_digests
 
@@ -23,8 +35,27 @@ def op9_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op9_piece_encoding)}
+    return {f.__name__: f for f in (op1_token_files, op4_toxicity, op8_quality, op9_piece_encoding)}
+
+
+#: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
+QUALITY_SQL = r"""
+WITH t AS (SELECT doc_id, coalesce(text, '') AS txt, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+win AS (SELECT doc_id, unnest(range(1, len(ws) - 3)) AS p, ws FROM t WHERE len(ws) >= 5),
+keyed AS (SELECT doc_id, p, list_aggregate(ws[p : p + 4], 'string_agg', chr(10)) AS k FROM win),
+twice AS (SELECT doc_id, unnest(list(p)) AS p FROM keyed GROUP BY doc_id, k HAVING count(*) > 1),
+covered AS (SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, p + unnest(range(0, 5)) AS q FROM twice) GROUP BY doc_id),
+lines AS (SELECT doc_id, unnest(string_split(txt, chr(10))) AS l FROM t),
+dup AS (SELECT doc_id, count(*) AS n_lines, count(*) - count(DISTINCT l) AS n FROM lines WHERE regexp_matches(l, '[^\x20\x09-\x0D]') GROUP BY doc_id),
+f AS (SELECT t.doc_id, len(ws)::BIGINT AS n_words, length(regexp_replace(txt, '[\x20\x09-\x0D]', '', 'g'))::BIGINT AS word_chars,
+  length(regexp_replace(txt, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, coalesce(dup.n, 0)::BIGINT AS n_dup_lines, coalesce(dup.n_lines, 0)::BIGINT AS n_lines, coalesce(covered.n, 0)::BIGINT AS n_repeat_words
+  FROM t LEFT JOIN dup ON dup.doc_id = t.doc_id LEFT JOIN covered ON covered.doc_id = t.doc_id)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+  n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
+  NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words OR 100 * word_chars < 200 * n_words OR 100 * word_chars > 2000 * n_words OR 100 * n_symbols > 40 * n_words OR 100 * n_dup_lines > 50 * n_lines) AS kept
+FROM f
+"""
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_quality": QUALITY_SQL}
