@@ -22,6 +22,12 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_documents(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op6_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.private import find_private
+
+    return find_private(documents(spark, sf_dir))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.quality import quality_report
 
@@ -35,7 +41,7 @@ def op9_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op4_toxicity, op8_quality, op9_piece_encoding)}
+    return {f.__name__: f for f in (op1_token_files, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding)}
 
 
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
