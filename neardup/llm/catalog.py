@@ -16,6 +16,12 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files_of(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op3_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.substrings import removal_digests
+
+    return removal_digests(documents(spark, sf_dir))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.toxicity import score_documents
 
@@ -41,7 +47,7 @@ def op9_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding)}
+    return {f.__name__: f for f in (op1_token_files, op3_repeated_strings, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding)}
 
 
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
