@@ -16,6 +16,12 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files_of(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op2_shingle_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.shingle_join import shingle_components
+
+    return shingle_components(documents(spark, sf_dir))
+
+
 def op3_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.substrings import removal_digests
 
@@ -46,8 +52,14 @@ def op9_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_digests(documents(spark, sf_dir), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.decontaminate import contaminated
+
+    return contaminated(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op3_repeated_strings, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding)}
+    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding, op10_decontamination)}
 
 
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
