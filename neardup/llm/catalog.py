@@ -34,6 +34,12 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_documents(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.lines import line_dedup_report
+
+    return line_dedup_report(documents(spark, sf_dir))
+
+
 def op6_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.private import find_private
 
@@ -59,7 +65,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op6_private_data, op8_quality, op9_piece_encoding, op10_decontamination)}
+    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op8_quality, op9_piece_encoding, op10_decontamination)}
 
 
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
@@ -81,5 +87,19 @@ FROM f
 """
 
 
+#: Runs of lines.RUN_LINES = 2 lines and lines.WORDS = 10 words; every copy but the first is deleted.
+LINES_SQL = r"""
+WITH l AS (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS no FROM documents),
+s AS (SELECT doc_id, no, line, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS w FROM l),
+q AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY no) AS pos, lead(line) OVER (PARTITION BY doc_id ORDER BY no) AS follower FROM s WHERE w > 0),
+r AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY line, follower ORDER BY doc_id, pos) AS nth FROM q WHERE follower IS NOT NULL),
+g AS (SELECT DISTINCT doc_id, pos + unnest(range(0, 2)) AS pos FROM r WHERE nth > 1),
+c AS (SELECT q.doc_id, q.no, q.pos, q.w, q.pos - row_number() OVER (PARTITION BY q.doc_id ORDER BY q.pos) AS island FROM q JOIN g ON g.doc_id = q.doc_id AND g.pos = q.pos),
+x AS (SELECT doc_id, no FROM (SELECT *, sum(w) OVER (PARTITION BY doc_id, island) AS total FROM c) WHERE total >= 10),
+k AS (SELECT l.doc_id, string_agg(l.line, chr(10) ORDER BY l.no) FILTER (WHERE x.no IS NULL) AS kept, count(x.no) AS gone FROM l LEFT JOIN x ON x.doc_id = l.doc_id AND x.no = l.no GROUP BY l.doc_id)
+SELECT doc_id, gone AS n_lines_removed, length(coalesce(kept, '')) AS kept_chars, md5(coalesce(kept, '')) AS kept_md5 FROM k
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op8_quality": QUALITY_SQL}
+    return {"op5_line_dedup": LINES_SQL, "op8_quality": QUALITY_SQL}
