@@ -46,6 +46,13 @@ def op6_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_private(documents(spark, sf_dir))
 
 
+def op7_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.shards import sharded_digests
+    from neardup.session import scratch_path
+
+    return sharded_digests(documents(spark, sf_dir), scratch_path(spark, "shards"))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.quality import quality_report
 
@@ -64,8 +71,14 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op8_quality, op9_piece_encoding, op10_decontamination)}
+    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
 
 
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
@@ -102,4 +115,8 @@ SELECT doc_id, gone AS n_lines_removed, length(coalesce(kept, '')) AS kept_chars
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_line_dedup": LINES_SQL, "op8_quality": QUALITY_SQL}
+    return {
+        "op5_line_dedup": LINES_SQL,
+        "op7_sharding": "SELECT doc_id, strlen(text)::BIGINT AS n_bytes, md5(text) AS text_md5 FROM documents",
+        "op8_quality": QUALITY_SQL,
+    }
