@@ -22,6 +22,7 @@ import os
 import re
 import zlib
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -35,12 +36,14 @@ SAMPLE = 512
 SAMPLE_TOKENS = 16_384
 DICTIONARY_BYTES = 65_536
 BLOCK_TOKENS = 1 << 18
-RANGE_CHARS = 4 << 20
+RANGE_ROWS = 2_048
 MOST_RANGES = 100_000
 KEEP = 64
-TABLE_ENTRIES = 400_000
+TABLE_ENTRIES = 1_000_000
 #: A space that doesn't begin a part: white space or the end follows it.
 _JOINED = re.compile(r" (?=\s|\Z)")
+#: White space other than the space and the line feed.
+_ODD = re.compile(r"[^\S \n]")
 _TABLES: dict[str, PartTable] = {}
 
 
@@ -52,25 +55,112 @@ class PartTable:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.entries, self.heads, self.tails = entries, {}, {}
-
-    def add(self, key: str, text: str, table: dict[str, bytes]) -> bytes:
-        found = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32).tobytes()
-        if len(key) <= KEEP:
-            if len(self.heads) + len(self.tails) >= self.entries:
-                self.heads.clear()
-                self.tails.clear()
-            table[key] = found
-        return found
+        feed = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        if len(feed) != 1:
+            raise ValueError("a line feed must be a token of its own")
+        self.feed, self.feed_bytes = feed[0], np.uint32(feed[0]).tobytes()
+        self.stops, self.long = {}, {}
+
+    def _whole(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32).tobytes()
+
+    def _learn(self, words: list[str], table: dict[str, bytes], lead: str) -> None:
+        """Encodes many words at once, joined by line feeds, which the pattern keeps apart from them."""
+        for at in range(0, len(words), 4096):
+            some = words[at : at + 4096]
+            ids = np.array(self.tokenizer.encode_batch_fast([lead + f"\n{lead}".join(some)], add_special_tokens=False)[0].ids, np.uint32)
+            cuts = np.flatnonzero(ids == self.feed)
+            if len(cuts) != len(some) - 1:
+                table.update((w, self._whole(lead + w)) for w in some)
+                continue
+            raw, begin = ids.tobytes(), 0
+            for w, end in zip(some, [*(4 * cuts).tolist(), 4 * len(ids)], strict=True):
+                table[w] = raw[begin:end]
+                begin = end + 4
+
+    def learn(self, parts: set[str], heads: set[str]) -> None:
+        """Puts parts that follow a space, and heads that don't, into the tables; odd ones are encoded alone."""
+        plain, lines = [], []
+        for p in parts:
+            (lines if "\n" in p else plain).append(p)
+        joined = " ".join([*plain, *lines, *heads])
+        if "<|" in joined or _ODD.search(joined) or max(map(len, joined.split(" "))) > KEEP:
+            odd = {p for p in [*plain, *lines, *heads] if "<|" in p or len(p) > KEEP or _ODD.search(p)}
+            self.long = {p: (self._whole(" " + p), self._whole(p)) for p in odd}
+            plain, lines, heads = [p for p in plain if p not in odd], [p for p in lines if p not in odd], heads - odd
+        split = [(p, p.split("\n"), self.tails) for p in lines] + [(h, h.split("\n"), self.heads) for h in heads]
+        for p, x, _ in split:
+            if "" in x or " " in p:
+                self.long[p] = self._whole(" " + p), self._whole(p)
+        split = [x for x in split if x[0] not in self.long]
+        firsts = [x[0] for _, x, table in split if table is self.tails]
+        rest = [w for _, x, table in split for w in (x[1:] if table is self.tails else x)]
+        self._words(plain + firsts, self.tails, " ")
+        self._words(rest, self.heads, "")
+        for p, x, table in split:
+            if len(x) > 1:
+                table[p] = self.feed_bytes.join([table[x[0]], *[self.heads[w] for w in x[1:]]])
+
+    def _words(self, parts: list[str], table: dict[str, bytes], lead: str) -> None:
+        """Encodes parts without white space: the stops and commas behind a letter are always tokens of their own."""
+        words = [p.rstrip(".,") for p in parts]
+        words = [w if w and (w[-1].isalpha() or w[-1].isdecimal()) else p for p, w in zip(parts, words, strict=True)]
+        self._learn([w for w in set(words) if w not in table], table, lead)
+        for p, w in zip(parts, words, strict=True):
+            if len(p) != len(w):
+                table[p] = table[w] + self._stops(p[len(w) :])
+
+    def _stops(self, text: str) -> bytes:
+        if text not in self.stops:
+            self.stops[text] = self._whole(text) if text else b""
+        return self.stops[text]
+
+    def encode_all(self, texts: list[str | None]) -> list[bytes]:
+        """The ids of each text."""
+        if len(self.heads) + len(self.tails) >= self.entries:
+            # What came first is what comes often.
+            self.tails = dict(islice(self.tails.items(), self.entries // 3))
+            self.heads = dict(islice(self.heads.items(), self.entries // 9))
+        out, open_, parts, heads = [b""] * len(texts), [], set(), set()
+        for k, t in enumerate(texts):
+            if not t:
+                continue
+            head, *rest = self.parts(t)
+            first, found = self.heads.get(head) if head else b"", list(map(self.tails.get, rest))
+            gaps = []
+            if None in found:
+                at = found.index(None)
+                while at >= 0:
+                    gaps.append(at)
+                    parts.add(rest[at])
+                    try:
+                        at = found.index(None, at + 1)
+                    except ValueError:
+                        at = -1
+            if first is None:
+                heads.add(head)
+            elif not gaps:
+                out[k] = first + b"".join(found)
+                continue
+            open_.append((k, head, first, found, gaps, [rest[i] for i in gaps]))
+        if open_:
+            self.long = {}
+            self.learn(parts, heads)
+        for k, head, first, found, gaps, missing in open_:
+            for i, p in zip(gaps, missing, strict=True):
+                found[i] = self.tails.get(p) or self.long[p][0]
+            if first is None:
+                first = self.heads.get(head) or self.long[head][1]
+            out[k] = first + b"".join(found)
+        return out
 
     def encode(self, text: str | None) -> bytes:
-        if not text:
-            return b""
+        return self.encode_all([text])[0]
+
+    def parts(self, text: str) -> list[str]:
+        """The text cut before each space that a non-space follows."""
         parts = text.split(" ")
-        if _JOINED.search(text):
-            parts = self._joined(parts)
-        head, get = parts[0], self.tails.get
-        first = (self.heads.get(head) or self.add(head, head, self.heads)) if head else b""
-        return first + b"".join([get(p) or self.add(p, " " + p, self.tails) for p in parts[1:]])
+        return self._joined(parts) if _JOINED.search(text) else parts
 
     @staticmethod
     def _joined(parts: list[str]) -> list[str]:
@@ -93,7 +183,8 @@ def part_table(path: str) -> PartTable:
 
 def train_dictionary(docs: DataFrame, tokenizer_path: str, end_id: int, width: int) -> bytes:
     """A dictionary from at most SAMPLE documents of at most SAMPLE_TOKENS ids each; empty if they are too few."""
-    rows = docs.select("doc_id", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE).collect()
+    ids = [r.doc_id for r in docs.where("doc_id IS NOT NULL").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE).collect()]
+    rows = docs.where(F.col("doc_id").isin(ids)).orderBy("doc_id", "text").limit(SAMPLE).select("text").collect() if ids else []
     table, kind = part_table(tokenizer_path), np.uint16 if width == 2 else np.uint32
     samples = [np.append(np.frombuffer(table.encode(r.text), np.uint32), end_id)[:SAMPLE_TOKENS].astype(kind).tobytes() for r in rows]
     if len(samples) < 16 or sum(map(len, samples)) < 8 * DICTIONARY_BYTES // 16:
@@ -118,14 +209,13 @@ def range_bounds(docs: DataFrame, n_ranges: int) -> list[int]:
     return sorted(set(found or []))
 
 
-def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, range_chars: int = RANGE_CHARS) -> bytes:
+def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, range_rows: int = RANGE_ROWS) -> bytes:
     """Writes the block files and the dictionary; gives the dictionary."""
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
-    size = docs.agg(F.sum(F.length("text")).alias("c")).first().c or 0
     dictionary = train_dictionary(docs, tokenizer_path, end_id, width)
     spark.createDataFrame([(bytearray(dictionary), dictionary_hash(dictionary), width, end_id)], "dictionary binary, dict_hash string, width int, end_id bigint").coalesce(1).write.parquet(f"{path}/dictionary")
-    bounds = range_bounds(docs, min(MOST_RANGES, -(-size // range_chars)))
+    bounds = range_bounds(docs, min(MOST_RANGES, -(-docs.count() // range_rows)))
     kind, label = np.uint16 if width == 2 else np.uint32, dictionary_hash(dictionary)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -134,8 +224,8 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 part, frames, counts = b.slice(at, 512), [], []
-                for t in part.column(1):
-                    ids = np.frombuffer(table.encode(t.as_py()) + end, np.uint32)
+                for own in table.encode_all(part.column(1).to_pylist()):
+                    ids = np.frombuffer(own + end, np.uint32)
                     if width == 2 and len(ids) and int(ids.max()) > 0xFFFF:
                         raise ValueError("an id needs 32 bits")
                     frames.append(packer.compress(ids.astype(kind).tobytes()))
