@@ -55,7 +55,7 @@ def _longer(rows: DataFrame, shift: int) -> DataFrame:
 
 def repeated_lines(sequences: DataFrame, run_lines: int = RUN_LINES, words: int = WORDS) -> DataFrame:
     """Rows (d, t, at) of lines that lie in a later copy of a run."""
-    rows = _repeated(sequences.select("d", "t", "at", "name", "check", "words").dropDuplicates(["d", "t", "at"]))
+    rows = _repeated(sequences.select("d", "t", "at", "name", "check", "words"))
     length = 1
     while 2 * length <= run_lines:
         rows = materialize(_repeated(_longer(rows, length).withColumn("words", F.col("words") + F.col("words2")).drop("words2")), "runs")
@@ -74,14 +74,15 @@ def line_dedup(docs: DataFrame, run_lines: int = RUN_LINES, words: int = WORDS)
 
     A maximal run of deleted lines that has fewer than the given number of words stays.
     """
-    sequences = line_sequences(docs.select("doc_id", "text"))
+    sequences = materialize(line_sequences(docs.select("doc_id", "text")).dropDuplicates(["d", "t", "at"]), "lines")
     gone = repeated_lines(sequences, run_lines, words).withColumn("gone", F.lit(True))
-    marked = sequences.dropDuplicates(["d", "t", "at"]).join(gone, ["d", "t", "at"])
+    marked = sequences.join(gone, ["d", "t", "at"])
     # One row for each document: its deleted lines in order, with their words; a document's own lines only.
     per_doc = marked.groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("at", "line", "words"))).alias("cut"))
     per_doc = materialize(per_doc.select("d", "t", _long_enough(F.col("cut"), words).alias("cut")).where(F.size("cut") > 0), "cuts")
     keyed = _keyed(docs).withColumn("_d", F.coalesce("doc_id", F.lit(-(1 << 62))))
-    joined = keyed.join(per_doc, (F.col("_d") == F.col("d")) & (F.col("_t") == F.col("t")), "left")
+    # The cuts grow with the documents: no broadcast.
+    joined = keyed.join(per_doc.hint("merge"), (F.col("_d") == F.col("d")) & (F.col("_t") == F.col("t")), "left")
     lines = F.split("text", "\n", -1)
     # The cuts are in order; array_except on line numbers keeps the others.
     keep = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("cut"))
