@@ -13,7 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from neardup.session import ship_package
 
-SLICE_BYTES = 1 << 21
+#: Texts are worked on in slices of this size: their arrays fit a core's cache, and workers stay small.
+SLICE_BYTES = 1 << 19
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -46,6 +47,22 @@ def slices(offs: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, in
         i = min(j, n)
 
 
+def tidy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches; after each one memory that isn't needed any more goes back to the system."""
+    for b in batches:
+        yield b
+        pa.default_memory_pool().release_unused()
+        _trim()
+
+
+def _trim() -> None:
+    import ctypes
+
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def _mix_scalar(x: int) -> int:
     x = (x ^ (x >> 30)) * 0xBF58476D1CE4E5B9 & 0xFFFFFFFFFFFFFFFF
     x = (x ^ (x >> 27)) * 0x94D049BB133111EB & 0xFFFFFFFFFFFFFFFF
@@ -75,7 +92,7 @@ class _Powers:
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """BASE ** i and BASE ** -i modulo 2 ** 64 for i below n; at most 4 M of them stay in memory."""
+    """BASE ** i and BASE ** -i modulo 2 ** 64 for i below n; at most a million of them stay in memory."""
     if len(_Powers.up) >= n:
         return _Powers.up, _Powers.down
     pair = []
@@ -83,7 +100,7 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
         steps = np.full(n, np.uint64(b))
         steps[0] = 1
         pair.append(np.multiply.accumulate(steps))
-    if n <= 4 << 20:
+    if n <= 1 << 20:
         _Powers.up, _Powers.down = pair
     return pair[0], pair[1]
 

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neardup.llm.common import LOWER, SLICE_BYTES, mix, shingle_rows, slices, texts_of
+from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 from neardup.operators.graph import components
 from neardup.session import materialize
 
@@ -222,7 +222,7 @@ def _survey(texts: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["doc_id", "t", "n", "s1", "s2", "part", "counts"]
         counts = np.zeros(1 << SKETCH_BITS, np.int64)
-        for b in batches:
+        for b in tidy(batches):
             buf, offs = texts_of(b.column(2))
             for i, j in slices(offs):
                 n, s1, s2 = [], [], []
@@ -246,7 +246,7 @@ def _levels(survey: DataFrame) -> np.ndarray:
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
-        for b in batches:
+        for b in tidy(batches):
             for p, c in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 own = np.frombuffer(c, np.uint32).astype(np.int64)
                 total[p] = total[p] + own if p in total else own
@@ -269,9 +269,9 @@ def _signatures(texts: DataFrame, levels: np.ndarray) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         level = np.frombuffer(raw, np.uint8)
-        for b in batches:
+        for b in tidy(batches):
             buf, offs = texts_of(b.column(0))
-            for i, j in slices(offs, SLICE_BYTES // 2):
+            for i, j in slices(offs):
                 n, s1, s2, prefix, bits = [], [], [], [], []
                 for s in distinct_sets(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i]):
                     if not len(s):
@@ -316,7 +316,7 @@ def _blocks(tokens: DataFrame) -> DataFrame:
             rows.clear()
             return out
 
-        for b in batches:
+        for b in tidy(batches):
             t, c = b.column(0).to_numpy(), b.column(1).to_numpy()
             cuts = np.concatenate(([0], np.flatnonzero(t[1:] != t[:-1]) + 1, [len(t)]))
             sizes = np.diff(cuts)
@@ -373,7 +373,7 @@ def _search(tasks: DataFrame, classes: DataFrame, comps: DataFrame | None, last:
     whole = flat.groupBy("bid", "p", "q").agg(F.collect_list(F.struct("cid", "comp", "n", "bits")).alias("m"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in tidy(batches):
             out_a, out_b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for k in range(b.num_rows):
                 m = b.column(0)[k].values
@@ -393,9 +393,9 @@ def _sets(ids: DataFrame, classes: DataFrame, texts: DataFrame) -> DataFrame:
     found = texts.join(wanted, ["doc_id", "t"]).select("cid", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in tidy(batches):
             buf, offs = texts_of(b.column(1))
-            for i, j in slices(offs, SLICE_BYTES // 2):
+            for i, j in slices(offs):
                 sets = [s.view(np.int64) for s in distinct_sets(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i])]
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.array(sets, pa.list_(pa.int64()))], ["cid", "s"])
 
@@ -409,7 +409,7 @@ def _verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame) -> DataFra
     a, b = sets.select(F.col("cid").alias("a"), F.col("s").alias("x")), sets.select(F.col("cid").alias("b"), F.col("s").alias("y"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for p in batches:
+        for p in tidy(batches):
             keep = np.zeros(p.num_rows, bool)
             for k in range(p.num_rows):
                 x, y = p.column(2)[k].values.to_numpy(), p.column(3)[k].values.to_numpy()

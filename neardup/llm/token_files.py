@@ -39,7 +39,7 @@ BLOCK_TOKENS = 1 << 18
 RANGE_ROWS = 2_048
 MOST_RANGES = 100_000
 KEEP = 64
-TABLE_ENTRIES = 1_000_000
+TABLE_ENTRIES = 1_500_000
 #: A space that doesn't begin a part: white space or the end follows it.
 _JOINED = re.compile(r" (?=\s|\Z)")
 #: White space other than the space and the line feed.
@@ -220,14 +220,14 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, given = part_table(tokenizer_path), zstandard.ZstdCompressionDict(dictionary) if dictionary else None
-        packer, end = zstandard.ZstdCompressor(level=3, dict_data=given), np.uint32(end_id).tobytes()
+        if width == 2 and max(table.tokenizer.get_vocab_size() - 1, end_id) > 0xFFFF:
+            raise ValueError("ids need 32 bits")
+        packer, end = zstandard.ZstdCompressor(level=1, dict_data=given), np.uint32(end_id).tobytes()
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 part, frames, counts = b.slice(at, 512), [], []
                 for own in table.encode_all(part.column(1).to_pylist()):
                     ids = np.frombuffer(own + end, np.uint32)
-                    if width == 2 and len(ids) and int(ids.max()) > 0xFFFF:
-                        raise ValueError("an id needs 32 bits")
                     frames.append(packer.compress(ids.astype(kind).tobytes()))
                     counts.append(len(ids))
                 keys = part.column(0).fill_null(bounds[0] if bounds else 0).to_numpy(zero_copy_only=False)
