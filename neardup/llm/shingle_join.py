@@ -82,9 +82,11 @@ def needed(n, m):
 class Block:
     """Members of a block: id, component, size and bitmap, in order of size."""
 
-    def __init__(self, ids: list[int], comps: list[int], sizes: list[int], maps: list[bytes]):
+    def __init__(self, ids: list[int], comps: list[int], sizes: list[int], maps: list[bytes], sides: list[int] | None = None, lists: list[list[int]] | None = None):
         order = np.lexsort((ids, sizes))
         self.ids, self.comps, self.n = (np.array(x, np.int64)[order] for x in (ids, comps, sizes))
+        self.sides = np.array(sides, np.int64)[order] if sides is not None else None
+        self.lists = [set(lists[i]) for i in order.tolist()] if lists is not None else None
         self.maps = [maps[i] for i in order.tolist()]
         self.folded: dict[int, np.ndarray] = {}
         self.widths = np.array([len(m) for m in self.maps])
@@ -114,16 +116,27 @@ class Block:
         ok = room >= 0
         return i[ok], j[ok], room[ok]
 
+    def own(self, bid: int, across: bool) -> tuple[np.ndarray, np.ndarray]:
+        """Allowed pairs that belong to this block: it is the lowest that both are in, and, if across, they are of two sides."""
+        out_i, out_j = [], []
+        for i, j in SignatureTree(self).leaf_pairs():
+            if across:
+                ok = self.sides[i] != self.sides[j]
+                i, j = i[ok], j[ok]
+            i, j, _ = self.allowed(i, j)
+            for x, y in zip(i.tolist(), j.tolist(), strict=True):
+                if min(self.lists[x] & self.lists[y]) == bid:
+                    out_i.append(x)
+                    out_j.append(y)
+        return self.ids[np.array(out_i, np.int64)], self.ids[np.array(out_j, np.int64)]
+
     def all_pairs(self) -> tuple[np.ndarray, np.ndarray]:
         i, j = np.triu_indices(len(self.ids), 1)
         i, j, _ = self.allowed(i, j)
         return self.ids[i], self.ids[j]
 
-    def tree_pairs(self, spanning: bool) -> tuple[np.ndarray, np.ndarray]:
-        """Allowed pairs found by dual traversal of the signature tree with itself.
-
-        With spanning, pairs whose members earlier pairs already join are left out.
-        """
+    def spanning_pairs(self) -> tuple[np.ndarray, np.ndarray]:
+        """Allowed pairs found by dual traversal of the signature tree with itself, but for those that earlier ones already join."""
         tree = SignatureTree(self)
         root = {int(c): int(c) for c in np.unique(self.comps)}
 
@@ -136,18 +149,13 @@ class Block:
         out_i, out_j = [], []
         for i, j in tree.leaf_pairs():
             i, j, room = self.allowed(i, j)
-            if not spanning:
-                out_i.append(i)
-                out_j.append(j)
-                continue
             for k in np.argsort(-room, kind="stable").tolist():
                 a, b = find(int(self.comps[i[k]])), find(int(self.comps[j[k]]))
                 if a != b:
                     root[max(a, b)] = min(a, b)
-                    out_i.append(i[k : k + 1])
-                    out_j.append(j[k : k + 1])
-        none = np.zeros(0, np.int64)
-        return self.ids[np.concatenate([none, *out_i])], self.ids[np.concatenate([none, *out_j])]
+                    out_i.append(int(i[k]))
+                    out_j.append(int(j[k]))
+        return self.ids[np.array(out_i, np.int64)], self.ids[np.array(out_j, np.int64)]
 
 
 class SignatureTree:
@@ -340,51 +348,61 @@ def _blocks(tokens: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "bid bigint, chunk int, members array<bigint>").dropDuplicates(["bid", "chunk"])
 
 
-def _tasks(blocks: DataFrame, comps: DataFrame | None, last: bool) -> DataFrame:
-    """Rows (bid, p, q, members) to search: a block, or two chunks of it.
+def _first_tasks(blocks: DataFrame) -> DataFrame:
+    """Rows (bid, p, q, cid): the members of a block, or of its first chunk and another one."""
+    top = blocks.groupBy("bid").agg(F.max("chunk").alias("top"))
+    parts = blocks.join(top, "bid")
+    single = parts.where("top = 0").select("bid", F.lit(0).alias("p"), F.lit(0).alias("q"), F.explode("members").alias("cid"))
+    many = parts.where("top > 0")
+    other = many.where("chunk > 0").select("bid", F.lit(0).alias("p"), F.col("chunk").alias("q"), F.explode("members").alias("cid"))
+    first = many.where("chunk = 0").select("bid", F.lit(0).alias("p"), F.explode(F.sequence(F.lit(1), "top")).alias("q"), "members")
+    return single.unionByName(other).unionByName(first.select("bid", "p", "q", F.explode("members").alias("cid")))
+
 
-    The first time each chunk meets the first one; the last time all chunks meet that aren't of one same component.
+def _last_tasks(blocks: DataFrame, comps: DataFrame) -> DataFrame:
+    """Rows (bid, p, q, side, cid, comp, bids): each chunk with itself and with each other one, where more than one component is left.
+
+    bids lists the large open blocks of a class, so that a pair is looked at in the lowest common one alone.
     """
-    chunks = blocks.groupBy("bid").agg(F.max("chunk").alias("top"))
-    parts = blocks.join(chunks, "bid")
-    single = parts.where("top = 0").select("bid", F.lit(0).alias("p"), F.lit(0).alias("q"), "members")
-    many = parts.where("top > 0")
-    if not last:
-        other = many.where("chunk > 0").select("bid", F.lit(0).alias("p"), F.col("chunk").alias("q"))
-        own = many.select("bid", "chunk", "members")
-        first = own.where("chunk = 0").select("bid", F.col("members").alias("m0"))
-        return single.unionByName(other.join(own, (other.bid == own.bid) & (other.q == own.chunk)).select(other.bid, "p", "q", "members").join(first, "bid").select("bid", "p", "q", F.concat("members", "m0").alias("members")))
-    flat = many.select("bid", "chunk", F.explode("members").alias("cid")).join(comps, "cid")
-    ends = flat.groupBy("bid", "chunk").agg(F.min("comp").alias("a"), F.max("comp").alias("b"))
-    left, right = ends.select("bid", F.col("chunk").alias("p"), F.col("a").alias("a1"), F.col("b").alias("b1")), ends.select("bid", F.col("chunk").alias("q"), F.col("a").alias("a2"), F.col("b").alias("b2"))
-    pairs = left.join(right, "bid").where("p <= q AND NOT (a1 = b1 AND a2 = b2 AND a1 = a2)").select("bid", "p", "q")
-    m1, m2 = many.select("bid", F.col("chunk").alias("p"), F.col("members").alias("x")), many.select("bid", F.col("chunk").alias("q"), F.col("members").alias("y"))
-    return single.unionByName(pairs.join(m1, ["bid", "p"]).join(m2, ["bid", "q"]).select("bid", "p", "q", F.array_union("x", "y").alias("members")))
-
-
-def _search(tasks: DataFrame, classes: DataFrame, comps: DataFrame | None, last: bool) -> DataFrame:
-    """Candidate pairs (a, b) of classes in different components."""
-    flat = tasks.select("bid", "p", "q", F.explode("members").alias("cid"))
+    large = blocks.join(blocks.where((F.size("members") > SMALL) | (F.col("chunk") > 0)).select("bid").distinct(), "bid", "left_semi")
+    flat = large.select("bid", "chunk", F.explode("members").alias("cid")).join(comps, "cid")
+    open_ = flat.groupBy("bid").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("bid")
+    flat = materialize(flat.join(open_, "bid", "left_semi"), "open-blocks")
+    lists = flat.groupBy("cid").agg(F.collect_set("bid").alias("bids"))
+    ends = flat.groupBy("bid", "chunk").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    x, y = ends.select("bid", F.col("chunk").alias("p"), F.col("lo").alias("lo1"), F.col("hi").alias("hi1")), ends.select("bid", F.col("chunk").alias("q"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
+    pairs = materialize(x.join(y, "bid").where("p <= q AND least(lo1, lo2) < greatest(hi1, hi2)").select("bid", "p", "q"), "chunk-pairs")
+    rows = flat.join(lists, "cid")
+    left = rows.withColumnRenamed("chunk", "p").join(pairs, ["bid", "p"]).select("bid", "p", "q", F.lit(0).alias("side"), "cid", "comp", "bids")
+    right = rows.withColumnRenamed("chunk", "q").join(pairs.where("p < q"), ["bid", "q"]).select("bid", "p", "q", F.lit(1).alias("side"), "cid", "comp", "bids")
+    return left.unionByName(right)
+
+
+def _search(tasks: DataFrame, classes: DataFrame, last: bool) -> DataFrame:
+    """Candidate pairs (a, b) of classes: a spanning set of each block's, or the last time all pairs across components."""
     known = classes.select("cid", "n", "bits")
-    flat = flat.join(known, "cid").withColumn("comp", F.col("cid")) if comps is None else flat.join(comps, "cid").join(known, "cid")
-    if last:
-        open_ = flat.groupBy("bid", "p", "q").agg((F.min("comp") < F.max("comp")).alias("open"), F.count("*").alias("m")).where(F.col("open") & (F.col("m") > SMALL)).select("bid", "p", "q")
-        flat = flat.join(open_, ["bid", "p", "q"])
-    whole = flat.groupBy("bid", "p", "q").agg(F.collect_list(F.struct("cid", "comp", "n", "bits")).alias("m"))
+    flat = tasks.join(known, "cid")
+    if not last:
+        flat = flat.select("*", F.col("cid").alias("comp"), F.lit(0).alias("side"), F.array().cast("array<bigint>").alias("bids"))
+    whole = flat.groupBy("bid", "p", "q").agg(F.collect_list(F.struct("cid", "comp", "n", "bits", "side", "bids")).alias("m"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in tidy(batches):
             out_a, out_b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for k in range(b.num_rows):
-                m = b.column(0)[k].values
-                block = Block(*(m.field(i).to_pylist() for i in range(4)))
-                i, j = block.all_pairs() if len(block.ids) <= SMALL else block.tree_pairs(spanning=not last)
+                m = b.column(3)[k].values
+                fields = [m.field(i).to_pylist() for i in range(6 if last else 4)]
+                block = Block(*fields)
+                if last:
+                    i, j = block.own(b.column(0)[k].as_py(), b.column(1)[k].as_py() != b.column(2)[k].as_py())
+                else:
+                    i, j = block.all_pairs() if len(block.ids) <= SMALL else block.spanning_pairs()
                 out_a.append(np.minimum(i, j))
                 out_b.append(np.maximum(i, j))
             pair = np.unique(np.column_stack((np.concatenate(out_a), np.concatenate(out_b))), axis=0)
             yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], ["a", "b"])
 
-    return whole.select("m").mapInArrow(run, "a bigint, b bigint").distinct()
+    return whole.select("bid", "p", "q", "m").mapInArrow(run, "a bigint, b bigint").distinct()
 
 
 def _sets(ids: DataFrame, classes: DataFrame, texts: DataFrame) -> DataFrame:
@@ -431,11 +449,10 @@ def shingle_components(docs: DataFrame) -> DataFrame:
     classes = materialize(unique.join(sets_of, ["n", "s1", "s2"]).withColumn("cid", F.monotonically_increasing_id()), "classes")
     tokens = classes.select(F.explode("prefix").alias("token"), "cid")
     blocks = materialize(_blocks(tokens), "blocks")
-    pairs = materialize(_search(_tasks(blocks, None, False), classes, None, False), "pairs")
+    pairs = materialize(_search(_first_tasks(blocks), classes, False), "pairs")
     links = materialize(_verified(pairs, classes, texts), "links")
     comps = _with_components(classes, links)
-    large = blocks.where(F.size("members") > SMALL).select("bid").distinct()
-    more = materialize(_search(_tasks(blocks.join(large, "bid", "left_semi"), comps, True), classes, comps, True).join(pairs, ["a", "b"], "left_anti"), "pairs")
+    more = materialize(_search(_last_tasks(blocks, comps), classes, True).join(pairs, ["a", "b"], "left_anti"), "pairs")
     if not more.isEmpty():
         links = materialize(links.unionByName(_verified(more, classes, texts)), "links")
         comps = _with_components(classes, links)
