@@ -1 +1 @@
-
+"""Plans of whole runs and their rewrites."""
