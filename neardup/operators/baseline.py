@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from neardup.config import DedupConfig
 from neardup.functions.text import grams_of
-from neardup.io import documents
+from neardup.io import spread_documents as documents
 from neardup.operators import candidates, store, verify
 from neardup.operators.banding import bands
 from neardup.plans.pipeline import stored_bands

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from neardup.config import DedupConfig
 from neardup.functions import hashing, sets, text
-from neardup.io import documents, table
+from neardup.io import table
+from neardup.io import spread_documents as documents
 from neardup.operators import banding, baseline, candidates, clean, cluster, community, costmodel, exact, metrics, signature, store, synth, tuning, verify
 from neardup.plans import pipeline, rules
 from neardup.session import materialize, scratch_path
@@ -98,11 +99,11 @@ def jaccard_distance(spark, d):
 
 
 def exact_clusters_text(spark, d):
-    return exact.exact_clusters(documents(spark, d), "text")
+    return exact.exact_clusters(table(spark, d, "documents"), "text")
 
 
 def exact_clusters_grams(spark, d):
-    return exact.exact_clusters(documents(spark, d), "grams")
+    return exact.exact_clusters(table(spark, d, "documents"), "grams")
 
 
 # --- signatures, bands, candidates ---------------------------------------------------------------------
@@ -413,11 +414,11 @@ def modularity_exact(spark, d):
 
 
 def size_histogram(spark, d):
-    return metrics.size_histogram(exact.exact_groups(documents(spark, d)).select("doc_id", F.col("rep").alias("cluster_id")))
+    return metrics.size_histogram(exact.exact_groups(table(spark, d, "documents")).select("doc_id", F.col("rep").alias("cluster_id")))
 
 
 def _exact_clusters(spark, d):
-    return exact.exact_groups(documents(spark, d)).select("doc_id", F.col("rep").alias("cluster_id"))
+    return exact.exact_groups(table(spark, d, "documents")).select("doc_id", F.col("rep").alias("cluster_id"))
 
 
 def cross_edges(spark, d):
