@@ -79,15 +79,15 @@ def line_dedup(docs: DataFrame, run_lines: int = RUN_LINES, words: int = WORDS)
     marked = sequences.join(gone, ["d", "t", "at"])
     # One row for each document: its deleted lines in order, with their words; a document's own lines only.
     per_doc = marked.groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("at", "line", "words"))).alias("cut"))
-    per_doc = materialize(per_doc.select("d", "t", _long_enough(F.col("cut"), words).alias("cut")).where(F.size("cut") > 0), "cuts")
+    per_doc = materialize(per_doc.select(F.col("d").alias("_cut_d"), F.col("t").alias("_cut_t"), _long_enough(F.col("cut"), words).alias("_cut")).where(F.size("_cut") > 0), "cuts")
     keyed = _keyed(docs).withColumn("_d", F.coalesce("doc_id", F.lit(-(1 << 62))))
     # The cuts grow with the documents: no broadcast.
-    joined = keyed.join(per_doc.hint("merge"), (F.col("_d") == F.col("d")) & (F.col("_t") == F.col("t")), "left")
+    joined = keyed.join(per_doc.hint("merge"), (F.col("_d") == F.col("_cut_d")) & (F.col("_t") == F.col("_cut_t")), "left")
     lines = F.split("text", "\n", -1)
     # The cuts are in order; array_except on line numbers keeps the others.
-    keep = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("cut"))
-    text = F.when(F.col("cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(keep, lambda i: F.element_at(lines, i + 1)), "\n"))
-    return joined.withColumn("text", text).withColumn("_n_removed", F.coalesce(F.size("cut"), F.lit(0)).cast("bigint")).drop("d", "t", "cut", "_d")
+    keep = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("_cut"))
+    text = F.when(F.col("_cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(keep, lambda i: F.element_at(lines, i + 1)), "\n"))
+    return joined.withColumn("text", text).withColumn("_n_removed", F.coalesce(F.size("_cut"), F.lit(0)).cast("bigint")).drop("_cut_d", "_cut_t", "_cut", "_d")
 
 
 def _long_enough(cut: Column, words: int) -> Column:

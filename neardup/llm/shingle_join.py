@@ -32,7 +32,8 @@ from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 from neardup.operators.graph import components
 from neardup.session import materialize
 
-SKETCH_BITS = 18
+#: Cells of the sketch: a task counts up to 255 in each, so its part has 4 MB at any size of the input.
+SKETCH_BITS = 22
 SKETCH_PARTS = 16
 CHUNK = 1_024
 SMALL = 12
@@ -229,7 +230,7 @@ def _survey(texts: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["doc_id", "t", "n", "s1", "s2", "part", "counts"]
-        counts = np.zeros(1 << SKETCH_BITS, np.int64)
+        counts = np.zeros(1 << SKETCH_BITS, np.uint32)
         for b in tidy(batches):
             buf, offs = texts_of(b.column(2))
             for i, j in slices(offs):
@@ -242,7 +243,7 @@ def _survey(texts: DataFrame) -> DataFrame:
                     s2.append(y)
                 none = pa.nulls(j - i, pa.int32()), pa.nulls(j - i, pa.binary())
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), b.column(1).slice(i, j - i), *(pa.array(x, pa.int64()) for x in (n, s1, s2)), *none], names)
-        parts = [p.astype(np.uint32).tobytes() for p in np.split(counts, SKETCH_PARTS)]
+        parts = [np.minimum(p, 255).astype(np.uint8).tobytes() for p in np.split(counts, SKETCH_PARTS)]
         none = [pa.nulls(SKETCH_PARTS, pa.int64()) for _ in range(5)]
         yield pa.RecordBatch.from_arrays([*none, pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(parts, pa.binary())], names)
 
@@ -250,13 +251,13 @@ def _survey(texts: DataFrame) -> DataFrame:
 
 
 def _levels(survey: DataFrame) -> np.ndarray:
-    """For each cell of the sketch how far above the mean it lies, 0 for ordinary; 2 ** SKETCH_BITS bytes at any size."""
+    """For each cell of the sketch how full it is, in steps; 2 ** SKETCH_BITS bytes at any size."""
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for b in tidy(batches):
             for p, c in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                own = np.frombuffer(c, np.uint32).astype(np.int64)
+                own = np.frombuffer(c, np.uint8).astype(np.uint32)
                 total[p] = total[p] + own if p in total else own
         if total:
             yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([v.tobytes() for v in total.values()], pa.binary())], ["part", "counts"])
@@ -265,10 +266,12 @@ def _levels(survey: DataFrame) -> np.ndarray:
     cells = np.zeros(1 << SKETCH_BITS, np.int64)
     size = len(cells) // SKETCH_PARTS
     for r in rows:
-        cells[r.part * size : (r.part + 1) * size] += np.frombuffer(r.counts, np.int64)
+        cells[r.part * size : (r.part + 1) * size] += np.frombuffer(r.counts, np.uint32)
     mean = max(1.0, float(cells.mean()))
-    above = np.maximum(0.0, cells - mean - 5 * np.sqrt(mean))
-    return np.minimum(255, np.ceil(4 * np.log2(1 + above))).astype(np.uint8)
+    z = (cells - mean) / np.sqrt(mean)
+    # Quarters of a deviation around the mean, eighths of a doubling far above it.
+    near = np.clip(np.floor(4 * (z + 4)), 0, 48)
+    return np.minimum(255, np.where(z < 8, near, 48 + np.ceil(8 * np.log2(np.maximum(z, 8) / 8)))).astype(np.uint8)
 
 
 def _signatures(texts: DataFrame, levels: np.ndarray) -> DataFrame:
@@ -420,10 +423,17 @@ def _sets(ids: DataFrame, classes: DataFrame, texts: DataFrame) -> DataFrame:
     return found.mapInArrow(run, "cid bigint, s array<bigint>")
 
 
-def _verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame) -> DataFrame:
-    """The pairs (a, b) that link."""
+def _sets_for(pairs: DataFrame, known: DataFrame | None, classes: DataFrame, texts: DataFrame) -> DataFrame:
+    """The full sets of the pairs' classes; only those that aren't known are made from texts."""
     ids = pairs.select(F.col("a").alias("cid")).unionByName(pairs.select(F.col("b").alias("cid"))).distinct()
-    sets = materialize(_sets(ids, classes, texts), "sets")
+    if known is None:
+        return materialize(_sets(ids, classes, texts), "sets")
+    missing = materialize(ids.join(known.select("cid"), "cid", "left_anti"), "missing")
+    return known if missing.isEmpty() else known.unionByName(materialize(_sets(missing, classes, texts), "sets"))
+
+
+def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs (a, b) that link."""
     a, b = sets.select(F.col("cid").alias("a"), F.col("s").alias("x")), sets.select(F.col("cid").alias("b"), F.col("s").alias("y"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -450,11 +460,12 @@ def shingle_components(docs: DataFrame) -> DataFrame:
     tokens = classes.select(F.explode("prefix").alias("token"), "cid")
     blocks = materialize(_blocks(tokens), "blocks")
     pairs = materialize(_search(_first_tasks(blocks), classes, False), "pairs")
-    links = materialize(_verified(pairs, classes, texts), "links")
+    sets = _sets_for(pairs, None, classes, texts)
+    links = materialize(_verified(pairs, sets), "links")
     comps = _with_components(classes, links)
     more = materialize(_search(_last_tasks(blocks, comps), classes, True).join(pairs, ["a", "b"], "left_anti"), "pairs")
     if not more.isEmpty():
-        links = materialize(links.unionByName(_verified(more, classes, texts)), "links")
+        links = materialize(links.unionByName(_verified(more, _sets_for(more, sets, classes, texts))), "links")
         comps = _with_components(classes, links)
     lowest = comps.join(classes.select("cid", F.col("one.doc_id").alias("d"), "n", "s1", "s2"), "cid")
     lowest = lowest.join(lowest.groupBy("comp").agg(F.min("d").alias("component_id")), "comp").select("n", "s1", "s2", "component_id")
