@@ -35,17 +35,19 @@ def word_ngrams(ws: Column, n: int = 8, short_doc: str = "whole", hashed: bool =
     A text of 1 to n - 1 words is one gram ('whole'), none ('drop'), or is filled up with empty words
     ('pad'); without words there are no grams.
     """
-    made = (lambda x: F.xxhash64(x)) if hashed else (lambda x: x)
     kind = "array<bigint>" if hashed else "array<string>"
+    # Hashed grams are hashes of their words' hashes: each word is read once, however many grams it is in.
+    made = (lambda run: F.xxhash64(run)) if hashed else (lambda run: F.array_join(run, " "))
+    blank = F.xxhash64(F.lit("")) if hashed else F.lit("")
 
     def grams(w: Column) -> Column:
-        runs = F.array_distinct(F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: made(F.array_join(F.slice(w, i, F.lit(n)), " "))))
-        whole = F.array(made(F.array_join(w, " ")))
-        padded = F.array(made(F.array_join(F.concat(w, F.array_repeat(F.lit(""), F.lit(n) - F.size(w))), " ")))
+        runs = F.array_distinct(F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: made(F.slice(w, i, F.lit(n)))))
+        whole = F.array(made(w))
+        padded = F.array(made(F.concat(w, F.array_repeat(blank, F.lit(n) - F.size(w)))))
         short = {"whole": whole, "drop": F.array().cast(kind), "pad": padded}[short_doc]
         return F.when(F.size(w) >= n, runs).when(F.size(w) > 0, short).otherwise(F.array().cast(kind))
 
-    return _bound_once(ws, grams)
+    return _bound_once(F.transform(ws, lambda x: F.xxhash64(x)) if hashed else ws, grams)
 
 
 def char_shingles(text: str | Column, n: int = 4) -> Column:

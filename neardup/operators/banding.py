@@ -9,10 +9,11 @@ from neardup.config import DedupConfig, bands_for
 from neardup.functions.hashing import md5_number
 
 
-def band_values(sig: DataFrame, r: int, family: str = "xx64", compress: bool = True) -> DataFrame:
+def band_values(sig: DataFrame, r: int, family: str = "xx64", compress: bool = True, b: int | None = None) -> DataFrame:
     """(doc_id, band_id, value): one value for each run of r slots; a 64-bit hash, or the run itself uncompressed."""
-    size = sig.select(F.size("sig").alias("n")).first()
-    b = bands_for(size.n, r) if size else 1
+    if b is None:
+        size = sig.select(F.size("sig").alias("n")).first()
+        b = bands_for(size.n, r) if size else 1
     run = lambda i: F.slice("sig", i * r + 1, F.lit(r))
     if not compress:
         value = run
@@ -27,4 +28,4 @@ def bands(df: DataFrame, cfg: DedupConfig) -> DataFrame:
     """Band values of documents; signatures are never written nor shuffled."""
     from neardup.operators.signature import signatures
 
-    return band_values(signatures(df, cfg), cfg.r, cfg.family, cfg.compress_bands)
+    return band_values(signatures(df, cfg), cfg.r, cfg.family, cfg.compress_bands, cfg.b)

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from neardup.config import DedupConfig
-from neardup.functions.hashing import gram_number, minhashes
+from neardup.functions.hashing import LOW, PRIME, gram_number, minhashes, portable_seeds, seeds
 from neardup.functions.text import grams_of
 
 
@@ -18,9 +22,78 @@ def gram_numbers(df: DataFrame, cfg: DedupConfig) -> DataFrame:
     return grams_of(df, cfg, hashed=True).where(F.size("grams") > 0).withColumnRenamed("grams", "numbers")
 
 
+#: The primes of the published 64-bit hash that the built-in xxhash64 function computes.
+XX = tuple(map(np.uint64, (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5)))
+CHUNK = 1 << 15
+
+
+def _rotated(x: np.ndarray, k: int) -> np.ndarray:
+    return (x << np.uint64(k)) | (x >> np.uint64(64 - k))
+
+
+def _seed_state(key: int) -> np.ndarray:
+    """State after the key of a function, as xxhash64(key, x) has it before x."""
+    start = np.array([42], np.uint64) + XX[4] + np.uint64(8)
+    return _finished(start, _premixed(np.array([key], np.uint64))) + XX[4] + np.uint64(8)
+
+
+def _premixed(x: np.ndarray) -> np.ndarray:
+    return _rotated(x * XX[1], 31) * XX[0]
+
+
+def _finished(state: np.ndarray, mixed: np.ndarray) -> np.ndarray:
+    h = _rotated(state ^ mixed, 27)
+    h *= XX[0]
+    h += XX[3]
+    h ^= h >> np.uint64(33)
+    h *= XX[1]
+    h ^= h >> np.uint64(29)
+    h *= XX[2]
+    h ^= h >> np.uint64(32)
+    return h
+
+
+def _hashers(family: str, m: int, seed: int) -> tuple[Callable, list[Callable]]:
+    """What is computed of gram numbers once, and the m functions of that."""
+    if family == "portable":
+        prepare = lambda x: (x >> 30, x & LOW)
+        return prepare, [lambda p, a=a, b=b, c=c: (a * p[0] + b * p[1] + c) % PRIME for a, b, c in portable_seeds(m, seed)]
+    prepare = lambda x: _premixed(x.view(np.uint64))
+    return prepare, [lambda p, s=_seed_state(k): _finished(s, p).view(np.int64) for k in seeds(m, seed)]
+
+
+def _minima(values: np.ndarray, starts: np.ndarray, prepare: Callable, hashers: list[Callable]) -> np.ndarray:
+    """Least value of each function in each run of values; runs begin at starts and none is empty."""
+    held = prepare(values)
+    return np.column_stack([np.minimum.reduceat(h(held), starts) for h in hashers])
+
+
 def signatures(df: DataFrame, cfg: DedupConfig) -> DataFrame:
-    """(doc_id, sig) without a shuffle."""
-    return gram_numbers(df, cfg).select("doc_id", minhashes(F.col("numbers"), cfg.family, cfg.m, cfg.seed).alias("sig"))
+    """(doc_id, sig) without a shuffle: vectorised over Arrow batches where numpy has the family's hash, else by lambdas.
+
+    A batch is worked on in chunks that fit a core's cache; a longer document is a chunk of its own.
+    """
+    numbers = gram_numbers(df, cfg)
+    if cfg.family == "mm32":
+        return numbers.select("doc_id", minhashes(F.col("numbers"), cfg.family, cfg.m, cfg.seed).alias("sig"))
+    family, m, seed = cfg.family, cfg.m, cfg.seed
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        prepare, hashers = _hashers(family, m, seed)
+        for b in batches:
+            lists = b.column(1)
+            values, offsets = lists.flatten().to_numpy(zero_copy_only=False), lists.offsets.to_numpy().astype(np.int64)
+            offsets = offsets - offsets[0]
+            out, at = [], 0
+            while at < b.num_rows:
+                to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + CHUNK, side="right")) - 1)
+                out.append(_minima(values[offsets[at] : offsets[to]], offsets[at:to] - offsets[at], prepare, hashers))
+                at = to
+            flat = np.concatenate(out) if out else np.zeros((0, m), np.int64)
+            sig = pa.ListArray.from_arrays(pa.array(np.arange(0, flat.size + 1, m, dtype=np.int32)), pa.array(flat.ravel()))
+            yield pa.RecordBatch.from_arrays([b.column(0), sig], ["doc_id", "sig"])
+
+    return numbers.mapInArrow(run, "doc_id bigint, sig array<bigint>")
 
 
 def slots(sig: DataFrame) -> DataFrame:

@@ -98,6 +98,15 @@ def test_signature_estimates_similarity(spark):
         assert abs(share - 70 / 130) < 4 * (0.54 * 0.46 / 400) ** 0.5
 
 
+def test_vectorised_signatures_are_those_of_the_lambdas(docs):
+    from neardup.functions.hashing import minhashes
+
+    for family in ("xx64", "portable"):
+        cfg = DedupConfig(family=family, n=2, b=4, r=3)
+        plain = signature.gram_numbers(docs, cfg).select("doc_id", minhashes(F.col("numbers"), family, 12, 42).alias("sig"))
+        assert rows(signature.signatures(docs, cfg)) == rows(plain)
+
+
 def test_layouts_and_rewrites_give_the_same_pairs(docs):
     want = rows(pipeline.near_duplicates(docs))
     assert [r[:2] for r in want] == [(10, 25), (10, 31), (25, 31)]
