@@ -12,7 +12,7 @@ from neardup.functions.sets import jaccard
 from neardup.operators.forest import BoundedForest, fold_buckets
 from neardup.operators.graph import components
 from neardup.operators.verify import scored
-from neardup.session import materialize
+from neardup.session import materialize, release
 
 MOST_MEMBERS = 20_000
 
@@ -131,9 +131,10 @@ def rounds(edges: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float =
         quiet = 0
         moved = taken.select(F.col("y").alias("root"), F.col("x").alias("to"))
         lower = taken.groupBy("x").agg(F.least(F.min("own"), F.min("g")).alias("low")).withColumnRenamed("x", "root")
-        state = state.join(moved, "root", "left").select("doc_id", F.coalesce("to", "root").alias("root"), "bound")
+        old, state = state, state.join(moved, "root", "left").select("doc_id", F.coalesce("to", "root").alias("root"), "bound")
         roots_now = bounds.join(moved, "root", "left_anti").join(lower, "root", "left").select("root", F.coalesce("low", "bound").alias("bound"))
-        state = materialize(state.drop("bound").join(roots_now, "root").select("doc_id", "root", "bound"), "rounds")
+        before, state = old, materialize(state.drop("bound").join(roots_now, "root").select("doc_id", "root", "bound"), "rounds")
+        release(before, taken)
     return state
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neardup.session import materialize
+from neardup.session import materialize, release
 
 MOST_ROUNDS = 60
 
@@ -37,7 +37,8 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     stars = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     stars, seen = materialize(stars, "stars"), None
     for _ in range(MOST_ROUNDS):
-        stars = materialize(_small_star(_large_star(stars)), "stars")
+        before, stars = stars, materialize(_small_star(_large_star(stars)), "stars")
+        release(before)
         now = stars.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("s")).first()
         if now == seen:
             break

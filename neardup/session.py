@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 _ROOT = Path(__file__).resolve().parent
 _SHIPPED = "neardup.shipped"
 _LOCAL: dict[str, str] = {}
+_WRITTEN: dict[str, list[str]] = {}
 
 
 def get_session(cores: str = "*", shuffle_partitions: int = 8) -> SparkSession:
@@ -46,8 +47,30 @@ def shared_root(spark: SparkSession) -> str:
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
-    """A fresh path under the shared folder."""
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+    """A fresh path under the shared folder; it is deleted when this process ends, or by release()."""
+    path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+    app = spark.sparkContext.applicationId
+    if app not in _WRITTEN:
+        _WRITTEN[app] = []
+        atexit.register(_clean, spark, app)
+    _WRITTEN[app].append(path)
+    return path
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def _clean(spark: SparkSession, app: str) -> None:
+    """Deletes what is left at the end, as far as the session still lives."""
+    if spark._jsc is None or spark.sparkContext._jsc is None:
+        return
+    for path in _WRITTEN.pop(app, []):
+        try:
+            _delete(spark, path)
+        except Exception:  # the JVM may be gone by now, and with it the way to delete
+            return
 
 
 def materialize(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
@@ -58,7 +81,19 @@ def materialize(df: DataFrame, name: str, partition_by: list[str] | None = None)
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Deletes what materialize() wrote for tables that nothing reads any more."""
+    for t in tables:
+        path = getattr(t, "_scratch_path", None)
+        if path is not None:
+            _delete(t.sparkSession, path)
+            _WRITTEN[t.sparkSession.sparkContext.applicationId].remove(path)
+            t._scratch_path = None
 
 
 def ship_package(spark: SparkSession) -> None:
