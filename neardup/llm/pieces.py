@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 MARK = "▁"
 KEEP = 64
-TABLE_ENTRIES = 300_000
+TABLE_ENTRIES = 200_000
 _TABLES: dict[str, PieceTable] = {}
 
 

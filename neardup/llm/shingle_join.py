@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 from neardup.operators.graph import components
-from neardup.session import materialize
+from neardup.session import materialize, release
 
 #: Cells of the sketch: a task counts up to 255 in each, so its part has 4 MB at any size of the input.
 SKETCH_BITS = 22
@@ -263,15 +263,17 @@ def _levels(survey: DataFrame) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([v.tobytes() for v in total.values()], pa.binary())], ["part", "counts"])
 
     rows = survey.where("part IS NOT NULL").select("part", "counts").repartition(SKETCH_PARTS, "part").mapInArrow(add, "part int, counts binary").collect()
-    cells = np.zeros(1 << SKETCH_BITS, np.int64)
-    size = len(cells) // SKETCH_PARTS
-    for r in rows:
-        cells[r.part * size : (r.part + 1) * size] += np.frombuffer(r.counts, np.uint32)
-    mean = max(1.0, float(cells.mean()))
-    z = (cells - mean) / np.sqrt(mean)
-    # Quarters of a deviation around the mean, eighths of a doubling far above it.
-    near = np.clip(np.floor(4 * (z + 4)), 0, 48)
-    return np.minimum(255, np.where(z < 8, near, 48 + np.ceil(8 * np.log2(np.maximum(z, 8) / 8)))).astype(np.uint8)
+    # Part by part: the driver holds 16 MB of counts and 4 MB of levels at any size of the input.
+    parts = {r.part: np.frombuffer(r.counts, np.uint32) for r in rows}
+    mean = max(1.0, sum(int(c.sum(dtype=np.int64)) for c in parts.values()) / (1 << SKETCH_BITS))
+    size = (1 << SKETCH_BITS) // SKETCH_PARTS
+    out = np.zeros(1 << SKETCH_BITS, np.uint8)
+    for p, c in parts.items():
+        z = (c.astype(np.float32) - np.float32(mean)) / np.float32(mean**0.5)
+        # Quarters of a deviation around the mean, eighths of a doubling far above it.
+        near = np.clip(np.floor(4 * (z + 4)), 0, 48)
+        out[p * size : (p + 1) * size] = np.minimum(255, np.where(z < 8, near, 48 + np.ceil(8 * np.log2(np.maximum(z, 8) / 8))))
+    return out
 
 
 def _signatures(texts: DataFrame, levels: np.ndarray) -> DataFrame:
@@ -467,6 +469,7 @@ def shingle_components(docs: DataFrame) -> DataFrame:
     if not more.isEmpty():
         links = materialize(links.unionByName(_verified(more, _sets_for(more, sets, classes, texts))), "links")
         comps = _with_components(classes, links)
+    release(blocks, pairs, more, sets, links)
     lowest = comps.join(classes.select("cid", F.col("one.doc_id").alias("d"), "n", "s1", "s2"), "cid")
     lowest = lowest.join(lowest.groupBy("comp").agg(F.min("d").alias("component_id")), "comp").select("n", "s1", "s2", "component_id")
     rows = own.select("doc_id", F.col("n").alias("n_shingles"), "n", "s1", "s2").join(lowest, ["n", "s1", "s2"], "left")

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from neardup.llm.common import GOLDEN, mix, prefix_hash, range_hash, slices, texts_of
-from neardup.session import materialize
+from neardup.session import materialize, release
 
 THRESHOLD = 400
 ANCHOR = 80
@@ -185,6 +185,7 @@ def repeated_spans(docs: DataFrame, threshold: int = THRESHOLD, anchor: int = AN
     first = materialize(_anchors(keyed, threshold, anchor), "anchors")
     twice = first.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
     second = materialize(first.join(twice, "h", "left_semi"), "twice-anchored")
+    release(first)
     kinds = second.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "t", "lo", "hi")).alias("one"))
     kinds = materialize(kinds, "kinds")
     alike = kinds.where("n > 1").select("h", "c")

@@ -11,8 +11,8 @@ always splits too, and encodes each distinct part once in each worker.
 
 Cases: null or empty text holds the end id alone; rows with a null doc_id go to the first range and
 come first; equal doc_ids are ordered by their ids' bytes; an empty table gives empty files and
-an empty dictionary. The dictionary is trained on at most SAMPLE documents, drawn by hash of their
-id: it changes sizes only, never ids. The documents that a task reads form one block for each BLOCK_TOKENS.
+an empty dictionary. The dictionary is trained on at most SAMPLE documents: it changes
+sizes only, never ids. The documents that a task reads form one block for each BLOCK_TOKENS.
 """
 
 from __future__ import annotations
@@ -22,7 +22,9 @@ import os
 import re
 import zlib
 from collections.abc import Iterator
+from functools import reduce
 from itertools import islice
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
@@ -32,14 +34,16 @@ from pyspark.sql import functions as F
 
 from neardup.session import scratch_path
 
-SAMPLE = 512
+#: The dictionary is trained on ANCHORS runs of RUN ids in a row, each from an id drawn by hash.
+ANCHORS, RUN = 16, 32
+SAMPLE = ANCHORS * RUN
 SAMPLE_TOKENS = 16_384
 DICTIONARY_BYTES = 65_536
 BLOCK_TOKENS = 1 << 18
 RANGE_ROWS = 2_048
-MOST_RANGES = 100_000
+QUANTILES = 5_000
 KEEP = 64
-TABLE_ENTRIES = 1_500_000
+TABLE_ENTRIES = 1_200_000
 #: A space that doesn't begin a part: white space or the end follows it.
 _JOINED = re.compile(r" (?=\s|\Z)")
 #: White space other than the space and the line feed.
@@ -183,8 +187,10 @@ def part_table(path: str) -> PartTable:
 
 def train_dictionary(docs: DataFrame, tokenizer_path: str, end_id: int, width: int) -> bytes:
     """A dictionary from at most SAMPLE documents of at most SAMPLE_TOKENS ids each; empty if they are too few."""
-    ids = [r.doc_id for r in docs.where("doc_id IS NOT NULL").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE).collect()]
-    rows = docs.where(F.col("doc_id").isin(ids)).orderBy("doc_id", "text").limit(SAMPLE).select("text").collect() if ids else []
+    ids = [r.doc_id for r in docs.where("doc_id IS NOT NULL").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(ANCHORS).collect()]
+    # Ranges of ids, unlike single ones, let the reader skip pages of a table that is in order.
+    near = reduce(or_, [F.col("doc_id").between(i, i + RUN - 1) for i in ids], F.lit(False))
+    rows = docs.where(near).orderBy("doc_id", "text").limit(SAMPLE).select("text").collect() if ids else []
     table, kind = part_table(tokenizer_path), np.uint16 if width == 2 else np.uint32
     samples = [np.append(np.frombuffer(table.encode(r.text), np.uint32), end_id)[:SAMPLE_TOKENS].astype(kind).tobytes() for r in rows]
     if len(samples) < 16 or sum(map(len, samples)) < 8 * DICTIONARY_BYTES // 16:
@@ -200,13 +206,12 @@ def dictionary_hash(dictionary: bytes) -> str:
     return hashlib.sha256(dictionary).hexdigest()
 
 
-def range_bounds(docs: DataFrame, n_ranges: int) -> list[int]:
+def range_bounds(docs: DataFrame, range_rows: int) -> list[int]:
     """Upper bounds of all ranges but the last, from approximate quantiles of the ids alone."""
-    if n_ranges < 2:
-        return []
-    shares = [i / n_ranges for i in range(1, n_ranges)]
-    found = docs.agg(F.percentile_approx("doc_id", shares, 20_000).alias("q")).first().q
-    return sorted(set(found or []))
+    shares = [i / QUANTILES for i in range(1, QUANTILES)]
+    seen = docs.agg(F.count("*").alias("n"), F.percentile_approx("doc_id", shares, 4 * QUANTILES).alias("q")).first()
+    wanted = min(QUANTILES, -(-seen.n // range_rows))
+    return sorted({seen.q[k * QUANTILES // wanted - 1] for k in range(1, wanted)}) if seen.q else []
 
 
 def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, range_rows: int = RANGE_ROWS) -> bytes:
@@ -215,7 +220,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
     docs = docs.select("doc_id", "text")
     dictionary = train_dictionary(docs, tokenizer_path, end_id, width)
     spark.createDataFrame([(bytearray(dictionary), dictionary_hash(dictionary), width, end_id)], "dictionary binary, dict_hash string, width int, end_id bigint").coalesce(1).write.parquet(f"{path}/dictionary")
-    bounds = range_bounds(docs, min(MOST_RANGES, -(-docs.count() // range_rows)))
+    bounds = range_bounds(docs, range_rows)
     kind, label = np.uint16 if width == 2 else np.uint32, dictionary_hash(dictionary)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -296,7 +301,7 @@ def _read(spark: SparkSession, path: str, column: str, made, kind: pa.DataType)
     if dictionary_hash(dictionary) != label:
         raise ValueError("the dictionary doesn't match its hash")
     rows = spark.read.parquet(f"{path}/blocks")
-    totals = {r.range_id: r.n for r in rows.groupBy("range_id").agg(F.sum("tokens").alias("n")).collect()}  # at most MOST_RANGES
+    totals = {r.range_id: r.n for r in rows.groupBy("range_id").agg(F.sum("tokens").alias("n")).collect()}  # at most QUANTILES
     before, start = 0, {}
     for k in sorted(totals):
         start[k], before = before, before + totals[k]
