@@ -51,3 +51,28 @@ def deduplicated(spark: SparkSession, d: str) -> DataFrame:
     e = event_stream(spark, d).withColumn("minute", F.date_trunc("minute", "ts"))
     once = e.dropDuplicates(["user_id", "event_type", "minute"])
     return run_to_end(once.select("user_id", "event_type", "minute")).groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+
+
+def user_state(spark: SparkSession, d: str) -> DataFrame:
+    """(user_id, n, high): events and highest value of each user, kept as state and put out whenever a user's state changes."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def update(key, batches, state):
+        n, high = state.get if state.exists else (0, float("-inf"))
+        for p in batches:
+            n, high = n + len(p), max(high, p["value"].max())
+        state.update((int(n), float(high)))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [int(n)], "high": [float(high)]})
+
+    e = event_stream(spark, d).select("user_id", "value").where("value IS NOT NULL")
+    kept = e.groupBy("user_id").applyInPandasWithState(update, "user_id bigint, n bigint, high double", "n bigint, high double", "update", GroupStateTimeout.NoTimeout)
+    # A user may be put out in several batches: the one with most events is the last.
+    return run_to_end(kept, "update").groupBy("user_id").agg(F.max("n").alias("n"), F.max("high").alias("high"))
+
+
+def once_within_watermark(spark: SparkSession, d: str) -> DataFrame:
+    """(events, distinct_events): rows of the stream, and rows with an event_id not seen within the watermark's delay."""
+    e = event_stream(spark, d)
+    once = run_to_end(e.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+    return once.agg(F.count("*").alias("kept"), F.countDistinct("event_id").alias("distinct_events"))

@@ -266,6 +266,26 @@ def stream_dedup_events(spark, d):
     return deduplicated(spark, d)
 
 
+def stream_state(spark, d):
+    from neardup.streaming.events import user_state
+
+    return user_state(spark, d)
+
+
+def stream_dedup_watermark(spark, d):
+    from neardup.streaming.events import once_within_watermark
+
+    return once_within_watermark(spark, d)
+
+
+def store_bucketed(spark, d):
+    """Cells as a bucketed table: the join of its bands needs no exchange of either side."""
+    name = f"cells_{abs(hash(scratch_path(spark, 'x')))}"
+    path = scratch_path(spark, "bucketed")
+    _bands(spark, d).write.bucketBy(8, "band_id", "value").sortBy("band_id", "value").option("path", path).saveAsTable(name)
+    return candidates.banded(spark.table(name))
+
+
 def stream_neardup(spark, d):
     from neardup.streaming.neardup import stream_pairs
 
@@ -329,6 +349,9 @@ def oracle_sql() -> dict[str, str]:
         "stream_sliding": "SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) - INTERVAL 1 HOUR * k AS s, event_type, value FROM events, (VALUES (0), (1)) x(k)) GROUP BY 1, 2",
         "stream_session": "WITH o AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events), s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM o) SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM s GROUP BY user_id, k",
         "stream_dedup_events": "SELECT user_id, event_type, count(DISTINCT date_trunc('minute', ts)) AS n FROM events GROUP BY ALL",
+        "stream_state": "SELECT user_id, count(*) AS n, max(value) AS high FROM events WHERE value IS NOT NULL GROUP BY user_id",
+        "stream_dedup_watermark": "SELECT count(DISTINCT event_id) AS kept, count(DISTINCT event_id) AS distinct_events FROM events",
+        "store_bucketed": m.CANDIDATES_SQL,
         "stream_neardup": m.NEAR_SQL,
         "sink_partitioned": "SELECT lang, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY text) GROUP BY lang",
     }
