@@ -81,6 +81,20 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
 
 
+#: Sets of 5-word shingles, links at 100 * shared >= 80 * total, and the lowest id that links reach.
+SHINGLES_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+g AS MATERIALIZED (SELECT doc_id, unnest(CASE WHEN len(ws) >= 5 THEN list_distinct(list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' '))) WHEN len(ws) > 0 THEN [array_to_string(ws, ' ')] ELSE []::VARCHAR[] END) AS gram FROM w),
+sz AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+cm AS (SELECT gram FROM g GROUP BY gram HAVING count(*) > 1), gc AS MATERIALIZED (SELECT g.* FROM g JOIN cm ON cm.gram = g.gram),
+sh AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS shared FROM gc x JOIN gc y ON x.gram = y.gram AND x.doc_id < y.doc_id GROUP BY 1, 2),
+e AS MATERIALIZED (SELECT a, b FROM sh JOIN sz x ON x.doc_id = a JOIN sz y ON y.doc_id = b WHERE 100 * shared >= 80 * (x.n + y.n - shared)),
+ee AS MATERIALIZED (SELECT a, b FROM e UNION SELECT b, a FROM e),
+cc AS (SELECT a AS id, a AS low FROM ee UNION SELECT ee.b, cc.low FROM cc JOIN ee ON ee.a = cc.id WHERE cc.low < ee.b),
+lo AS (SELECT id, min(low) AS low FROM cc GROUP BY id)
+SELECT documents.doc_id, coalesce(sz.n, 0)::BIGINT AS n_shingles, coalesce(lo.low, documents.doc_id) AS component_id
+FROM documents LEFT JOIN sz ON sz.doc_id = documents.doc_id LEFT JOIN lo ON lo.id = documents.doc_id
+"""
 #: Rules of quality.RULES in SQL; words are runs of characters other than space and 0x09-0x0D.
 QUALITY_SQL = r"""
 WITH t AS (SELECT doc_id, coalesce(text, '') AS txt, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
@@ -116,6 +130,7 @@ SELECT doc_id, gone AS n_lines_removed, length(coalesce(kept, '')) AS kept_chars
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op2_shingle_join": SHINGLES_SQL,
         "op5_line_dedup": LINES_SQL,
         "op7_sharding": "SELECT doc_id, strlen(text)::BIGINT AS n_bytes, md5(text) AS text_md5 FROM documents",
         "op8_quality": QUALITY_SQL,
