@@ -3,7 +3,8 @@
 In a model whose pieces never hold the marker after another character, no merge crosses the place
 before a marker. Each marked word of a text is therefore segmented on its own: the table keeps the
 ids and the decoded form of every distinct one, and the ids of a text are those of its words in order.
-The table lives in each Python worker, so no shuffle joins positions; it starts anew when full.
+Each task has a table of its own, so no shuffle joins positions; it starts anew when full and is given
+back at the end of the task.
 
 Cases: null or empty text has the begin and end ids alone; runs of spaces, leading and trailing
 spaces and the marker character itself behave as in the library; words longer than KEEP characters
@@ -20,6 +21,8 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.llm.common import tidy
+
 MARK = "▁"
 KEEP = 64
 TABLE_ENTRIES = 200_000
@@ -93,12 +96,13 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
         import numpy as np
 
         table = piece_table(model_path)
-        for b in batches:
+        for b in tidy(batches):
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
                 made = [table.encode(t) for t in part.column(1).to_pylist()]
                 ids = pa.array([np.frombuffer(x, np.int32) for x, _ in made], pa.list_(pa.int32()))
                 yield pa.RecordBatch.from_arrays([part.column(0), ids, pa.array([d for _, d in made], pa.string())], ["id", "ids", "decoded"])
+        table.table.clear()
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, ids array<int>, decoded string")
@@ -109,7 +113,7 @@ def encode_digests(docs: DataFrame, model_path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = piece_table(model_path)
-        for b in batches:
+        for b in tidy(batches):
             counts, ids_sha, text_sha = [], [], []
             for t in b.column(1):
                 ids, decoded = table.encode(t.as_py())
@@ -117,5 +121,6 @@ def encode_digests(docs: DataFrame, model_path: str) -> DataFrame:
                 ids_sha.append(hashlib.sha256(ids).hexdigest())
                 text_sha.append(hashlib.sha256(decoded.encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        table.table.clear()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")

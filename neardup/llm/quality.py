@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neardup.llm.common import IS_SPACE, GOLDEN, gram_hash, mix, prefix_hash, range_hash, slices, texts_of, word_bounds
+from neardup.llm.common import IS_SPACE, GOLDEN, gram_hash, mix, prefix_hash, range_hash, slices, texts_of, tidy, word_bounds
 
 SAMPLE = 400
 WINDOW = 5
@@ -173,7 +173,7 @@ def quality_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFram
     base = {r.name for r in BASE_RULES}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in tidy(batches):
             buf, offs = texts_of(b.column(1))
             for i, j in slices(offs):
                 f = Features(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i])
@@ -194,7 +194,7 @@ def quality_filter(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFram
     order, at = order_rules(docs, rules), docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in tidy(batches):
             buf, offs = texts_of(b.column(at))
             kept = [cascade(Features(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i]), order) < 0 for i, j in slices(offs)]
             yield b.filter(pa.array(np.concatenate(kept) if kept else np.zeros(0, bool)))

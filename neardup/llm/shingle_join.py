@@ -32,8 +32,8 @@ from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 from neardup.operators.graph import components
 from neardup.session import materialize, release
 
-#: Cells of the sketch: a task counts up to 255 in each, so its part has 4 MB at any size of the input.
-SKETCH_BITS = 22
+#: Cells of the sketch: a task counts up to 255 in each, so its part has 2 MB at any size of the input.
+SKETCH_BITS = 21
 SKETCH_PARTS = 16
 CHUNK = 1_024
 SMALL = 12
@@ -263,7 +263,7 @@ def _levels(survey: DataFrame) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([v.tobytes() for v in total.values()], pa.binary())], ["part", "counts"])
 
     rows = survey.where("part IS NOT NULL").select("part", "counts").repartition(SKETCH_PARTS, "part").mapInArrow(add, "part int, counts binary").collect()
-    # Part by part: the driver holds 16 MB of counts and 4 MB of levels at any size of the input.
+    # Part by part: the driver holds 8 MB of counts and 2 MB of levels at any size of the input.
     parts = {r.part: np.frombuffer(r.counts, np.uint32) for r in rows}
     mean = max(1.0, sum(int(c.sum(dtype=np.int64)) for c in parts.values()) / (1 << SKETCH_BITS))
     size = (1 << SKETCH_BITS) // SKETCH_PARTS
