@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from neardup.llm.decontaminate import without_benchmark
-from neardup.llm.lines import line_dedup
+from neardup.llm.lines import run_dedup
 from neardup.llm.pieces import encode_digests
 from neardup.llm.quality import quality_filter
 from neardup.llm.shingle_join import one_of_each
@@ -28,8 +28,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Cuts later copies of repeated runs of lines out of the texts; no document goes."""
-    cut = line_dedup(docs)
+    """Cuts later copies of repeated runs of one line or more out of the texts; no document goes."""
+    cut = run_dedup(docs)
     if "n_chars" in docs.columns:
         kind = docs.schema["n_chars"].dataType
         cut = cut.withColumn("n_chars", F.when(F.col("_n_removed") > 0, F.length("text").cast(kind)).otherwise(F.col("n_chars")))

@@ -40,6 +40,12 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup_report(documents(spark, sf_dir))
 
 
+def op5_repeated_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from neardup.llm.lines import run_dedup_report
+
+    return run_dedup_report(documents(spark, sf_dir))
+
+
 def op6_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.private import find_private
 
@@ -78,7 +84,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
+    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op5_repeated_runs, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
 
 
 #: Sets of 5-word shingles, links at 100 * shared >= 80 * total, and the lowest id that links reach.

@@ -79,7 +79,11 @@ def line_dedup(docs: DataFrame, run_lines: int = RUN_LINES, words: int = WORDS)
     marked = sequences.join(gone, ["d", "t", "at"])
     # One row for each document: its deleted lines in order, with their words; a document's own lines only.
     per_doc = marked.groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("at", "line", "words"))).alias("cut"))
-    per_doc = materialize(per_doc.select(F.col("d").alias("_cut_d"), F.col("t").alias("_cut_t"), _long_enough(F.col("cut"), words).alias("_cut")).where(F.size("_cut") > 0), "cuts")
+    return _without(docs, materialize(per_doc.select(F.col("d").alias("_cut_d"), F.col("t").alias("_cut_t"), _long_enough(F.col("cut"), words).alias("_cut")).where(F.size("_cut") > 0), "cuts"))
+
+
+def _without(docs: DataFrame, per_doc: DataFrame) -> DataFrame:
+    """docs without the lines _cut of the documents (_cut_d, _cut_t), and columns _n_removed and _t."""
     keyed = _keyed(docs).withColumn("_d", F.coalesce("doc_id", F.lit(-(1 << 62))))
     # The cuts grow with the documents: no broadcast.
     joined = keyed.join(per_doc.hint("merge"), (F.col("_d") == F.col("_cut_d")) & (F.col("_t") == F.col("_cut_t")), "left")
@@ -109,8 +113,64 @@ def _long_enough(cut: Column, words: int) -> Column:
     return F.aggregate(cut, empty, step, close)
 
 
+def line_windows(docs: DataFrame, words: int = WORDS) -> DataFrame:
+    """Rows (d, t, at, name, check, cover): for each line the shortest window from it on, and the shortest up to it, with so many words.
+
+    cover has the line numbers of a window. No window is longer than that many lines, as blank lines take no part.
+    """
+    texts = docs.select(F.coalesce("doc_id", F.lit(-(1 << 62))).alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("t"), F.coalesce("text", F.lit("")).alias("text"))
+    parts = F.transform(F.split("text", "\n", -1), lambda x, i: F.struct(i.alias("line"), F.xxhash64(x).alias("name"), F.xxhash64(F.lit(1), x).alias("check"), F.size(F.regexp_extract_all(x, F.lit(_WORD), F.lit(0))).alias("words")))
+
+    def window(part: Column, at: Column, kind: int) -> Column:
+        empty = F.struct(at.alias("at"), F.lit(0).alias("w"), F.lit(kind).cast("bigint").alias("name"), F.lit(kind).cast("bigint").alias("check"), F.array().cast("array<int>").alias("cover"))
+
+        def step(acc: Column, x: Column) -> Column:
+            more = F.struct(acc.at.alias("at"), (acc.w + x.words).alias("w"), F.xxhash64(acc["name"], x["name"]).alias("name"), F.xxhash64(x["check"], acc["check"]).alias("check"), F.concat(acc.cover, F.array(x.line)).alias("cover"))
+            return F.when(acc.w >= words, acc).otherwise(more)
+
+        return F.aggregate(part, empty, step)
+
+    def around(lines: Column) -> Column:
+        def of(x: Column, i: Column) -> Column:
+            ahead = window(F.slice(lines, i + 1, F.lit(words)), i, 0)
+            behind = window(F.reverse(F.slice(lines, F.greatest(i + 2 - words, F.lit(1)), F.least(i + 1, F.lit(words)))), i, 1)
+            # A line that has enough words alone is both windows.
+            return F.when(x.words >= words, F.array(window(F.array(x), i, 0))).otherwise(F.array(ahead, behind))
+
+        return F.filter(F.flatten(F.transform(lines, of)), lambda x: x.w >= words)
+
+    # Over a one-element array, so that the lines of a document are made once.
+    found = F.transform(F.array(F.filter(parts, lambda x: x.words > 0)), around)[0]
+    return texts.select("d", "t", F.explode(found).alias("x")).select("d", "t", "x.at", "x.name", "x.check", "x.cover")
+
+
+def run_dedup(docs: DataFrame, words: int = WORDS) -> DataFrame:
+    """docs without the later copies of all repeated runs, of one line or more, that have so many words; and columns _n_removed and _t.
+
+    A run is taken as far as it equals one at an earlier place, and needs the words by itself: overlapping runs with
+    different first places aren't added up. Each line of such a run lies in its shortest beginning with enough words or, where the
+    run has enough words up to that line, in the shortest window that ends there; both lie in the run, so they are repeated
+    with it, and a repeated window is such a run itself. So the windows of line_windows() find all these lines and no others.
+    """
+    rows = materialize(line_windows(docs.select("doc_id", "text"), words), "windows")
+    place = F.struct("d", "t", "at")
+    # Rows alike in doc_id and text have the same places.
+    first = rows.groupBy("name", "check").agg(F.min(place).alias("first"), F.max(place).alias("last")).where("first <> last").select("name", "check", "first")
+    later = rows.join(first.hint("merge"), ["name", "check"]).where(place != F.col("first"))
+    per_doc = later.select("d", "t", F.explode("cover").alias("line")).groupBy("d", "t").agg(F.sort_array(F.collect_set("line")).alias("_cut"))
+    return _without(docs, materialize(per_doc.select(F.col("d").alias("_cut_d"), F.col("t").alias("_cut_t"), "_cut"), "cuts"))
+
+
+def run_dedup_report(docs: DataFrame, words: int = WORDS) -> DataFrame:
+    """One row (doc_id, n_lines_removed, kept_chars, kept_md5) for each document, by run_dedup()."""
+    return _report(run_dedup(docs.select("doc_id", "text"), words))
+
+
 def line_dedup_report(docs: DataFrame, run_lines: int = RUN_LINES, words: int = WORDS) -> DataFrame:
     """One row (doc_id, n_lines_removed, kept_chars, kept_md5) for each document."""
-    done = line_dedup(docs.select("doc_id", "text"), run_lines, words)
+    return _report(line_dedup(docs.select("doc_id", "text"), run_lines, words))
+
+
+def _report(done: DataFrame) -> DataFrame:
     kept = F.coalesce("text", F.lit(""))
     return done.select("doc_id", F.col("_n_removed").alias("n_lines_removed"), F.length(kept).cast("bigint").alias("kept_chars"), F.md5(kept).alias("kept_md5"))

@@ -243,6 +243,41 @@ def test_line_dedup(spark, none, run):
     assert lines.line_dedup_report(none).count() == 0
 
 
+def run_oracle(rows, least):
+    """Longest match of every place with every earlier one, in plain loops."""
+    seqs = {d: [(k, x) for k, x in enumerate((t or "").split("\n")) if WORD.search(x)] for d, t in rows}
+    places, out = [(d, i) for d in sorted(seqs) for i in range(len(seqs[d]))], {d: set() for d, _ in rows}
+    for k, (d, i) in enumerate(places):
+        for e, j in places[:k]:
+            n = 0
+            while i + n < len(seqs[d]) and j + n < len(seqs[e]) and seqs[d][i + n][1] == seqs[e][j + n][1]:
+                n += 1
+            if sum(len(WORD.findall(x)) for _, x in seqs[d][i : i + n]) >= least:
+                out[d].update(x for x, _ in seqs[d][i : i + n])
+    return {d: "\n".join(x for k, x in enumerate((t or "").split("\n")) if k not in out[d]) for d, t in rows}
+
+
+def test_run_dedup_against_longest_matches(spark, none):
+    r = random.Random(5)
+    pool = [f"line {k} " + " ".join(words_of(k % 6, k)) for k in range(14)] + [" ".join(words_of(9, 50)), "", "x", "y", "  "]
+    rows = [(i, "\n".join(r.choice(pool) for _ in range(r.randint(0, 25)))) for i in range(40)] + [(50, None), (51, "x\n" * 30)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("at", F.lit(1)).withColumn("d", F.lit("x"))
+    for least in (8, 10, 1):
+        assert {x.doc_id: x.text or "" for x in lines.run_dedup(df, least).collect()} == run_oracle(rows, least)
+    assert lines.run_dedup_report(none).count() == 0
+    twice = df.where("doc_id = 3").unionByName(df.where("doc_id = 3"))
+    assert len({x.text for x in lines.run_dedup(twice).collect()}) == 1 and lines.run_dedup(twice).count() == 2
+
+
+def test_pipeline_cuts_a_repeated_line_on_its_own(spark):
+    import corpus_pipeline
+
+    line, other = " ".join(words_of(60, 1)), [" ".join(words_of(12, k)) for k in range(2, 6)]
+    rows = [(1, f"{other[0]}\n{line}\n{other[1]}"), (2, f"{other[2]}\n{line}\n{other[3]}"), (3, line)]
+    got = {x.doc_id: x.text for x in corpus_pipeline.repeated_lines(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "").collect()}
+    assert got == {1: rows[0][1], 2: f"{other[2]}\n{other[3]}", 3: ""}
+
+
 # --- 2
 
 
