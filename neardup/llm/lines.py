@@ -1,11 +1,16 @@
-"""Operator 5: removal of repeated runs of lines, by prefix doubling over sequences of line ids.
+"""Operator 5: removal of repeated runs of lines, by windows of lines or by prefix doubling over sequences of line ids.
 
 A document is the sequence of its lines with a word; blank lines keep their place and take no part.
 The suffixes of all sequences are sorted as far as RUN_LINES lines: level 0 names each line by its hash, and level
 k + 1 names a run of twice the length by the names of its halves. A place goes on only while its name
 occurs more than once, so later levels are small. The names of the last level, two overlapping
-runs where RUN_LINES is no power of two, are the intervals of common prefixes of at least RUN_LINES lines;
-unions of such runs that overlap are the maximal repeated runs. Every copy but the first, by doc_id and line, is deleted.
+runs where RUN_LINES is no power of two, are groups of places with common prefixes of at least RUN_LINES lines.
+Every copy but the first, by doc_id and line, is deleted.
+
+line_dedup() ends there: with RUN_LINES = 2 it is one doubling, no longest common prefix is taken, and overlapping runs
+are joined before their words are counted, also where their first places differ, so a joined run needn't occur elsewhere
+as a whole. run_dedup() is the whole job: runs from one line on, each as long as it equals an earlier place, with
+the word minimum on each by itself.
 
 Only DataFrame functions are used. Names are counted by partial aggregates and joined back, so a line that a
 third of all documents hold is split over tasks.

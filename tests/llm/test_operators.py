@@ -269,6 +269,15 @@ def test_run_dedup_against_longest_matches(spark, none):
     assert len({x.text for x in lines.run_dedup(twice).collect()}) == 1 and lines.run_dedup(twice).count() == 2
 
 
+def test_pipeline_adds_up_no_overlapping_runs(spark):
+    import corpus_pipeline
+
+    a, b, c = (" ".join(words_of(4, k)) for k in (1, 2, 3))
+    rows = [(1, f"{a}\n{b}"), (2, f"{b}\n{c}"), (3, f"{a}\n{b}\n{c}"), (4, f"{a}\n{b}\n{c}")]
+    got = {x.doc_id: x.text for x in corpus_pipeline.repeated_lines(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "").collect()}
+    assert got == {**dict(rows), 4: ""}
+
+
 def test_pipeline_cuts_a_repeated_line_on_its_own(spark):
     import corpus_pipeline
 
