@@ -98,44 +98,48 @@ def fold_edges(edges: DataFrame, grams: DataFrame, edge: float, tree: float, ord
     return materialize(one.groupBy("component").cogroup(two.groupBy("part")).applyInPandas(fold, "doc_id bigint, root bigint, bound double"), "folded")
 
 
-def rounds(edges: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float = 0.40, most: int = 12, idle: int = 3, seed: int = 42) -> DataFrame:
+def rounds(edges: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float = 0.40, most: int = 12, seed: int = 42) -> DataFrame:
     """(doc_id, root, bound) by parallel unions under the same guarantee; no component meets in one task.
 
-    In each round roots are hubs or spokes by a hash of the round; a spoke offers itself to its most similar hub.
+    In each round roots are hubs or spokes by a hash of the round; a spoke offers itself to its most similar hub
+    among those that it can join under the bound. Where the hash parts no such pair, the hubs are the roots that are lower
+    than all that they can join, so every round makes a union. Rounds end when no two roots of an edge can be joined.
     Offers are taken in falling order of the bound that they bring to the hub, as long as the two
     lowest bounds there still allow the tree threshold; once one fails all later ones do, so a window decides.
     """
     links = edges.where(F.col("jaccard") > edge).select("a", "b")
     nodes = links.select(F.col("a").alias("doc_id")).unionByName(links.select(F.col("b").alias("doc_id"))).distinct()
     state = materialize(nodes.select("doc_id", F.col("doc_id").alias("root"), F.lit(1.0).alias("bound")), "rounds")
-    quiet = 0
     for k in range(most * 4):
         hub = lambda c: F.pmod(F.xxhash64(F.lit(seed + k), c), F.lit(2)) == 0  # noqa: B023, E731
         ra, rb = state.select(F.col("doc_id").alias("a"), F.col("root").alias("x")), state.select(F.col("doc_id").alias("b"), F.col("root").alias("y"))
-        roots = links.join(ra, "a").join(rb, "b").where("x <> y").select("x", "y")
-        both = roots.unionByName(roots.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct()
-        offers = both.where(hub(F.col("x")) & ~hub(F.col("y")))
+        roots = links.join(ra, "a").join(rb, "b").where("x <> y").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
         gx, gy = grams.select(F.col("doc_id").alias("x"), F.col("grams").alias("gx")), grams.select(F.col("doc_id").alias("y"), F.col("grams").alias("gy"))
-        sims = offers.join(gx, "x").join(gy, "y").select("x", "y", jaccard(F.col("gx"), F.col("gy")).alias("s"))
-        best = sims.groupBy("y").agg(F.max_by(F.struct("x", "s"), F.struct("s", -F.col("x"))).alias("o")).select("y", "o.x", "o.s")
+        sims = roots.join(gx, "x").join(gy, "y").select("x", "y", jaccard(F.col("gx"), F.col("gy")).alias("s"))
         bounds = state.select("root", "bound").distinct()
-        offer = best.join(bounds.select(F.col("root").alias("x"), F.col("bound").alias("own")), "x").join(bounds.select(F.col("root").alias("y"), F.col("bound").alias("theirs")), "y").withColumn("g", F.col("theirs") - (1 - F.col("s")))
+        known = sims.join(bounds.select(F.col("root").alias("x"), F.col("bound").alias("bx")), "x").join(bounds.select(F.col("root").alias("y"), F.col("bound").alias("by")), "y")
+        # Whether two trees can be joined doesn't depend on which of the roots is the hub.
+        open_ = materialize(known.where(F.col("bx") + F.col("by") + F.col("s") - 2 >= tree - 1e-12), "joinable")
+        if open_.isEmpty():
+            release(open_)
+            return state
+        both = open_.select("x", "y", "s", F.col("bx").alias("own"), F.col("by").alias("theirs"))
+        both = both.unionByName(open_.select(F.col("y").alias("x"), F.col("x").alias("y"), "s", F.col("by").alias("own"), F.col("bx").alias("theirs")))
+        offers = both.where(hub(F.col("x")) & ~hub(F.col("y")))
+        if offers.isEmpty():
+            offers = both.join(open_.select(F.col("y").alias("x")).distinct(), "x", "left_anti")
+        best = offers.groupBy("y").agg(F.max_by(F.struct("x", "s", "own", "theirs"), F.struct("s", -F.col("x"))).alias("o")).select("y", "o.*")
+        offer = best.withColumn("g", F.col("theirs") - (1 - F.col("s")))
         order = Window.partitionBy("x").orderBy(F.desc("g"), "y")
         fits = F.col("g") + F.least("own", F.coalesce(F.lag("g").over(order), F.lit(1.0))) - 1 >= tree - 1e-12
         taken = materialize(offer.withColumn("fits", fits).where("fits").select("x", "y", "own", "g"), "taken")
-        if taken.isEmpty():
-            quiet += 1
-            if quiet >= idle:
-                break
-            continue
-        quiet = 0
         moved = taken.select(F.col("y").alias("root"), F.col("x").alias("to"))
         lower = taken.groupBy("x").agg(F.least(F.min("own"), F.min("g")).alias("low")).withColumnRenamed("x", "root")
         old, state = state, state.join(moved, "root", "left").select("doc_id", F.coalesce("to", "root").alias("root"), "bound")
         roots_now = bounds.join(moved, "root", "left_anti").join(lower, "root", "left").select("root", F.coalesce("low", "bound").alias("bound"))
         before, state = old, materialize(state.drop("bound").join(roots_now, "root").select("doc_id", "root", "bound"), "rounds")
-        release(before, taken)
-    return state
+        release(before, taken, open_)
+    raise RuntimeError(f"roots can still be joined after {most * 4} rounds")
 
 
 def second_round(clusters: DataFrame, edges: DataFrame, edge: float, policy: str = "average", least: float | None = None) -> DataFrame:

@@ -1,3 +1,5 @@
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -148,6 +150,29 @@ def test_clusters_keep_their_guarantee(spark):
         assert metrics.cluster_stats(found).first().clusters > 0
 
 
+def test_rounds_join_all_that_can_be_joined(spark):
+    # The hash has these on the same side for three rounds and more.
+    grams = spark.createDataFrame([(i, [1, 2, 3]) for i in (0, 2, 8, 12)], "doc_id bigint, grams array<bigint>")
+    for b in (2, 8, 12):
+        edges = spark.createDataFrame([(0, b, 1.0)], "a bigint, b bigint, jaccard double")
+        assert len({r.root for r in cluster.rounds(edges, grams).collect()}) == 1
+    edges = spark.createDataFrame([(0, 2, 1.0)], "a bigint, b bigint, jaccard double")
+    with pytest.raises(RuntimeError):
+        cluster.rounds(edges, grams, most=0)
+
+
+def test_rounds_leave_no_joinable_roots(spark):
+    r = random.Random(3)
+    sets = {i: sorted(set(range(60)) - {r.randrange(60) for _ in range(5)}) for i in range(40)}
+    sim = lambda x, y: len(set(sets[x]) & set(sets[y])) / len(set(sets[x]) | set(sets[y]))
+    links = [(x, y, sim(x, y)) for x in sets for y in sets if x < y]
+    grams = spark.createDataFrame(list(sets.items()), "doc_id bigint, grams array<bigint>")
+    found = {x.doc_id: x for x in cluster.rounds(spark.createDataFrame(links, "a bigint, b bigint, jaccard double"), grams, 0.75, 0.6).collect()}
+    for x, y, s in links:
+        p, q = found[x], found[y]
+        assert s <= 0.75 or p.root == q.root or p.bound + q.bound + sim(p.root, q.root) - 2 < 0.6 - 1e-12
+
+
 def test_modularity_and_communities(spark):
     edges = spark.createDataFrame([(1, 2, 1.0), (3, 4, 1.0)], "a bigint, b bigint, jaccard double")
     own = spark.createDataFrame([(1, 1), (2, 1), (3, 3), (4, 3)], "doc_id bigint, cluster_id bigint")
