@@ -450,8 +450,8 @@ def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(a, "a").join(b, "b").select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
 
 
-def shingle_components(docs: DataFrame) -> DataFrame:
-    """One row (doc_id, n_shingles, component_id) for each document."""
+def _found(docs: DataFrame) -> DataFrame:
+    """One row (doc_id, t, n_shingles, component_id, one) for each document; one is the lowest (doc_id, t) of its component."""
     texts = _texts(docs)
     survey = materialize(_survey(texts), "survey")
     own = survey.where("part IS NULL")
@@ -470,10 +470,15 @@ def shingle_components(docs: DataFrame) -> DataFrame:
         links = materialize(links.unionByName(_verified(more, _sets_for(more, sets, classes, texts))), "links")
         comps = _with_components(classes, links)
     release(blocks, pairs, more, sets, links)
-    lowest = comps.join(classes.select("cid", F.col("one.doc_id").alias("d"), "n", "s1", "s2"), "cid")
-    lowest = lowest.join(lowest.groupBy("comp").agg(F.min("d").alias("component_id")), "comp").select("n", "s1", "s2", "component_id")
-    rows = own.select("doc_id", F.col("n").alias("n_shingles"), "n", "s1", "s2").join(lowest, ["n", "s1", "s2"], "left")
-    return rows.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
+    lowest = comps.join(classes.select("cid", F.col("one").alias("low"), "n", "s1", "s2"), "cid")
+    lowest = lowest.join(lowest.groupBy("comp").agg(F.min("low").alias("one")), "comp").select("n", "s1", "s2", "one")
+    rows = own.select("doc_id", "t", F.col("n").alias("n_shingles"), "n", "s1", "s2").join(lowest, ["n", "s1", "s2"], "left")
+    return rows.select("doc_id", "t", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("one.doc_id", "doc_id")).alias("component_id"), F.when(F.col("doc_id").isNotNull(), F.col("one")).alias("one"))
+
+
+def shingle_components(docs: DataFrame) -> DataFrame:
+    """One row (doc_id, n_shingles, component_id) for each document."""
+    return _found(docs).select("doc_id", "n_shingles", "component_id")
 
 
 def _with_components(classes: DataFrame, links: DataFrame) -> DataFrame:
@@ -483,10 +488,16 @@ def _with_components(classes: DataFrame, links: DataFrame) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of docs that stand for their component: the one with the lowest doc_id; all columns stay.
+    """The rows of docs that stand for their component: the one with the lowest doc_id and, among these, hash of its text; all columns stay.
 
-    Rows that have no shingles, or no doc_id, link with nothing and stay.
+    Of rows alike in doc_id and text one stays. Rows that have no shingles, or no doc_id, link with nothing and stay.
     """
-    found = shingle_components(docs.select("doc_id", "text"))
-    drop = found.where("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(drop, "doc_id", "left_anti")
+    found = _found(docs.select("doc_id", "text")).where("one IS NOT NULL").groupBy("doc_id", "t", "one").agg(F.count("*").alias("rows"))
+    fate = materialize(found.select(F.col("doc_id").alias("_d"), F.col("t").alias("_t"), F.struct("doc_id", "t").eqNullSafe(F.col("one")).alias("_first"), "rows").where("NOT _first OR rows > 1"), "fate")
+    keyed = docs.withColumn("_h", F.xxhash64(F.coalesce("text", F.lit(""))))
+    at = (F.col("doc_id") == F.col("_d")) & (F.col("_h") == F.col("_t"))
+    kept = keyed.join(fate, at, "left_anti")
+    again = fate.where("_first")
+    if not again.isEmpty():
+        kept = kept.unionByName(keyed.join(again, at, "left_semi").dropDuplicates(["doc_id", "_h"]))
+    return kept.select(*docs.columns)

@@ -325,6 +325,14 @@ def test_shingle_components(spark, none, monkeypatch):
     assert shingle_join.shingle_components(none).count() == 0
 
 
+def test_one_of_each_tells_rows_with_equal_ids_apart(spark):
+    a, b, c = (" ".join(words_of(40, k)) for k in (1, 2, 3))
+    rows = [(3, a, 1), (5, a, 2), (5, b, 3), (6, c, 4), (6, c, 5), (7, c + " x", 6), (8, "d e", 7), (8, "D  e", 8), (9, "", 9), (9, "", 10), (None, a, 11), (None, a, 12)]
+    got = shingle_join.one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string, t bigint")).collect()
+    count = collections.Counter((x.doc_id, (x.text or "").lower().split()[:1] == ["d"] and "d" or x.text) for x in got)
+    assert count == {(3, a): 1, (5, b): 1, (6, c): 1, (8, "d"): 1, (9, ""): 2, (None, a): 2}
+
+
 def test_bitmaps_never_rule_out_a_link():
     r = np.random.default_rng(2)
     for _ in range(200):
