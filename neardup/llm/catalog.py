@@ -56,7 +56,7 @@ def op7_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.shards import sharded_digests
     from neardup.session import scratch_path
 
-    return sharded_digests(documents(spark, sf_dir), scratch_path(spark, "shards"))
+    return sharded_digests(spark.read.parquet(f"{sf_dir.rstrip('/')}/documents.parquet"), scratch_path(spark, "shards"))
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -173,9 +173,9 @@ def arrivals(docs: DataFrame, n: int = 3) -> list[DataFrame]:
 
 
 def sharded_digests(docs: DataFrame, path: str, target: int = TARGET_BYTES, fanout: int = FANOUT) -> DataFrame:
-    """Appends docs in arrivals, compacts, and reads (doc_id, n_bytes, text_md5) from the committed version."""
+    """Appends docs with all columns in arrivals, compacts, and reads (doc_id, n_bytes, text_md5) from the committed version."""
     store = ShardStore(docs.sparkSession, path)
-    for part in arrivals(docs.select("doc_id", "text")):
+    for part in arrivals(docs):
         store.append(part)
     store.compact(target, fanout)
     return store.read().select("doc_id", F.octet_length("text").cast("bigint").alias("n_bytes"), F.md5("text").alias("text_md5"))

@@ -403,6 +403,18 @@ def test_shards_commit_and_compact(spark, tmp_path):
     assert store.read().count() == 600
 
 
+def test_sharding_keeps_all_columns(spark, tmp_path, monkeypatch):
+    from neardup.llm import catalog
+
+    rows = [(i, f"text {i}", "en" if i % 2 else None, "s", i) for i in range(9)] + [(None, None, None, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    monkeypatch.setattr("neardup.session.scratch_path", lambda spark, name: f"{tmp_path}/{name}")
+    assert catalog.op7_sharding(spark, str(tmp_path)).columns == ["doc_id", "n_bytes", "text_md5"]
+    kept = shards.ShardStore(spark, f"{tmp_path}/shards").read()
+    assert kept.columns == docs.columns and sorted(map(str, kept.collect())) == sorted(map(str, docs.collect()))
+
+
 # --- pipeline
 
 
