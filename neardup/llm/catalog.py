@@ -40,12 +40,6 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup_report(documents(spark, sf_dir))
 
 
-def op5_repeated_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from neardup.llm.lines import run_dedup_report
-
-    return run_dedup_report(documents(spark, sf_dir))
-
-
 def op6_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     from neardup.llm.private import find_private
 
@@ -84,7 +78,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op5_repeated_runs, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
+    return {f.__name__: f for f in (op1_token_files, op2_shingle_join, op3_repeated_strings, op4_toxicity, op5_line_dedup, op6_private_data, op7_sharding, op8_quality, op9_piece_encoding, op10_decontamination, pipeline)}
 
 
 #: Sets of 5-word shingles, links at 100 * shared >= 80 * total, and the lowest id that links reach.
@@ -120,15 +114,18 @@ FROM f
 """
 
 
-#: Runs of lines.RUN_LINES = 2 lines and lines.WORDS = 10 words; every copy but the first is deleted.
+#: All runs of 1 to 10 lines with 10 words or more (lines.WORDS); every copy but the first is deleted. Longer runs consist of such runs.
 LINES_SQL = r"""
 WITH l AS (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS no FROM documents),
 s AS (SELECT doc_id, no, line, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS w FROM l),
-q AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY no) AS pos, lead(line) OVER (PARTITION BY doc_id ORDER BY no) AS follower FROM s WHERE w > 0),
-r AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY line, follower ORDER BY doc_id, pos) AS nth FROM q WHERE follower IS NOT NULL),
-g AS (SELECT DISTINCT doc_id, pos + unnest(range(0, 2)) AS pos FROM r WHERE nth > 1),
-c AS (SELECT q.doc_id, q.no, q.pos, q.w, q.pos - row_number() OVER (PARTITION BY q.doc_id ORDER BY q.pos) AS island FROM q JOIN g ON g.doc_id = q.doc_id AND g.pos = q.pos),
-x AS (SELECT doc_id, no FROM (SELECT *, sum(w) OVER (PARTITION BY doc_id, island) AS total FROM c) WHERE total >= 10),
+q AS (SELECT doc_id, no, line, w, row_number() OVER (PARTITION BY doc_id ORDER BY no) AS pos FROM s WHERE w > 0),
+d AS (SELECT doc_id, list(line ORDER BY pos) AS ls, list(w ORDER BY pos) AS ws FROM q GROUP BY doc_id),
+p AS (SELECT doc_id, unnest(range(1, len(ls) + 1)) AS pos, ls, ws FROM d),
+n AS (SELECT doc_id, pos, unnest(range(1, 11)) AS n, ls, ws FROM p),
+r AS (SELECT doc_id, pos, n, array_to_string(ls[pos : pos + n - 1], chr(10)) AS run FROM n WHERE pos + n - 1 <= len(ls) AND list_sum(ws[pos : pos + n - 1]) >= 10),
+o AS (SELECT doc_id, pos, n, row_number() OVER (PARTITION BY run ORDER BY doc_id, pos) AS nth FROM r),
+g AS (SELECT DISTINCT doc_id, pos + unnest(range(0, n)) AS pos FROM o WHERE nth > 1),
+x AS (SELECT q.doc_id, q.no FROM q JOIN g ON g.doc_id = q.doc_id AND g.pos = q.pos),
 k AS (SELECT l.doc_id, string_agg(l.line, chr(10) ORDER BY l.no) FILTER (WHERE x.no IS NULL) AS kept, count(x.no) AS gone FROM l LEFT JOIN x ON x.doc_id = l.doc_id AND x.no = l.no GROUP BY l.doc_id)
 SELECT doc_id, gone AS n_lines_removed, length(coalesce(kept, '')) AS kept_chars, md5(coalesce(kept, '')) AS kept_md5 FROM k
 """

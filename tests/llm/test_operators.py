@@ -209,40 +209,6 @@ def test_repeated_strings(docs, none, hot):
 # --- 5
 
 
-def line_oracle(rows, run, least):
-    seqs = {d: [(k, x) for k, x in enumerate((t or "").split("\n")) if WORD.search(x)] for d, t in rows}
-    first, cover = {}, collections.defaultdict(set)
-    for d in sorted(seqs):
-        for i in range(len(seqs[d]) - run + 1):
-            key = tuple(x for _, x in seqs[d][i : i + run])
-            if first.setdefault(key, (d, i)) != (d, i):
-                cover[d].update(range(i, i + run))
-    out = {}
-    for d, t in rows:
-        islands, gone = [], set()
-        for i in sorted(cover[d]):
-            if islands and islands[-1][-1] == i - 1:
-                islands[-1].append(i)
-            else:
-                islands.append([i])
-        for isl in islands:
-            if sum(len(WORD.findall(seqs[d][i][1])) for i in isl) >= least:
-                gone |= {seqs[d][i][0] for i in isl}
-        out[d] = "\n".join(x for k, x in enumerate((t or "").split("\n")) if k not in gone)
-    return out
-
-
-@pytest.mark.parametrize("run", [1, 2, 3, 5])
-def test_line_dedup(spark, none, run):
-    r = random.Random(run)
-    pool = [f"line {k} " + " ".join(words_of(3, k)) for k in range(12)] + ["", "x", "  "]
-    rows = [(i, "\n".join(r.choice(pool) for _ in range(r.randint(0, 25)))) for i in range(40)] + [(50, None)]
-    df = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("at", F.lit(1)).withColumn("d", F.lit("x"))
-    got = {x.doc_id: x.text or "" for x in lines.line_dedup(df, run, 8).collect()}
-    assert got == line_oracle(rows, run, 8)
-    assert lines.line_dedup_report(none).count() == 0
-
-
 def run_oracle(rows, least):
     """Longest match of every place with every earlier one, in plain loops."""
     seqs = {d: [(k, x) for k, x in enumerate((t or "").split("\n")) if WORD.search(x)] for d, t in rows}
@@ -257,34 +223,86 @@ def run_oracle(rows, least):
     return {d: "\n".join(x for k, x in enumerate((t or "").split("\n")) if k not in out[d]) for d, t in rows}
 
 
-def test_run_dedup_against_longest_matches(spark, none):
+@pytest.fixture(scope="module")
+def line_docs(spark):
     r = random.Random(5)
     pool = [f"line {k} " + " ".join(words_of(k % 6, k)) for k in range(14)] + [" ".join(words_of(9, 50)), "", "x", "y", "  "]
-    rows = [(i, "\n".join(r.choice(pool) for _ in range(r.randint(0, 25)))) for i in range(40)] + [(50, None), (51, "x\n" * 30)]
-    df = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("at", F.lit(1)).withColumn("d", F.lit("x"))
-    for least in (8, 10, 1):
-        assert {x.doc_id: x.text or "" for x in lines.run_dedup(df, least).collect()} == run_oracle(rows, least)
-    assert lines.run_dedup_report(none).count() == 0
-    twice = df.where("doc_id = 3").unionByName(df.where("doc_id = 3"))
+    long_run = "\n".join(f"u{k} v{k}" for k in range(40))
+    rows = [(i, "\n".join(r.choice(pool) for _ in range(r.randint(0, 25)))) for i in range(40)] + [(50, None), (51, "x\n" * 30), (52, long_run), (53, "a\n" + long_run + "\nb"), (54, "")]
+    return rows, spark.createDataFrame(rows, "doc_id bigint, text string")
+
+
+def test_line_dedup_against_longest_matches(line_docs, none):
+    rows, plain = line_docs
+    # Columns with the names that are used inside.
+    df = plain
+    for name in ("at", "d", "t", "name", "check", "row", "cut", "_cut", "_d", "_t", "_n_removed", "sources", "a.b"):
+        df = df.withColumn(name, F.lit(name))
+    for least in (8, 1):
+        done = lines.run_dedup(df, least)
+        assert done.columns == df.columns
+        got = done.collect()
+        assert {x.doc_id: x.text or "" for x in got} == run_oracle(rows, least) and {tuple(x)[2:] for x in got} == {tuple(df.columns[2:])}
+    assert next(x.text for x in got if x.doc_id == 50) is None
+    assert lines.line_dedup_report(none).count() == 0
+    twice = plain.where("doc_id = 3").unionByName(plain.where("doc_id = 3"))
     assert len({x.text for x in lines.run_dedup(twice).collect()}) == 1 and lines.run_dedup(twice).count() == 2
 
 
+def test_doubling_levels_and_maximal_runs(line_docs):
+    """Every level has the places whose runs occur more than once, and the intervals give runs as long as they go."""
+    rows, df = line_docs
+    sequences = lines.line_sequences(df, 10)
+    seqs = {d: [x for x in (t or "").split("\n") if WORD.search(x)] for d, t in rows}
+    for k, level in enumerate(lines.doubled(sequences, 10)):
+        n = 1 << k
+        count = collections.Counter(tuple(s[i : i + n]) for s in seqs.values() for i in range(len(s) - n + 1))
+        want = sorted((d, i) for d, s in seqs.items() for i in range(len(s) - n + 1) if count[tuple(s[i : i + n])] > 1)
+        assert sorted((x.d, x["at"]) for x in level.collect()) == want and len(want) > 10
+    _, copies = lines.later_copies(sequences, lines.doubled(sequences, 10))
+    found = {x.d: [[(r["at"], r.end) for r in s.runs] for s in x.sources] for x in lines.maximal_runs(copies).collect()}
+    assert found[53] == [[(1, 41)]] and 52 not in found and 50 not in found
+
+
+def test_line_dedup_with_a_hot_line_and_hot_keys(spark, monkeypatch):
+    """The same rows whether names are heavy, and broadcast, or not."""
+    hot, rows = " ".join(words_of(20, 1)), []
+    for i in range(60):
+        rows.append((i, "\n".join([" ".join(words_of(6, 100 + i)), hot if i % 3 else "x", " ".join(words_of(6, 300 + i % 7)), " ".join(words_of(6, 400 + i % 7))])))
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    want = run_oracle(rows, 10)
+    from neardup.operators import skew
+
+    for keys in (1_000, 5):
+        monkeypatch.setattr(skew, "HEAVY_KEYS", keys)
+        monkeypatch.setattr(skew.join_counted, "__defaults__", ("inner", "n", keys))
+        assert {x.doc_id: x.text for x in lines.run_dedup(df).collect()} == want
+
+
 def test_pipeline_adds_up_no_overlapping_runs(spark):
     import corpus_pipeline
 
     a, b, c = (" ".join(words_of(4, k)) for k in (1, 2, 3))
     rows = [(1, f"{a}\n{b}"), (2, f"{b}\n{c}"), (3, f"{a}\n{b}\n{c}"), (4, f"{a}\n{b}\n{c}")]
     got = {x.doc_id: x.text for x in corpus_pipeline.repeated_lines(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "").collect()}
-    assert got == {**dict(rows), 4: ""}
+    # The fourth is a copy as a whole: it is for the next stage to drop.
+    assert got == dict(rows)
+    assert {x.doc_id: x.text for x in lines.run_dedup(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()} == {**dict(rows), 4: ""}
 
 
 def test_pipeline_cuts_a_repeated_line_on_its_own(spark):
     import corpus_pipeline
 
     line, other = " ".join(words_of(60, 1)), [" ".join(words_of(12, k)) for k in range(2, 6)]
-    rows = [(1, f"{other[0]}\n{line}\n{other[1]}"), (2, f"{other[2]}\n{line}\n{other[3]}"), (3, line)]
-    got = {x.doc_id: x.text for x in corpus_pipeline.repeated_lines(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "").collect()}
-    assert got == {1: rows[0][1], 2: f"{other[2]}\n{other[3]}", 3: ""}
+    rows = [(1, f"{other[0]}\n{line}\n{other[1]}", 9), (2, f"{other[2]}\n{line}\n{other[3]}", 9), (3, line, 9)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, n_chars bigint")
+    got = {x.doc_id: (x.text, x.n_chars) for x in corpus_pipeline.repeated_lines(spark, docs.where("doc_id <> 2"), "").collect()}
+    # The third is no version of the first, as it is too short for that, and nothing is left of it.
+    assert got == {1: (rows[0][1], 9)}
+    more = spark.createDataFrame([(2, f"{other[2]}\n{line}\n{other[3]} " + " ".join(words_of(300, 9)), 9)], docs.schema)
+    got = {x.doc_id: (x.text, x.n_chars) for x in corpus_pipeline.repeated_lines(spark, docs.where("doc_id = 1").unionByName(more), "").collect()}
+    kept = f"{other[2]}\n{other[3]} " + " ".join(words_of(300, 9))
+    assert got == {1: (rows[0][1], 9), 2: (kept, len(kept))}
 
 
 # --- 2
@@ -425,7 +443,7 @@ def test_pipeline_against_its_parts(spark, tmp_path):
     item = " ".join(words_of(25, 77))
     rows = [(i, "\n".join(" ".join(words_of(r.randint(8, 14), 1000 * i + k)) for k in range(5)), "en", "s", 0) for i in range(12)]
     shared = "\n".join(" ".join(words_of(10, 9000 + k)) for k in range(2))
-    rows += [(20, rows[0][1].replace("\n", " "), "en", "s", 0), (21, "short", "en", "s", 0), (22, None, "en", "s", None), (23, item + "\n" + rows[1][1].replace("\n", " x "), "en", "s", 0), (24, shared + "\n" + " ".join(words_of(40, 5)), "en", "s", 0), (25, shared + "\n" + " ".join(words_of(40, 6)), "en", "s", 0)]
+    rows += [(20, rows[0][1].replace("\n", " "), "en", "s", 0), (21, "short", "en", "s", 0), (22, None, "en", "s", None), (23, item + "\n" + rows[1][1].replace("\n", " x "), "en", "s", 0), (24, shared + "\n" + " ".join(words_of(40, 5)), "en", "s", 0), (25, shared + "\n" + " ".join(words_of(90, 6)), "en", "s", 0)]
     spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint").write.parquet(f"{tmp_path}/documents.parquet")
     spark.createDataFrame([(1, item)], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
     docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
@@ -433,7 +451,7 @@ def test_pipeline_against_its_parts(spark, tmp_path):
         docs = stage(spark, docs, str(tmp_path))
         assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars"], name
     kept = {x.doc_id: x.text for x in docs.collect()}
-    assert set(kept) == {*range(12), 24, 25} and kept[24].startswith(shared) and kept[25] == " ".join(words_of(40, 6))
+    assert set(kept) == {*range(12), 24, 25} and kept[24].startswith(shared) and kept[25] == " ".join(words_of(90, 6))
     done = {x.doc_id: x for x in corpus_pipeline.run(spark, str(tmp_path)).collect()}
     assert set(done) == set(kept)
     table = pieces.PieceTable(PIECES)
