@@ -159,29 +159,106 @@ def test_toxicity_learns_and_scores(spark, none):
 # --- 6
 
 
+def plain_spans(text):
+    """The contract's patterns as they stand, one after the other."""
+    out = []
+    for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", text):
+        out.append((m.start(), 0, m.end()))
+    for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", text):
+        if max(map(int, m.group().split("."))) <= 255:
+            out.append((m.start(), 1, m.end()))
+    for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", text):
+        d = [int(c) for c in m.group() if c.isdigit()][::-1]
+        if 14 <= len(d) <= 19 and (sum(d[::2]) + sum(sum(divmod(2 * x, 10)) for x in d[1::2])) % 10 == 0:
+            out.append((m.start(), 2, m.end()))
+    for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", text):
+        if 10 <= sum(c.isdigit() for c in m.group()) <= 15:
+            out.append((m.start(), 3, m.end()))
+    return ",".join(f"{private.KINDS[k]}:{s}:{e}" for s, k, e in sorted(out))
+
+
+@pytest.fixture(scope="module")
+def tagger(spark):
+    return private.train_tagger(spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text"))
+
+
 def test_base_spans():
     t = "mail a.b@x.example.com or 10.0.0.300 10.1.2.3 card 4111 1111 1111 1111, +1 (499) 555-6503 +12"
     assert private.digest(private.base_spans(t)) == "email:5:22,ip:37:45,card:51:70,phone:72:89"
+    assert private.digest(private.base_spans("10.1.2.3@x.com")) == "email:0:14,ip:0:8"
+    assert private.digest(private.base_spans("4111111111111111@x.com")) == "email:0:22,card:0:16"
     assert private.base_spans("") == [] == private.base_spans("@ @@ + . 1")
     assert not private.luhn("4111111111111112")
+    r = random.Random(2)
+    bits = ["1", "4111 1111 1111 1111", "10.0.0.1", ".", "@", "a", "+", " ", "-", "+1 (499) 555-6503", "x.y", "é", "255", "(", ")", "\n"]
+    for _ in range(4000):
+        t = "".join(r.choice(bits) for _ in range(r.randint(0, 9)))
+        assert private.digest(private.base_spans(t)) == plain_spans(t), repr(t)
+
+
+def test_private_data_of_a_whole_table(spark, tagger):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").withColumn("spans", F.lit("x")).withColumn("n_email", F.lit(9))
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    got = private.find_private(docs, tagger).collect()
+    assert len(got) == len(texts)
+    for r in got:
+        want = plain_spans(texts[r.doc_id])
+        kinds = collections.Counter(x.split(":")[0] for x in want.split(",") if x)
+        assert (r.n_email, r.n_ip, r.n_card, r.n_phone) == tuple(kinds[k] for k in private.KINDS)
+        assert r.base_sha256 == hashlib.sha256(want.encode()).hexdigest()
+        assert {x for x in want.split(",") if x} <= set(r.spans.split(",")) and r.n_added == len([x for x in r.spans.split(",") if x]) - sum(kinds.values())
+
+
+def test_tagger_finds_numbers_that_no_pattern_finds(tagger):
+    r, texts, want = random.Random(9), [], []
+    digits = lambda n: "".join(r.choice("0123456789") for _ in range(n))
+    for k in range(200):
+        a, b, c = digits(3), digits(3), digits(4)
+        body, kind = r.choice([f"({a}) {b}-{c}", f"{a}-{b}-{c}", f"{a}.{b}.{c}"]), 3
+        if k % 2:
+            x = digits(15)
+            x = next(x + str(i) for i in range(10) if private.luhn(x + str(i)))
+            body, kind = r.choice("./").join(x[i : i + 4] for i in range(0, 16, 4)), 2
+        # Anywhere in a text that is much longer than a window, so that spans lie over edges of windows.
+        head, tail = " ".join(words_of(r.randint(0, 40), k)).replace("w", "no "), " and so on" * 30
+        head = re.sub("[0-9]+", "th", head) + " "
+        texts.append(head + body + tail)
+        want.append((len(head), len(head) + len(body), kind))
+    found = private.tagged_spans(texts, tagger)
+    assert sum(w in f for w, f in zip(want, found, strict=True)) >= 0.9 * len(want)
+    assert sum(len(f) for f in private.tagged_spans([t.replace("0", "x").replace("1", "y")[:20] for t in texts], tagger)) <= 10
+    assert found == [private.tagged_spans([t], tagger)[0] for t in texts]
+
+
+def test_best_path_of_a_batch_equals_all_paths():
+    """Viterbi over scores of different lengths against every path."""
+    import itertools
 
-
-def test_tagger_gradients_and_private_data(spark, none):
     tagger, r = private.Tagger(1), np.random.default_rng(0)
+    tagger.p["T"] = r.standard_normal(tagger.p["T"].shape).astype(np.float32)
+    e, sizes = r.standard_normal((3, 4, private.TAGS)).astype(np.float32), np.array([4, 1, 3])
+    got = tagger.best_path(e, sizes)
+    for i, n in enumerate(sizes.tolist()):
+        worth = lambda p: sum(e[i, t, p[t]] for t in range(n)) + sum(tagger.p["T"][p[t - 1], p[t]] for t in range(1, n))  # noqa: B023, E731
+        assert tuple(got[i, :n]) == max(itertools.product(range(private.TAGS), repeat=n), key=worth)
+
+
+def test_tagger_gradients_and_private_data(spark, none, tagger):
+    other, r = private.Tagger(1), np.random.default_rng(0)
     x, y = r.integers(0, private.N_CLASSES, (3, 7)), r.integers(0, private.TAGS, (3, 7))
-    _, g = tagger.step(x, y)
+    _, g = other.step(x, y)
     for name, at in (("E", (int(x[0, 0]), 1)), ("fW", (2, 3)), ("bW", (9, 5)), ("O", (1, 2)), ("T", (0, 1))):
-        keep, eps = tagger.p[name][at], 1e-2
-        tagger.p[name][at] = keep + eps
-        up = tagger.step(x, y)[0]
-        tagger.p[name][at] = keep - eps
-        down = tagger.step(x, y)[0]
-        tagger.p[name][at] = keep
+        keep, eps = other.p[name][at], 1e-2
+        other.p[name][at] = keep + eps
+        up = other.step(x, y)[0]
+        other.p[name][at] = keep - eps
+        down = other.step(x, y)[0]
+        other.p[name][at] = keep
         assert abs((up - down) / (2 * eps) - g[name][at]) < 2e-2
-    df = spark.createDataFrame([(1, "call +1 (499) 555-6503 now"), (2, None), (3, ""), (3, "x" * 5000 + " a@b.cd")], "doc_id bigint, text string")
-    got = sorted((r.doc_id, r.n_email, r.n_phone, r.spans) for r in private.find_private(df).collect())
-    assert got == [(1, 0, 1, "phone:5:22"), (2, 0, 0, ""), (3, 0, 0, ""), (3, 1, 0, "email:5001:5007")]
-    assert private.find_private(none).count() == 0
+    df = spark.createDataFrame([(1, "call +1 (499) 555-6503 now"), (2, None), (3, ""), (3, "x" * 5000 + " a@b.cd"), (3, "")], "doc_id bigint, text string")
+    got = sorted((r.doc_id, r.n_email, r.n_phone, r.spans) for r in private.find_private(df, tagger).collect())
+    assert got == [(1, 0, 1, "phone:5:22"), (2, 0, 0, ""), (3, 0, 0, ""), (3, 0, 0, ""), (3, 1, 0, "email:5001:5007")]
+    assert private.find_private(none, tagger).count() == 0
 
 
 # --- 3
@@ -442,7 +519,7 @@ def test_pipeline_against_its_parts(spark, tmp_path):
     r = random.Random(6)
     item = " ".join(words_of(25, 77))
     rows = [(i, "\n".join(" ".join(words_of(r.randint(8, 14), 1000 * i + k)) for k in range(5)), "en", "s", 0) for i in range(12)]
-    shared = "\n".join(" ".join(words_of(10, 9000 + k)) for k in range(2))
+    shared = "\n".join(" ".join(words_of(10, 99000 + k)) for k in range(2))
     rows += [(20, rows[0][1].replace("\n", " "), "en", "s", 0), (21, "short", "en", "s", 0), (22, None, "en", "s", None), (23, item + "\n" + rows[1][1].replace("\n", " x "), "en", "s", 0), (24, shared + "\n" + " ".join(words_of(40, 5)), "en", "s", 0), (25, shared + "\n" + " ".join(words_of(90, 6)), "en", "s", 0)]
     spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint").write.parquet(f"{tmp_path}/documents.parquet")
     spark.createDataFrame([(1, item)], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
