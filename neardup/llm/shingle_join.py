@@ -8,14 +8,15 @@ Two documents link when 100 * |A & B| >= 80 * |A | B| for their sets of 5-word s
    come into these prefixes. Classes that share a prefix shingle form a block; equal blocks are dropped.
 3. Each block is searched by a signature tree: nodes hold the OR of their members' token bitmaps and
    their range of sizes, and pairs of nodes are left out when the most that they can share is too little.
-   Members of one component need no further link. Small blocks give all pairs that the bitmaps allow;
-   larger ones give a spanning set first and, when those are verified, all that still leads
-   from one component to another. Blocks of more than CHUNK members are searched in pairs of chunks.
+   Every pair of a block comes from a traversal of its tree. Members of one component need no further link: small
+   blocks give all pairs that the bitmaps allow; larger ones give a spanning set first and, when
+   those are verified, all that still leads from one component to another. Blocks of more than CHUNK members are searched in pairs of chunks.
 4. The candidates' sets are compared in full, and components are the answer.
 
 Cases: null text has no shingles and links with nothing, as has text without words; fewer than 5 words
 count as one shingle; rows with equal doc_id are told apart by the hash of their text and each is in
-the component of its own text; rows with a null doc_id have component null and link nothing; an empty table gives no rows.
+the component of its own text; rows with a null doc_id have component null and link nothing; an empty table gives no rows; further
+columns, whatever their names, are not read, and one_of_each() hands them on.
 """
 
 from __future__ import annotations
@@ -36,8 +37,11 @@ from neardup.session import materialize, release
 SKETCH_BITS = 21
 SKETCH_PARTS = 16
 CHUNK = 1_024
+#: Blocks of at most so many members give all allowed pairs at once, larger ones a spanning set first.
 SMALL = 12
-LEAF = 16
+#: A leaf has so many members, or more where a block would have more than about twice LEAVES leaves.
+LEAF = 2
+LEAVES = 32
 
 
 def distinct_sets(buf: np.ndarray, offs: np.ndarray, k: int = 5) -> Iterator[np.ndarray]:
@@ -132,9 +136,13 @@ class Block:
         return self.ids[np.array(out_i, np.int64)], self.ids[np.array(out_j, np.int64)]
 
     def all_pairs(self) -> tuple[np.ndarray, np.ndarray]:
-        i, j = np.triu_indices(len(self.ids), 1)
-        i, j, _ = self.allowed(i, j)
-        return self.ids[i], self.ids[j]
+        """All allowed pairs, found by dual traversal of the signature tree with itself."""
+        out_i, out_j = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for i, j in SignatureTree(self).leaf_pairs():
+            i, j, _ = self.allowed(i, j)
+            out_i.append(self.ids[i])
+            out_j.append(self.ids[j])
+        return np.concatenate(out_i), np.concatenate(out_j)
 
     def spanning_pairs(self) -> tuple[np.ndarray, np.ndarray]:
         """Allowed pairs found by dual traversal of the signature tree with itself, but for those that earlier ones already join."""
@@ -160,15 +168,17 @@ class Block:
 
 
 class SignatureTree:
-    """Binary tree over the members of a block in order of size."""
+    """Binary tree over the members of a block in order of size; looked and pruned count the pairs of nodes that a traversal meets and leaves out."""
 
     def __init__(self, block: Block):
         self.block, self.nodes = block, []
+        self.leaf = max(LEAF, len(block.ids) // LEAVES)
+        self.looked = self.pruned = 0
         self.root = self._build(0, len(block.ids))
 
     def _build(self, lo: int, hi: int) -> int:
         b = self.block
-        if hi - lo <= LEAF:
+        if hi - lo <= self.leaf:
             width = int(b.widths[lo:hi].min())
             maps = b.at(width)[lo:hi]
             ors, fewest, kids = np.bitwise_or.reduce(maps, 0), int(np.bitwise_count(maps).sum(1, dtype=np.int64).min()), None
@@ -199,7 +209,9 @@ class SignatureTree:
         while todo:
             p, q = todo.pop()
             x, y = self.nodes[p], self.nodes[q]
+            self.looked += 1
             if not self._possible(x, y):
+                self.pruned += 1
                 continue
             if x["kids"] is None and y["kids"] is None:
                 if p == q:
@@ -493,11 +505,11 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     Of rows alike in doc_id and text one stays. Rows that have no shingles, or no doc_id, link with nothing and stay.
     """
     found = _found(docs.select("doc_id", "text")).where("one IS NOT NULL").groupBy("doc_id", "t", "one").agg(F.count("*").alias("rows"))
-    fate = materialize(found.select(F.col("doc_id").alias("_d"), F.col("t").alias("_t"), F.struct("doc_id", "t").eqNullSafe(F.col("one")).alias("_first"), "rows").where("NOT _first OR rows > 1"), "fate")
-    keyed = docs.withColumn("_h", F.xxhash64(F.coalesce("text", F.lit(""))))
-    at = (F.col("doc_id") == F.col("_d")) & (F.col("_h") == F.col("_t"))
-    kept = keyed.join(fate, at, "left_anti")
-    again = fate.where("_first")
+    fate = materialize(found.select(F.col("doc_id").alias("d"), F.col("t").alias("h"), F.struct("doc_id", "t").eqNullSafe(F.col("one")).alias("first"), "rows").where("NOT first OR rows > 1"), "fate")
+    # All columns travel in one struct, so that no name of theirs can clash.
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("doc_id").alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"))
+    kept = keyed.join(fate, ["d", "h"], "left_anti")
+    again = fate.where("first")
     if not again.isEmpty():
-        kept = kept.unionByName(keyed.join(again, at, "left_semi").dropDuplicates(["doc_id", "_h"]))
-    return kept.select(*docs.columns)
+        kept = kept.unionByName(keyed.join(again, ["d", "h"], "left_semi").dropDuplicates(["d", "h"]))
+    return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
