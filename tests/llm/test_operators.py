@@ -106,6 +106,25 @@ def test_piece_encoding_of_a_table(docs, none):
     assert pieces.encode_digests(none, PIECES).count() == 0
 
 
+def test_table_of_distinct_words(spark, docs, monkeypatch):
+    """Counts of all words, a bounded table of frequent ones, and the library's ids whatever its size; repeated and null ids stay."""
+    import sentencepiece
+
+    plain, table = sentencepiece.SentencePieceProcessor(model_file=PIECES), pieces.PieceTable(PIECES)
+    want = collections.Counter(w for r in docs.collect() if r.text for w in table.words(r.text)[0] if len(w) <= pieces.KEEP)
+    counts = pieces.word_counts(docs.select("text"), PIECES)
+    assert {r.word: r.n for r in counts.collect()} == want
+    for most in (0, 5, 30, 10**6):
+        found = [r.word for r in pieces.frequent_words(counts, most).collect()]
+        assert len(found) <= most and all(want[f] > want[w] for f in found for w in want if w not in set(found))
+    assert len(found) == len(want)
+    again = docs.unionByName(docs.where("doc_id = 3"))
+    truth = sorted((str(r.doc_id), hashlib.sha256(np.array([1, *plain.encode(r.text or ""), 2], "<u4").tobytes()).hexdigest()) for r in again.collect())
+    for most in (pieces.HEAD, 3):
+        monkeypatch.setattr(pieces.shared_table, "__defaults__", (most,))
+        assert sorted((str(r.doc_id), r.ids_sha256) for r in pieces.encode_digests(again, PIECES).collect()) == truth
+
+
 # --- 8
 
 
@@ -423,7 +442,10 @@ def test_shingle_components(spark, none, monkeypatch):
 def test_one_of_each_tells_rows_with_equal_ids_apart(spark):
     a, b, c = (" ".join(words_of(40, k)) for k in (1, 2, 3))
     rows = [(3, a, 1), (5, a, 2), (5, b, 3), (6, c, 4), (6, c, 5), (7, c + " x", 6), (8, "d e", 7), (8, "D  e", 8), (9, "", 9), (9, "", 10), (None, a, 11), (None, a, 12)]
-    got = shingle_join.one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string, t bigint")).collect()
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, t bigint").withColumn("_h", F.lit(1)).withColumn("_d", F.lit("x")).withColumn("row", F.lit(2)).withColumn("d", F.lit(3))
+    done = shingle_join.one_of_each(docs)
+    assert done.columns == docs.columns
+    got = done.collect()
     count = collections.Counter((x.doc_id, (x.text or "").lower().split()[:1] == ["d"] and "d" or x.text) for x in got)
     assert count == {(3, a): 1, (5, b): 1, (6, c): 1, (8, "d"): 1, (9, ""): 2, (None, a): 2}
 
@@ -440,6 +462,29 @@ def test_bitmaps_never_rule_out_a_link():
             assert len(block.all_pairs()[0]) == 1 == len(block.spanning_pairs()[0])
 
 
+def test_signature_trees_prune_and_lose_nothing():
+    """Blocks with groups of near copies of different sizes: pairs of nodes are left out, and all links are found."""
+    r, pruned, looked = np.random.default_rng(4), 0, 0
+    for n_groups, each in ((2, 2), (3, 4), (8, 12), (20, 30)):
+        sets = []
+        for g in range(n_groups):
+            base = np.unique(r.integers(0, 2**63, 40 + 9 * g).astype(np.uint64))
+            sets += [np.unique(np.concatenate((base[int(r.integers(3)) :], r.integers(0, 2**63, int(r.integers(1, 4))).astype(np.uint64)))) for _ in range(each)]
+        block = shingle_join.Block(list(range(len(sets))), list(range(len(sets))), [len(s) for s in sets], [shingle_join.bitmap(s) for s in sets])
+        tree = shingle_join.SignatureTree(block)
+        seen = {tuple(sorted((int(block.ids[x]), int(block.ids[y])))) for i, j in tree.leaf_pairs() for x, y in zip(i, j, strict=True)}
+        links = set()
+        for a in range(len(sets)):
+            for b in range(a):
+                shared = len(np.intersect1d(sets[a], sets[b]))
+                if 100 * shared >= 80 * (len(sets[a]) + len(sets[b]) - shared):
+                    links.add((b, a))
+        found = {tuple(sorted(p)) for p in zip(*(x.tolist() for x in block.all_pairs()), strict=True)}
+        assert links and links <= found <= seen and len(seen) < len(sets) * (len(sets) - 1) // 2
+        pruned, looked = pruned + tree.pruned, looked + tree.looked
+    assert pruned > 0.2 * looked
+
+
 # --- 10
 
 
