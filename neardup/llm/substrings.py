@@ -4,19 +4,22 @@ The suffixes of a text are its windows of THRESHOLD bytes; two of them fall into
 the windows are equal. The radix passes go from the most significant digit on, and each carries on
 only groups of two or more:
 
-1. the digit of a window is its anchor: the place inside it whose ANCHOR bytes hash lowest, leftmost
+1. the first digit of a window is its anchor: the place inside it whose ANCHOR bytes hash lowest, leftmost
    among equals. Equal windows have equal anchors at equal places, and one anchor stands for all the
    windows in a row that choose it, so a corpus has about one anchor for 160 bytes;
-2. the digit of an anchor is all the bytes that its windows cover: where two anchors agree here, all their windows are repeated;
+2. where two anchors agree in all the bytes that their windows cover, all these windows are repeated and need no more passes;
 3. what agrees in pass 1 and not in pass 2 lies at the border of a repeated passage: there one anchor for
-   each value of pass 2 is opened into its windows, whose full hashes settle which of them are repeated.
+   each value of pass 2 is opened into its windows, which are sorted within their anchor by their bytes in digits of
+   ANCHOR bytes, the most significant first. Ranks that one window alone has are dropped after each digit; what
+   is left at THRESHOLD bytes are exactly the repeated windows.
 
-Groups are counted by partial aggregates, so a passage that a third of all rows share is no task's burden.
-Hashes have 64 bits in each pass and windows are compared under the hash of their anchor too.
+Groups are counted by partial aggregates, and rows meet the counts of a hot digit, such as a passage that a third of all
+rows share, where they lie (operators/skew.py). An anchor with very many kinds is split by its windows.
+Hashes have 64 bits for each digit and windows are compared under the hash of their anchor too.
 
 Cases: null text counts as empty; texts shorter than THRESHOLD keep all bytes; copies and repeated rows of at
 least THRESHOLD bytes lose every byte, as each also lies in the other; rows with equal doc_id and different
-text are told apart by the hash of their text; an empty table gives no rows.
+text are told apart by the hash of their text; an empty table gives no rows; further columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -30,6 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from neardup.llm.common import GOLDEN, mix, prefix_hash, range_hash, slices, texts_of
+from neardup.operators.skew import join_counted, repeated
 from neardup.session import materialize, release
 
 THRESHOLD = 400
@@ -109,25 +113,41 @@ def _in_text(opened: DataFrame, keyed: DataFrame, threshold: int) -> DataFrame:
     return both.select("k.doc_id", "k.t", "text", "open").mapInArrow(run, "h bigint, doc_id bigint, t bigint, lo int, hi int, bytes binary")
 
 
-def window_keys(raw: list[bytes], h: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes of all windows of covered bytes under their anchors' hashes, with the row and place of each."""
+def _windows(raw: list[bytes], threshold: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Running hash sums of covered bytes put together, and the start, row and place of each of their windows."""
     sizes = np.array([len(x) for x in raw], np.int64)
     counts, begin = sizes - threshold + 1, np.concatenate(([0], np.cumsum(sizes)[:-1]))
-    sums = prefix_hash(np.frombuffer(b"".join(raw), np.uint8))
     row = np.repeat(np.arange(len(raw)), counts)
     place = np.arange(len(row)) - np.repeat(np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
-    s = begin[row] + place
+    return prefix_hash(np.frombuffer(b"".join(raw), np.uint8)), begin[row] + place, row, place
+
+
+def window_keys(raw: list[bytes], h: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of all windows of covered bytes under their anchors' hashes, with the row and place of each."""
+    sums, s, row, place = _windows(raw, threshold)
     return mix(range_hash(sums, s, s + threshold) ^ h.view(np.uint64)[row]), row, place
 
 
-def _repeated_runs(keys: np.ndarray, row: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Row, first and last place of each run of windows whose key occurs twice or more."""
-    order = np.argsort(keys)
-    same = keys[order][1:] == keys[order][:-1]
-    twice = np.zeros(len(keys), bool)
-    twice[order[1:][same]] = True
-    twice[order[:-1][same]] = True
-    row, place = row[twice], place[twice]
+def radix_sorted(sums: np.ndarray, starts: np.ndarray, group: np.ndarray, threshold: int, digit: int) -> tuple[np.ndarray, np.ndarray]:
+    """Windows that occur more than once in their group, in order of (group, digits), and the rank of each one's content.
+
+    Most significant digit first: a pass sorts what is left by (rank so far, next digit bytes), and only
+    ranks that two windows or more share go on. Digits are in the order of their hashes. Depth ends at threshold bytes.
+    """
+    alive, rank = np.arange(len(starts)), group
+    for depth in range(0, threshold, digit):
+        s = starts[alive]
+        key = range_hash(sums, s + depth, s + min(depth + digit, threshold))
+        order = np.lexsort((key, rank))
+        key, before = key[order], rank[order]
+        new = np.concatenate(([0], np.cumsum((before[1:] != before[:-1]) | (key[1:] != key[:-1])))) if len(order) else np.zeros(0, np.int64)
+        shared = np.bincount(new)[new] > 1 if len(order) else np.zeros(0, bool)
+        alive, rank = alive[order][shared], new[shared]
+    return alive, rank
+
+
+def _runs(row: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Row, first and last place of each run of windows that follow each other in a row; both come sorted."""
     if not len(row):
         return row, place, place
     cut = np.flatnonzero((row[1:] != row[:-1]) | (place[1:] != place[:-1] + 1)) + 1
@@ -135,12 +155,14 @@ def _repeated_runs(keys: np.ndarray, row: np.ndarray, place: np.ndarray) -> tupl
     return row[first], place[first], place[last]
 
 
-def _third_pass(covered: DataFrame, threshold: int, group_rows: int = 512) -> DataFrame:
+def _third_pass(covered: DataFrame, threshold: int, anchor: int, group_rows: int = 512) -> DataFrame:
     """Runs (doc_id, t, lo, hi) of repeated windows; rows of covered come together by h."""
 
     def settle(rows: list[tuple]) -> pa.RecordBatch:
-        keys, row, place = window_keys([r[5] for r in rows], np.array([r[0] for r in rows], np.int64), threshold)
-        at, first, last = _repeated_runs(keys, row, place)
+        sums, s, row, place = _windows([r[5] for r in rows], threshold)
+        found, _ = radix_sorted(sums, s, np.array([r[0] for r in rows], np.int64)[row], threshold, anchor)
+        found.sort()
+        at, first, last = _runs(row[found], place[found])
         pick = [rows[i] for i in at.tolist()]
         lo = np.array([r[3] for r in pick], np.int64)
         return pa.RecordBatch.from_arrays([pa.array([r[1] for r in pick], pa.int64()), pa.array([r[2] for r in pick], pa.int64()), pa.array((lo + first).astype(np.int32)), pa.array((lo + last).astype(np.int32))], ["doc_id", "t", "lo", "hi"])
@@ -170,9 +192,8 @@ def _third_pass_hot(covered: DataFrame, threshold: int) -> DataFrame:
                 rows = pa.array(row)
                 yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), p.column("doc_id").take(rows), p.column("t").take(rows), pa.array((p.column("lo").to_numpy()[row] + place).astype(np.int32))], ["w", "doc_id", "t", "s"])
 
-    windows = covered.mapInArrow(explode, "w bigint, doc_id bigint, t bigint, s int")
-    twice = windows.groupBy("w").agg(F.count("*").alias("n")).where("n > 1").select("w")
-    return windows.join(twice, "w", "left_semi").select("doc_id", "t", F.col("s").alias("lo"), F.col("s").alias("hi"))
+    windows = materialize(covered.mapInArrow(explode, "w bigint, doc_id bigint, t bigint, s int"), "hot-windows")
+    return repeated(windows, ["w"]).select("doc_id", "t", F.col("s").alias("lo"), F.col("s").alias("hi"))
 
 
 #: An anchor with more kinds of covered bytes than this is settled window by window.
@@ -183,19 +204,17 @@ def repeated_spans(docs: DataFrame, threshold: int = THRESHOLD, anchor: int = AN
     """The keyed texts, and rows (doc_id, t, lo, hi): all windows that start from lo to hi occur elsewhere too."""
     keyed = _keyed(docs)
     first = materialize(_anchors(keyed, threshold, anchor), "anchors")
-    twice = first.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
-    second = materialize(first.join(twice, "h", "left_semi"), "twice-anchored")
+    second = materialize(repeated(first, ["h"]), "twice-anchored")
     release(first)
     kinds = second.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "t", "lo", "hi")).alias("one"))
     kinds = materialize(kinds, "kinds")
-    alike = kinds.where("n > 1").select("h", "c")
-    whole = second.join(alike, ["h", "c"], "left_semi").select("doc_id", "t", "lo", "hi")
-    several = kinds.groupBy("h").agg(F.count("*").alias("k")).where("k > 1")
-    opened = kinds.join(several, "h").select("h", "k", "one.*")
+    whole = join_counted(second, kinds.where("n > 1"), ["h", "c"], "left_semi").select("doc_id", "t", "lo", "hi")
+    several = materialize(kinds.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"), "several-kinds")
+    opened = join_counted(kinds, several, ["h"], n="k").select("h", "k", "one.*")
     counts = several.agg(F.max("k").alias("most")).first().most or 0
     spans = whole
     hot = F.col("k") > hot_kinds
-    spans = spans.unionByName(_third_pass(_in_text(opened.where(~hot), keyed, threshold), threshold))
+    spans = spans.unionByName(_third_pass(_in_text(opened.where(~hot), keyed, threshold), threshold, anchor))
     if counts > hot_kinds:
         spans = spans.unionByName(_third_pass_hot(_in_text(opened.where(hot), keyed, threshold), threshold))
     return keyed, spans

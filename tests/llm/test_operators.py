@@ -302,6 +302,22 @@ def test_repeated_strings(docs, none, hot):
     assert substrings.removal_digests(none).count() == 0
 
 
+def test_radix_passes_order_windows_and_keep_the_repeated_ones():
+    r = random.Random(3)
+    raw = bytes(r.choice(b"ab") for _ in range(600)) * 2 + bytes(r.choice(b"abc") for _ in range(300))
+    sums = substrings.prefix_hash(np.frombuffer(raw, np.uint8))
+    for size, digit in ((40, 8), (9, 4), (12, 5), (7, 80)):
+        starts = np.arange(len(raw) - size + 1)
+        group = starts % 3
+        found, rank = substrings.radix_sorted(sums, starts, group, size, digit)
+        count = collections.Counter((int(g), raw[s : s + size]) for s, g in zip(starts, group, strict=True))
+        assert sorted(found.tolist()) == [s for s in starts.tolist() if count[s % 3, raw[s : s + size]] > 1] and len(found)
+        # One rank for each content, in order of groups and then of digits.
+        contents = [(int(group[s]), raw[s : s + size]) for s in found.tolist()]
+        assert (np.diff(rank) >= 0).all() and len({*zip(rank.tolist(), contents, strict=True)}) == len(set(contents)) == len(set(rank.tolist()))
+        assert (np.diff(group[found]) >= 0).all()
+
+
 # --- 5
 
 
