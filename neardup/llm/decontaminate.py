@@ -1,17 +1,21 @@
 """Operator 10: benchmark decontamination by SimHash of item-sized windows and a multi-index of Hamming blocks.
 
-For each benchmark item, windows of as many shingles as the item has are taken from a document; a window's 64-bit
-SimHash goes to an index that holds the items' fingerprints under RADIUS + 1 blocks of bits: two
-fingerprints within RADIUS agree in one block at least, so the index finds all of them. A candidate counts
-if the weighted Jaccard similarity of its 5-word shingles (weights are occurrences) is 0.8 or more.
+For each size that benchmark items have, windows of so many shingles are taken from a document; a window's 64-bit
+SimHash goes to an index that holds the items' fingerprints in BLOCKS blocks of bits: two fingerprints within RADIUS
+are within RADIUS // BLOCKS in one block at least, so the index finds all items within the radius. These are the candidates, and
+one counts if the weighted Jaccard similarity of its 5-word shingles (weights are occurrences) is 0.8 or more.
 
-Windows that can't pass that last test for want of shared shingles are not fingerprinted: a window
-needs 8/9 of its shingles among the item's, which a table of the items' shingles tells for all places of a
-document at once. This leaves out no window that the full comparison would accept.
+Which items a window is like is for the fingerprints alone to tell. Only windows that no item at all can pass for want of
+shared shingles get no fingerprint: a window needs 8/9 of its shingles among those of all items together, which a table
+of these tells for all places of a document at once. This leaves out no window that the full comparison would accept.
+
+Two bags with a similarity of exactly 0.8 differ in 9.7 of 64 bits on average, so RADIUS 20 misses about three in ten thousand of
+them, and fewer above. At such a distance blocks can't be very selective: see README.md for figures.
 
 Words are runs of characters other than space and 0x09-0x0D, with A-Z lowered. Cases: null or empty texts and items match nothing;
 an item or document of fewer than 5 words is one shingle; a document shorter than an item is one window; repeated rows and
-items are reported each; null ids are passed on; no items or no documents give no rows. Items are sent
+items are reported each; null ids are passed on; no items or no documents give no rows; further columns of documents, whatever
+their names, are handed on by without_benchmark() and not read by contaminated(). Items are sent
 to the tasks in groups of at most ITEM_BYTES, one pass over the documents for each group.
 """
 
@@ -26,7 +30,7 @@ from pyspark.sql import functions as F
 
 from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 
-RADIUS = 20
+RADIUS, BLOCKS = 20, 4
 ITEM_BYTES = 16 << 20
 _BITS = np.arange(64, dtype=np.uint64)
 
@@ -38,22 +42,30 @@ def simhash(hashes: np.ndarray) -> int:
 
 
 class HammingIndex:
-    """All fingerprints within a radius, by exact lookup of radius + 1 blocks of bits."""
+    """All fingerprints within a radius, by blocks of bits that are looked up within radius // blocks."""
 
-    def __init__(self, prints: list[int], radius: int = RADIUS):
-        self.prints, self.radius = prints, radius
-        edges = [64 * k // (radius + 1) for k in range(radius + 2)]
+    def __init__(self, prints: list[int], radius: int = RADIUS, blocks: int = BLOCKS):
+        self.prints, self.radius, self.block_radius = np.array(prints, np.uint64), radius, radius // blocks
+        edges = [64 * k // blocks for k in range(blocks + 1)]
         self.blocks = [(lo, (1 << (hi - lo)) - 1) for lo, hi in zip(edges, edges[1:], strict=False)]
-        self.tables: list[dict[int, list[int]]] = [{} for _ in self.blocks]
-        for i, p in enumerate(prints):
-            for (lo, mask), table in zip(self.blocks, self.tables, strict=True):
-                table.setdefault((p >> lo) & mask, []).append(i)
-
-    def near(self, print_: int) -> set[int]:
-        found: set[int] = set()
-        for (lo, mask), table in zip(self.blocks, self.tables, strict=True):
-            found.update(table.get((print_ >> lo) & mask, ()))
-        return {i for i in found if (self.prints[i] ^ print_).bit_count() <= self.radius}
+        self.values = [((self.prints >> np.uint64(lo)) & np.uint64(mask)).astype(np.uint32) for lo, mask in self.blocks]
+        #: For each block the prints near a value of it, made when the value is first asked for: at most a table of all values.
+        self.tables: list[dict[int, np.ndarray]] = [{} for _ in self.blocks]
+
+    def candidates(self, print_: int) -> np.ndarray:
+        """The prints that a block brings up."""
+        found = []
+        for (lo, mask), values, table in zip(self.blocks, self.values, self.tables, strict=True):
+            own = (print_ >> lo) & mask
+            if own not in table:
+                table[own] = np.flatnonzero(np.bitwise_count(values ^ np.uint32(own)) <= self.block_radius)
+            found.append(table[own])
+        return np.unique(np.concatenate(found))
+
+    def near(self, print_: int) -> list[int]:
+        """The prints within the radius."""
+        found = self.candidates(print_)
+        return found[np.bitwise_count(self.prints[found] ^ np.uint64(print_)) <= self.radius].tolist()
 
 
 def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> tuple[int, int]:
@@ -75,47 +87,35 @@ class Items:
         self.ids = [ids[k] for k in keep]
         self.bags = [hashes[at[k] : at[k + 1]] for k in keep]
         self.index = HammingIndex([simhash(b) for b in self.bags])
-        flat = np.concatenate([np.zeros(0, np.uint64), *(np.unique(b) for b in self.bags)])
-        owner = np.repeat(np.arange(len(self.bags)), [len(np.unique(b)) for b in self.bags]) if self.bags else np.zeros(0, np.int64)
-        order = np.argsort(flat, kind="stable")
-        flat, self.owners = flat[order], owner[order]
-        self.keys, self.at = np.unique(flat, return_index=True)
-        self.at = np.append(self.at, len(flat))
+        self.keys = np.unique(np.concatenate([np.zeros(0, np.uint64), *self.bags]))
+        self.sizes = np.array([len(b) for b in self.bags], np.int64)
         self.maybe = np.zeros(1 << 20, bool)
-        self.maybe[(flat & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
+        self.maybe[(self.keys & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
 
-    def places(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Where a shingle of an item stands, and the key's number."""
+    def places(self, hashes: np.ndarray) -> np.ndarray:
+        """Where a shingle of any item stands."""
         p = np.flatnonzero(self.maybe[(hashes & np.uint64((1 << 20) - 1)).astype(np.int64)])
-        k = np.minimum(np.searchsorted(self.keys, hashes[p]), max(0, len(self.keys) - 1))
-        ok = self.keys[k] == hashes[p] if len(self.keys) else np.zeros(len(p), bool)
-        return p[ok], k[ok]
-
-    def matches(self, bag: np.ndarray, p: np.ndarray, k: np.ndarray) -> list[tuple[int, int, int, float]]:
-        """Best window (item, start, size, similarity) of each item that a document holds; p, k as from places."""
         if not len(p):
-            return []
-        counts = self.at[k + 1] - self.at[k]
-        place = np.repeat(p, counts)
-        shift = np.arange(counts.sum()) - np.repeat(np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
-        item = self.owners[np.repeat(self.at[k], counts) + shift]
-        windows: dict[tuple[int, int], set[int]] = {}
-        order = np.argsort(item, kind="stable")
-        item, place = item[order], place[order]
-        cuts = np.concatenate(([0], np.flatnonzero(item[1:] != item[:-1]) + 1, [len(item)]))
-        for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-            i, own = int(item[lo]), place[lo:hi]
-            size = min(len(self.bags[i]), len(bag))
-            need = (4 * (len(self.bags[i]) + size) + 8) // 9
-            if hi - lo < need:
+            return p
+        k = np.minimum(np.searchsorted(self.keys, hashes[p]), len(self.keys) - 1)
+        return p[self.keys[k] == hashes[p]]
+
+    def windows(self, n: int, p: np.ndarray) -> Iterator[tuple[int, int]]:
+        """(start, size) of the item-sized windows of a document of n shingles that some item may be like; p as from places."""
+        for size in np.unique(np.minimum(self.sizes, n)).tolist():
+            # Longer items than the document need more.
+            least = min((4 * (m + size) + 8) // 9 for m in {size, int(self.sizes[self.sizes >= size].min())})
+            if len(p) < least:
                 continue
-            first, last = max(0, int(own[0]) - size + 1), min(int(own[-1]), len(bag) - size)
-            starts = np.arange(first, last + 1)
-            held = np.searchsorted(own, starts + size) - np.searchsorted(own, starts)
-            for s in starts[held >= need].tolist():
-                windows.setdefault((s, size), set()).add(i)
+            starts = np.arange(max(0, int(p[0]) - size + 1), min(int(p[-1]), n - size) + 1)
+            held = np.searchsorted(p, starts + size) - np.searchsorted(p, starts)
+            for s in starts[held >= least].tolist():
+                yield s, size
+
+    def matches(self, bag: np.ndarray, p: np.ndarray) -> list[tuple[int, int, int, float]]:
+        """Best window (item, start, size, similarity) of each item that a document holds; p as from places."""
         best: dict[int, tuple[int, int, float]] = {}
-        for (s, size), _ in sorted(windows.items()):
+        for s, size in self.windows(len(bag), p):
             own = bag[s : s + size]
             for i in self.index.near(simhash(own)):
                 if min(len(self.bags[i]), len(bag)) != size:
@@ -154,11 +154,10 @@ def _per_text(batch_text: pa.Array, items: Items) -> Iterator[tuple[int, list]]:
     buf, offs = texts_of(batch_text)
     for i, j in slices(offs):
         hashes, at = shingle_rows(LOWER[buf[offs[i] : offs[j]]], offs[i : j + 1] - offs[i])
-        p, k = items.places(hashes)
+        p = items.places(hashes)
         cut = np.searchsorted(p, at)
         for r in np.flatnonzero(cut[1:] > cut[:-1]).tolist():
-            lo, hi = cut[r], cut[r + 1]
-            if m := items.matches(hashes[at[r] : at[r + 1]], p[lo:hi] - at[r], k[lo:hi]):
+            if m := items.matches(hashes[at[r] : at[r + 1]], p[cut[r] : cut[r + 1]] - at[r]):
                 yield i + r, m
 
 

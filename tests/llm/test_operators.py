@@ -530,12 +530,43 @@ def test_decontamination(spark, none):
 def test_hamming_index_finds_all_within_the_radius():
     r = random.Random(1)
     prints = [r.getrandbits(64) for _ in range(300)]
-    index = decontaminate.HammingIndex(prints, 20)
+    index, brought = decontaminate.HammingIndex(prints, 20), 0
     for _ in range(200):
         p = prints[r.randrange(300)]
         for k in r.sample(range(64), r.randrange(30)):
             p ^= 1 << k
-        assert index.near(p) == {i for i, q in enumerate(prints) if (p ^ q).bit_count() <= 20}
+        assert index.near(p) == [i for i, q in enumerate(prints) if (p ^ q).bit_count() <= 20]
+        brought += len(index.candidates(p))
+    assert brought < 0.45 * 200 * 300
+
+
+def test_fingerprints_of_like_windows_are_within_the_radius():
+    """Recall at the least similarity that counts, 0.8 exactly."""
+    r, missed = np.random.default_rng(5), 0
+    for _ in range(1500):
+        n = 9 * int(r.integers(2, 12))
+        a = r.integers(0, 2**63, n).astype(np.uint64)
+        b = np.concatenate((a[: 8 * n // 9], r.integers(0, 2**63, n // 9).astype(np.uint64)))
+        assert decontaminate.weighted_jaccard(a, b) == (8 * n // 9, 10 * n // 9)
+        missed += (decontaminate.simhash(a) ^ decontaminate.simhash(b)).bit_count() > decontaminate.RADIUS
+    assert missed <= 6
+
+
+def test_items_that_share_shingles_are_told_apart_by_fingerprints(spark):
+    """Items with a common half, copies of items, long texts and repeated rows, against every window of every document."""
+    half = words_of(30, 1)
+    items = [(k, " ".join(half + words_of(30, 10 + k))) for k in range(6)] + [(6, " ".join(half + words_of(30, 10))), (7, " ".join(half))]
+    rows = [(k, " ".join(words_of(500, 50 + k) + items[k % 8][1].split() + words_of(900, 70 + k))) for k in range(10)] + [(3, " ".join(half)), (3, " ".join(half))]
+    got = sorted((x.doc_id, x.item_id) for x in decontaminate.contaminated(spark.createDataFrame(rows, "doc_id bigint, text string"), spark.createDataFrame(items, "item_id bigint, text string")).collect())
+    want = []
+    for d, t in rows:
+        s = shingles(t)
+        for i, x in items:
+            q = shingles(x)
+            n = min(len(s), len(q))
+            if any(10 * (collections.Counter(s[p : p + n]) & collections.Counter(q)).total() >= 8 * (collections.Counter(s[p : p + n]) | collections.Counter(q)).total() for p in range(len(s) - n + 1)):
+                want.append((d, i))
+    assert got == sorted(want)
 
 
 # --- 7
