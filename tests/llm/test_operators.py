@@ -172,9 +172,50 @@ def test_toxicity_learns_and_scores(spark, none):
     got = {x.doc_id: x for x in toxicity.score_documents(df, labels).collect()}
     assert all(got[i].predicted == int(i % 4 == 0) for i, _ in rows) and got[1000].predicted == 0
     assert all(x.held_out == (zlib.crc32(str(i).encode()) % 5 == 0) for i, x in got.items())
+    report = toxicity.held_out_report(toxicity.score_documents(df, labels), labels).first()
+    assert report.n == sum(x.held_out for i, x in got.items() if i < 200) and report.accuracy == report.precision == report.recall == 1
     assert r and toxicity.score_documents(df, labels.limit(0)).count() == 201 and toxicity.score_documents(none, labels).count() == 0
 
 
+def plain_hits(folded, terms, exceptions):
+    """Every term at every place where a word begins, in plain loops."""
+    spans = [(i, i + len(e)) for e in exceptions for i in range(len(folded)) if folded.startswith(e, i) and (i == 0 or not folded[i - 1].isalnum())]
+    return sorted((i, i + len(t), w) for t, w in terms.items() for i in range(len(folded)) if folded.startswith(t, i) and (i == 0 or not folded[i - 1].isalnum()) and not any(s <= i and i + len(t) <= e for s, e in spans))
+
+
+def test_matching_against_plain_loops():
+    r = random.Random(7)
+    terms, exceptions = {"idio": 1.0, "idiot": 2.0, "tras": 3.0, "dolt": 1.5}, ("idiot proof", "trash can", "trash can idiot")
+    lexicon = toxicity.Lexicon(terms, exceptions)
+    bits = ["idiot", "1d10t", "trash", "tra$h", "can", "proof", " ", " ", "-", "dolts", "adolt", "é", "\u200b", "і", "x", "\n", "İ"]
+    for text in [*("".join(r.choice(bits) for _ in range(r.randint(0, 12))) for _ in range(3000)), "trash can idiot proof " * 5000]:
+        folded = toxicity.fold(text)
+        if len(text) < 1000:
+            assert sorted(lexicon.hits(text)) == plain_hits(folded, terms, exceptions), repr(text)
+    assert lexicon.hits("trash can idiot proof " * 5000) == []
+
+
+def test_exceptions_are_learnt_from_harmless_rows(spark):
+    rows = [(f"you blargh {k}", 1) for k in range(40)] + [(f"the blargh museum {k}", 0) for k in range(3)] + [(f"nice text {k}", 0) for k in range(40)]
+    df = spark.createDataFrame(rows, "text string, toxic int")
+    found = toxicity.learn_exceptions(df, {"blar": 2.0})
+    assert set(found) == {"the blargh", "blargh museum"}
+    assert toxicity.Lexicon({"blar": 2.0}, found).hits("see the blargh museum") == [] and toxicity.Lexicon({"blar": 2.0}, found).hits("you blargh")
+    assert toxicity.learn_exceptions(df.limit(0), {"blar": 2.0}) == () == toxicity.learn_exceptions(df, {})
+
+
+def test_equal_texts_score_alike_and_held_out_rows_are_told(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    docs = docs.withColumn("score", F.lit(0.5)).withColumn("toxic", F.lit(1))
+    scored = toxicity.score_documents(docs, labels)
+    report = toxicity.held_out_report(scored, labels).first()
+    assert report.n > 500 and report.precision >= 0.9 and report.recall >= 0.9, report
+    by_text = collections.defaultdict(set)
+    for x in scored.join(docs.select("doc_id", "text"), "doc_id").collect():
+        by_text[x.text].add(x.score)
+    assert all(len(s) == 1 for s in by_text.values())
+
+
 # --- 6
 
 
