@@ -10,11 +10,13 @@ one has to try again. Only DataFrame and SQL functions touch rows.
 
 Cases: rows, nulls, repeated rows and all columns are kept as they are; an append without rows adds a version
 without files; a file of the target size or more stays as it is; a store without a version reads as an error.
-Work of a failed task or job leaves files that no manifest names; vacuum removes them.
+Work of a failed task or job leaves files that no manifest names; vacuum removes them when they are old enough to belong to
+no append or merge that still runs. Further columns, whatever their names, are kept: none is added to the rows.
 """
 
 from __future__ import annotations
 
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,6 +27,8 @@ TARGET_BYTES = 128 << 20
 BASE_BYTES = 1 << 20
 FANOUT = 4
 ROUNDS = 8
+#: Files that no manifest names are deleted when they are so old; no append or merge may take longer.
+VACUUM_SECONDS = 7 * 24 * 3600
 _MANIFEST = "path string, bytes bigint, n_rows bigint"
 
 
@@ -143,18 +147,23 @@ class ShardStore:
             raise FileNotFoundError("the version has no files and no schema is known")
         return self.spark.createDataFrame([], self.schema)
 
-    def vacuum(self, keep: int = 1) -> int:
-        """Deletes data files that none of the last versions names, and older manifests; gives the number of files deleted."""
+    def vacuum(self, keep: int = 1, older_than: float = VACUUM_SECONDS) -> int:
+        """Deletes data files that none of the last versions names and that are older than so many seconds, and older manifests; gives the number of files deleted.
+
+        The age guards files of an append or merge that hasn't committed yet.
+        """
         known = self.versions()
-        live = {r.path for v in known[-keep:] for r in self.manifest(v).select("path").collect()}
+        latest = (time.time() - older_than) * 1000
+        named = [self.manifest(v).select(F.substring_index("path", "/", -2).alias("name")) for v in known[-keep:]]
         p, fs = self._hadoop(f"{self.path}/data")
+        there = [(f"{folder.getPath().getName()}/{f.getPath().getName()}",) for folder in (fs.listStatus(p) if fs.exists(p) else []) for f in fs.listStatus(folder.getPath()) if f.getPath().getName().endswith(".parquet") and f.getModificationTime() <= latest]
+        found = self.spark.createDataFrame(there, "name string")
+        for names in named:
+            found = found.join(names, "name", "left_anti")
         gone = 0
-        for folder in fs.listStatus(p) if fs.exists(p) else []:
-            for f in fs.listStatus(folder.getPath()):
-                name = f.getPath().getName()
-                if name.endswith(".parquet") and f.getPath().toUri().toString() not in live and f.getPath().toString() not in live and not any(x.endswith("/" + folder.getPath().getName() + "/" + name) for x in live):
-                    fs.delete(f.getPath(), False)
-                    gone += 1
+        for r in found.toLocalIterator():
+            q, _ = self._hadoop(f"{self.path}/data/{r.name}")
+            gone += bool(fs.delete(q, False))
         for v in known[:-keep]:
             q, _ = self._hadoop(f"{self.path}/manifests/v{v}")
             fs.delete(q, True)

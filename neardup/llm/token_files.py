@@ -1,10 +1,11 @@
 """Operator 1: token ids of documents in compressed block files with a shared zstandard dictionary.
 
 Format. A folder holds Parquet files of blocks in ascending doc_id order, one file for each range of
-ids, and beside it the dictionary. A block row has: range_id, block_id, doc_ids, n_tokens of each
+ids, and beside it the dictionary. A block row has: range_id, block_id, first_id and last_id, doc_ids, n_tokens of each
 document, offsets (byte index of each document's frame in payload, one more than documents), payload
 (a zstandard frame for each document of its ids, little-endian unsigned 16-bit where the vocabulary
-allows and 32-bit otherwise), width and dict_hash. A short document is read alone: two offsets and one frame.
+allows and 32-bit otherwise), width and dict_hash. A short document is read alone: the reader skips all files and row groups
+whose first_id and last_id exclude it, and unpacks one frame between two offsets.
 
 Encoding splits a text before every space that a non-space follows, where the byte-level pattern
 always splits too, and encodes each distinct part once in each worker.
@@ -12,7 +13,8 @@ always splits too, and encodes each distinct part once in each worker.
 Cases: null or empty text holds the end id alone; rows with a null doc_id go to the first range and
 come first; equal doc_ids are ordered by their ids' bytes; an empty table gives empty files and
 an empty dictionary. The dictionary is trained on at most SAMPLE documents: it changes
-sizes only, never ids. The documents that a task reads form one block for each BLOCK_TOKENS.
+sizes only, never ids. The documents that a task reads form one block for each BLOCK_TOKENS. Very long texts are one
+frame; further columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -50,6 +52,8 @@ _JOINED = re.compile(r" (?=\s|\Z)")
 #: White space other than the space and the line feed.
 _ODD = re.compile("[\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 _ASCII_SPACE = "\t\x0b\x0c\r\x1c\x1d\x1e\x1f"
+#: Words on which a tokenizer is tried: letters of several scripts and digits at the end.
+_PROBES = ("a", "the", "end", "Zürich", "el", "niño", "7", "x2", "été", "конец", "日本", " word", " 42")
 _TABLES: dict[str, PartTable] = {}
 
 
@@ -66,6 +70,8 @@ class PartTable:
             raise ValueError("a line feed must be a token of its own")
         self.feed, self.feed_bytes = feed[0], np.uint32(feed[0]).tobytes()
         self.stops, self.long = {}, {}
+        #: Whether stops and commas behind letters and digits are tokens of their own with this tokenizer.
+        self.parted = all(self._whole(w + p) == self._whole(w) + self._whole(p) for w in _PROBES for p in (".", ",", "..", ".,", "...", ",."))
 
     def _whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32).tobytes()
@@ -108,9 +114,9 @@ class PartTable:
                 table[p] = self.feed_bytes.join([table[x[0]], *[self.heads[w] for w in x[1:]]])
 
     def _words(self, parts: list[str], table: dict[str, bytes], lead: str) -> None:
-        """Encodes parts without white space: the stops and commas behind a letter are always tokens of their own."""
+        """Encodes parts without white space: stops and commas behind a letter or digit are tokens of their own, if the tokenizer parts them."""
         words = [p.rstrip(".,") for p in parts]
-        words = [w if w and (w[-1].isalpha() or w[-1].isdecimal()) else p for p, w in zip(parts, words, strict=True)]
+        words = [w if self.parted and w and (w[-1].isalpha() or w[-1].isdecimal()) else p for p, w in zip(parts, words, strict=True)]
         self._learn([w for w in set(words) if w not in table], table, lead)
         for p, w in zip(parts, words, strict=True):
             if len(p) != len(w):
@@ -213,11 +219,18 @@ def dictionary_hash(dictionary: bytes) -> str:
 
 
 def range_bounds(docs: DataFrame, range_rows: int) -> list[int]:
-    """Upper bounds of all ranges but the last, from approximate quantiles of the ids alone."""
-    shares = [i / QUANTILES for i in range(1, QUANTILES)]
-    seen = docs.agg(F.count("*").alias("n"), F.percentile_approx("doc_id", shares, 4 * QUANTILES).alias("q")).first()
-    wanted = min(QUANTILES, -(-seen.n // range_rows))
-    return sorted({seen.q[k * QUANTILES // wanted - 1] for k in range(1, wanted)}) if seen.q else []
+    """Upper bounds of all ranges but the last, from approximate quantiles of the ids alone.
+
+    A range has about range_rows rows at any size of the table: the bounds that the driver holds are one number for each file.
+    """
+    n = docs.where("doc_id IS NOT NULL").count()
+    wanted = -(-n // range_rows)
+    found: list[int] = []
+    # One pass for each QUANTILES bounds, as one call of the sketch can't hold them all.
+    for at in range(1, wanted, QUANTILES):
+        shares = [k / wanted for k in range(at, min(at + QUANTILES, wanted))]
+        found += docs.agg(F.percentile_approx("doc_id", shares, min(max(4 * wanted, 4 * QUANTILES), 1 << 20)).alias("q")).first().q or []
+    return sorted(set(found))
 
 
 def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, range_rows: int = RANGE_ROWS) -> bytes:
@@ -253,12 +266,12 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
             sizes = np.cumsum([0, *(len(x[2]) for x in held)])
             total = int(sum(x[1] for x in held))
             row = {
-                "range_id": [state["range"]], "block_id": [state["block"]], "tokens_before": [state["before"]], "tokens": [total], "doc_ids": [[x[0] for x in held]], "n_tokens": [[x[1] for x in held]],
+                "range_id": [state["range"]], "block_id": [state["block"]], "tokens_before": [state["before"]], "tokens": [total], "first_id": [min((x[0] for x in held if x[0] is not None), default=None)], "last_id": [max((x[0] for x in held if x[0] is not None), default=None)], "doc_ids": [[x[0] for x in held]], "n_tokens": [[x[1] for x in held]],
                 "offsets": [sizes.tolist()], "payload": [b"".join(x[2] for x in held)], "width": [width], "dict_hash": [label],
             }
             state.update(block=state["block"] + 1, before=state["before"] + total, tokens=0)
             held.clear()
-            return pa.RecordBatch.from_pydict(row, schema=pa.schema([("range_id", pa.int32()), ("block_id", pa.int32()), ("tokens_before", pa.int64()), ("tokens", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("n_tokens", pa.list_(pa.int64())), ("offsets", pa.list_(pa.int64())), ("payload", pa.binary()), ("width", pa.int32()), ("dict_hash", pa.string())]))
+            return pa.RecordBatch.from_pydict(row, schema=pa.schema([("range_id", pa.int32()), ("block_id", pa.int32()), ("tokens_before", pa.int64()), ("tokens", pa.int64()), ("first_id", pa.int64()), ("last_id", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("n_tokens", pa.list_(pa.int64())), ("offsets", pa.list_(pa.int64())), ("payload", pa.binary()), ("width", pa.int32()), ("dict_hash", pa.string())]))
 
         for b in batches:
             for r, d, n, f in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
@@ -273,7 +286,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: i
     edges = np.array(bounds, np.int64)
     frames = docs.mapInArrow(encode, "range_id int, doc_id bigint, n_tokens bigint, frame binary")
     dealt = frames.repartitionById(len(bounds) + 1, F.col("range_id"))
-    packed = dealt.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "frame").mapInArrow(blocks, "range_id int, block_id int, tokens_before bigint, tokens bigint, doc_ids array<bigint>, n_tokens array<bigint>, offsets array<bigint>, payload binary, width int, dict_hash string")
+    packed = dealt.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "frame").mapInArrow(blocks, "range_id int, block_id int, tokens_before bigint, tokens bigint, first_id bigint, last_id bigint, doc_ids array<bigint>, n_tokens array<bigint>, offsets array<bigint>, payload binary, width int, dict_hash string")
     packed.write.option("compression", "none").parquet(f"{path}/blocks")
     return dictionary
 
@@ -288,16 +301,22 @@ def read_digests(spark: SparkSession, path: str) -> DataFrame:
     return _read(spark, path, "ids_crc32 bigint", lambda ids: zlib.crc32(ids.astype("<u4").tobytes()), pa.int64())
 
 
+def _blocks_with(spark: SparkSession, path: str, doc_id: int) -> DataFrame:
+    """The blocks whose range of ids holds doc_id: the bounds go down to the statistics of the files."""
+    return spark.read.parquet(f"{path}/blocks").where((F.col("first_id") <= doc_id) & (F.col("last_id") >= doc_id))
+
+
 def read_one(spark: SparkSession, path: str, doc_id: int) -> np.ndarray | None:
-    """The ids of one document: only the blocks whose doc_ids hold it are read, and only its frame is unpacked."""
+    """The ids of one document: only blocks that can hold it are read, and only its frame is unpacked. Of equal doc_ids it is the first."""
     meta = spark.read.parquet(f"{path}/dictionary").first()
     at = F.array_position("doc_ids", F.lit(doc_id)).cast("int")
-    row = spark.read.parquet(f"{path}/blocks").where(at > 0).select("payload", "offsets", at.alias("p"), "width").first()
+    found = _blocks_with(spark, path, doc_id).select("range_id", "block_id", "offsets", "payload", "width", at.alias("p")).where("p > 0")
+    frame = F.expr("substring(payload, int(offsets[p - 1]) + 1, int(offsets[p] - offsets[p - 1]))")
+    row = found.orderBy("range_id", "block_id").select(frame.alias("frame"), "width").first()
     if row is None:
         return None
-    frame = bytes(row.payload)[row.offsets[row.p - 1] : row.offsets[row.p]]
     given = zstandard.ZstdCompressionDict(bytes(meta.dictionary)) if meta.dictionary else None
-    raw = zstandard.ZstdDecompressor(dict_data=given).decompress(frame)
+    raw = zstandard.ZstdDecompressor(dict_data=given).decompress(bytes(row.frame))
     return np.frombuffer(raw, np.uint16 if row.width == 2 else np.uint32).astype(np.uint32)
 
 
@@ -307,7 +326,7 @@ def _read(spark: SparkSession, path: str, column: str, made, kind: pa.DataType)
     if dictionary_hash(dictionary) != label:
         raise ValueError("the dictionary doesn't match its hash")
     rows = spark.read.parquet(f"{path}/blocks")
-    totals = {r.range_id: r.n for r in rows.groupBy("range_id").agg(F.sum("tokens").alias("n")).collect()}  # at most QUANTILES
+    totals = {r.range_id: r.n for r in rows.groupBy("range_id").agg(F.sum("tokens").alias("n")).collect()}  # one for each file
     before, start = 0, {}
     for k in sorted(totals):
         start[k], before = before, before + totals[k]

@@ -73,6 +73,20 @@ def test_token_files_round_trip(spark, docs):
     assert digests[5].ids_crc32 == zlib.crc32(np.array([*plain.encode(ODD[5], add_special_tokens=False).ids, 2], "<u4").tobytes())
 
 
+def test_reading_one_document_skips_files(spark):
+    from neardup.plans.rules import plan_text
+
+    path = scratch_path(spark, "t")
+    docs = spark.range(4000).select((F.col("id") * 3).alias("doc_id"), F.concat(F.lit("text "), "id").alias("text"))
+    token_files.write_token_files(docs, path, BPE, 2, range_rows=100)
+    files = [r.n for r in spark.read.parquet(f"{path}/blocks").groupBy("range_id").agg(F.sum(F.size("doc_ids")).alias("n")).collect()]
+    assert len(files) >= 30 and max(files) < 300
+    some = token_files._blocks_with(spark, path, 3 * 1234)
+    assert "GreaterThanOrEqual(last_id" in plan_text(some) and some.count() == 1
+    assert token_files.read_one(spark, path, 3 * 1234).tolist() == token_files.read_token_files(spark, path).where(F.col("doc_id") == 3 * 1234).first().ids
+    assert token_files.read_one(spark, path, 4) is None
+
+
 def test_token_files_of_nothing(none):
     assert token_files.token_files_of(none, BPE).count() == 0
 
@@ -626,11 +640,40 @@ def test_shards_commit_and_compact(spark, tmp_path):
     assert sorted(r.doc_id for r in store.read(3).collect()) == old == list(range(300))
     with pytest.raises(shards.CommitConflict):
         store.commit(store.manifest(), store.versions()[-1] - 1)
-    assert store.vacuum() >= 6 and store.read().count() == 600 and len(store.versions()) == 1
+    # Files of an append that hasn't committed are young, and stay.
+    spark.range(5).write.parquet(f"{tmp_path}/s/data/append-running")
+    assert store.vacuum(keep=99) == 0
+    assert store.vacuum(older_than=0) >= 6 and store.read().count() == 600 and len(store.versions()) == 1
     store.append(spark.range(0).select(F.col("id").alias("doc_id"), F.lit("x").alias("text")))
     assert store.read().count() == 600
 
 
+def test_compaction_makes_files_of_about_the_target_size(spark, tmp_path):
+    """The largest file stays near the target while the store grows: a task of a merge reads no more than about a target."""
+    largest, target = [], 200_000
+    for n in (8, 32):
+        store = shards.ShardStore(spark, f"{tmp_path}/{n}")
+        for k in range(4):
+            rows = spark.range(k * 1000, k * 1000 + 250 * n // 4, numPartitions=n // 4).select(F.col("id").alias("doc_id"), F.concat_ws("", *(F.sha2((F.col("id") * 31 + i).cast("string"), 512) for i in range(4))).alias("text"), F.lit(None).cast("string").alias("path"))
+            store.append(rows.unionByName(spark.createDataFrame([(None, None, "x")], "doc_id bigint, text string, path string")))
+        store.compact(target=target, fanout=2)
+        sizes = [r.bytes for r in store.manifest().collect()]
+        largest.append(max(sizes))
+        assert store.read().count() == 250 * n // 4 * 4 + 4 and store.read().where("doc_id IS NULL AND text IS NULL AND path = 'x'").count() == 4
+    assert max(largest) < 2 * target and sum(sizes) > 3 * target
+
+
+def test_a_second_writer_has_to_try_again(spark, tmp_path):
+    one, two = (shards.ShardStore(spark, f"{tmp_path}/s") for _ in range(2))
+    rows = spark.range(10).select(F.col("id").alias("doc_id"), F.lit("x").alias("text"))
+    one.append(rows)
+    base = two.versions()[-1]
+    one.append(rows)
+    with pytest.raises(shards.CommitConflict):
+        two.commit(two.manifest(), base)
+    assert two.append(rows) == 3 and one.read().count() == 30
+
+
 def test_sharding_keeps_all_columns(spark, tmp_path, monkeypatch):
     from neardup.llm import catalog
 
