@@ -140,7 +140,7 @@ def _cut(docs: DataFrame, words: int, version_share: float | None) -> DataFrame:
     release(sequences, *levels)
     found = materialize(maximal_runs(copies), "maximal-runs")
     release(*tables)
-    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("text"), *_doc_key())
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), *_doc_key())
     # The runs grow with the documents: no broadcast.
     joined = keyed.join(found.hint("merge"), ["d", "t"], "left")
 
@@ -172,10 +172,10 @@ def _cut(docs: DataFrame, words: int, version_share: float | None) -> DataFrame:
 
         return _bound(_bound(full, lambda at: gone(lines, at)), without)
 
-    made = F.when(F.col("sources").isNotNull(), _bound(F.split("text", "\n", -1), rebuilt))
-    marked = joined.select("row", "text", "sources", made.alias("made"))
+    made = F.when(F.col("sources").isNotNull(), _bound(F.split("row.text", "\n", -1), rebuilt))
+    marked = joined.select("row", "sources", made.alias("made"))
     n_runs = F.aggregate("sources", F.lit(0), lambda a, s: a + F.size(s.runs))
-    return marked.select("row", F.coalesce("made.text", "text").alias("text"), F.coalesce("made.n", F.lit(0)).alias("n_removed"), F.coalesce(n_runs, F.lit(0)).cast("bigint").alias("n_runs"))
+    return marked.select("row", F.coalesce("made.text", "row.text").alias("text"), F.coalesce("made.n", F.lit(0)).alias("n_removed"), F.coalesce(n_runs, F.lit(0)).cast("bigint").alias("n_runs"))
 
 
 def run_dedup(docs: DataFrame, words: int = WORDS, version_share: float | None = None, least_left: int = 0, length_column: str | None = None) -> DataFrame:
