@@ -33,13 +33,17 @@ def _similarity(sets: dict[int, np.ndarray]):
     return sim
 
 
-def bounded_clusters(bands: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float = 0.40, refresh: str = "before_bucket", edges_only: bool = True) -> DataFrame:
+def bounded_clusters(bands: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float = 0.40, refresh: str = "before_bucket", edges_only: bool = True, most_members: int = MOST_MEMBERS) -> DataFrame:
     """Rows (kind, a, b, value): 'member' doc, root, root's bound; 'compared' pair and its similarity.
 
-    A union needs a compared pair above the edge threshold, so trees stay inside components of the graph of such
-    pairs, and each component is folded by itself in the order band, value, document. With edges_only False the
-    components are those of shared buckets: then the compared pairs are also those of one sequential run.
-    Components of more than MOST_MEMBERS documents are refused: cluster these by rounds().
+    Each component is folded by itself in the order band, value, document. With edges_only True the components are those of
+    candidate pairs above the edge threshold. A sequential run over all documents also compares roots that share no bucket;
+    where such a pair is the only link of two components, and above the threshold, that run joins them and this one doesn't: with
+    bands that find nearly all pairs above the threshold the two agree. With edges_only False the components are those of
+    shared buckets, and unions and compared pairs are exactly those of the sequential run.
+
+    A component of more than most_members documents is too large for one task: it is clustered by rounds(), which keeps the
+    same guarantee in another order; its compared pairs are its edges.
     """
     buckets = bands.groupBy("band_id", "value").agg(F.count("*").alias("size")).where("size > 1").select("band_id", "value")
     rows = materialize(bands.join(buckets, ["band_id", "value"]), "buckets")
@@ -50,9 +54,11 @@ def bounded_clusters(bands: DataFrame, grams: DataFrame, edge: float = 0.75, tre
     else:
         links = rows.join(rows.groupBy("band_id", "value").agg(F.min("doc_id").alias("a")), ["band_id", "value"]).select("a", F.col("doc_id").alias("b"))
     comps = components(links)
-    large = comps.groupBy("component").agg(F.count("*").alias("n")).where(F.col("n") > MOST_MEMBERS)
+    large = materialize(comps.groupBy("component").agg(F.count("*").alias("n")).where(F.col("n") > most_members).select("component"), "large")
+    beyond = None
     if not large.isEmpty():
-        raise ValueError("a component is too large for one task; use mode 'rounds'")
+        beyond = materialize(comps.join(large, "component", "left_semi"), "large-members")
+        comps = materialize(comps.join(large, "component", "left_anti"), "small-members")
     members = rows.join(comps, rows.doc_id == comps.id).select("component", "band_id", F.col("value").cast("string").alias("value"), "doc_id")
     sets = grams.join(comps, grams.doc_id == comps.id).select(F.col("component").alias("part"), "doc_id", "grams")
 
@@ -66,9 +72,22 @@ def bounded_clusters(bands: DataFrame, grams: DataFrame, edge: float = 0.75, tre
         return pd.DataFrame(out, columns=["kind", "a", "b", "value"])
 
     done = members.groupBy("component").cogroup(sets.groupBy("part")).applyInPandas(fold, "kind string, a bigint, b bigint, value double")
+    if beyond is not None:
+        done = done.unionByName(_by_rounds(rows, grams, beyond, edge, tree))
     return materialize(done, "bounded")
 
 
+def _by_rounds(rows: DataFrame, grams: DataFrame, members: DataFrame, edge: float, tree: float) -> DataFrame:
+    """What bounded_clusters() gives, for the members of components that no task can hold."""
+    own = rows.join(members.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
+    x, y = own.select("band_id", "value", F.col("doc_id").alias("a")), own.select("band_id", "value", F.col("doc_id").alias("b"))
+    edges = materialize(scored(x.join(y, ["band_id", "value"]).where("a < b").select("a", "b").distinct(), grams).where(F.col("jaccard") > edge), "edges")
+    found = rounds(edges, grams, edge, tree)
+    rest = members.select(F.col("id").alias("doc_id")).join(found, "doc_id", "left_anti").select("doc_id", F.col("doc_id").alias("root"), F.lit(1.0).alias("bound"))
+    named = found.select("doc_id", "root", "bound").unionByName(rest).select(F.lit("member").alias("kind"), F.col("doc_id").alias("a"), F.col("root").alias("b"), F.col("bound").alias("value"))
+    return named.unionByName(edges.select(F.lit("compared").alias("kind"), "a", "b", F.col("jaccard").alias("value")))
+
+
 def assignments(folded: DataFrame, docs: DataFrame) -> DataFrame:
     """(doc_id, cluster_id, bound): documents in no bucket are their own cluster; cluster_id is the lowest member."""
     found = folded.where("kind = 'member'").select(F.col("a").alias("doc_id"), F.col("b").alias("root"), F.col("value").alias("bound"))
@@ -102,7 +121,7 @@ def rounds(edges: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float =
     """(doc_id, root, bound) by parallel unions under the same guarantee; no component meets in one task.
 
     In each round roots are hubs or spokes by a hash of the round; a spoke offers itself to its most similar hub
-    among those that it can join under the bound. Where the hash parts no such pair, the hubs are the roots that are lower
+    among those that are above the edge threshold and that it can join under the bound. Where the hash parts no such pair, the hubs are the roots that are lower
     than all that they can join, so every round makes a union. Rounds end when no two roots of an edge can be joined.
     Offers are taken in falling order of the bound that they bring to the hub, as long as the two
     lowest bounds there still allow the tree threshold; once one fails all later ones do, so a window decides.
@@ -119,7 +138,7 @@ def rounds(edges: DataFrame, grams: DataFrame, edge: float = 0.75, tree: float =
         bounds = state.select("root", "bound").distinct()
         known = sims.join(bounds.select(F.col("root").alias("x"), F.col("bound").alias("bx")), "x").join(bounds.select(F.col("root").alias("y"), F.col("bound").alias("by")), "y")
         # Whether two trees can be joined doesn't depend on which of the roots is the hub.
-        open_ = materialize(known.where(F.col("bx") + F.col("by") + F.col("s") - 2 >= tree - 1e-12), "joinable")
+        open_ = materialize(known.where((F.col("s") > edge) & (F.col("bx") + F.col("by") + F.col("s") - 2 >= tree - 1e-12)), "joinable")
         if open_.isEmpty():
             release(open_)
             return state

@@ -12,13 +12,27 @@ from neardup.session import scratch_path
 
 
 class BandStore:
-    """Bands and sets of all documents that have arrived, a folder for each batch: a batch that runs again overwrites its own."""
+    """Bands and sets of all documents that have arrived, a folder for each batch.
+
+    What has arrived is read from the folders alone, so a store that is opened anew after a restart knows all batches; a batch
+    that runs again overwrites its own folder and sees those before it only. A folder counts when its write has ended.
+    """
 
     def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path, self.batches = spark, path, []
+        self.spark, self.path = spark, path.rstrip("/")
+
+    def batches(self, kind: str) -> list[int]:
+        """Numbers of the batches that are written in full."""
+        jvm = self.spark._jvm
+        place = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{kind}")
+        fs = place.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if not fs.exists(place):
+            return []
+        folders = [s.getPath() for s in fs.listStatus(place) if s.getPath().getName().startswith("batch=")]
+        return sorted(int(p.getName().split("=")[1]) for p in folders if fs.exists(jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS")))
 
     def read(self, kind: str, before: int) -> DataFrame | None:
-        known = [b for b in self.batches if b < before]
+        known = [b for b in self.batches(kind) if b < before]
         return self.spark.read.parquet(*[f"{self.path}/{kind}/batch={b}" for b in known]) if known else None
 
     def add(self, rows: DataFrame, kind: str, batch: int) -> DataFrame:
@@ -35,8 +49,6 @@ def arrive(store: BandStore, docs: DataFrame, batch: int, cfg: DedupConfig) -> D
         x, y = bands.select("band_id", "value", F.col("doc_id").alias("n")), old_bands.select("band_id", "value", F.col("doc_id").alias("o"))
         pairs = pairs.unionByName(x.join(y, ["band_id", "value"]).select(F.least("n", "o").alias("a"), F.greatest("n", "o").alias("b")).distinct())
         sets = sets.unionByName(old_sets)
-    if batch not in store.batches:
-        store.batches.append(batch)
     return verify.verified(pairs, sets, cfg.threshold)
 
 

@@ -15,6 +15,8 @@ from neardup.session import materialize, scratch_path
 
 CFG = DedupConfig()
 PORTABLE = DedupConfig(family="portable", b=20, r=2)
+#: Clusters with the portable family, so that SQL can follow them from the texts on.
+CLUSTERS = CFG.but(family="portable")
 SWEEP = (0.60, 0.65, 0.70, 0.75, 0.80, 0.85, 0.90, 0.95)
 
 
@@ -63,11 +65,10 @@ def stem_porter(spark, d):
 
 
 def ngram_length(spark, d):
-    """Pairs above 0.75 for each length of grams: long ones miss, short ones match too much."""
+    """Pairs above 0.75 for each length of grams, all exact: long ones miss, short ones match too much."""
     out = None
     for n in (1, 2, 3, 5, 8, 12):
-        pairs = verify.shared_gram_pairs(_exploded(spark, d, CFG.but(n=n))) if n > 2 else verify.verified(pipeline.run(documents(spark, d), CFG.but(n=n, b=20, r=4)).candidates, _grams(spark, d, CFG.but(n=n), True), 0.75)
-        one = pairs.where("jaccard > 0.75").agg(F.count("*").alias("pairs")).select(F.lit(n).alias("n"), "pairs")
+        one = verify.similar_pairs(_exploded(spark, d, CFG.but(n=n)), 0.75).agg(F.count("*").alias("pairs")).select(F.lit(n).alias("n"), "pairs")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -78,8 +79,10 @@ def gram_dictionary(spark, d):
 
 
 def hash_collisions(spark, d):
-    """Distinct grams and distinct hashes of 64 and 32 bits."""
-    return _exploded(spark, d).agg(F.countDistinct("gram").alias("grams"), F.countDistinct(F.xxhash64("gram")).alias("ids64"), F.countDistinct(F.hash("gram")).alias("ids32"))
+    """Distinct grams, and how many numbers they have in 64, 60, 32 and 20 bits: what too small a range loses."""
+    grams = _exploded(spark, d).select("gram", hashing.md5_number("gram").alias("x"))
+    counts = [F.countDistinct(F.xxhash64("gram")).alias("ids64"), F.countDistinct("x").alias("ids60"), *(F.countDistinct(F.col("x") % F.lit(1 << k)).alias(f"ids{k}") for k in (32, 20))]
+    return grams.agg(F.countDistinct("gram").alias("grams"), *counts)
 
 
 # --- exact baselines ----------------------------------------------------------------------------------
@@ -94,6 +97,11 @@ def exact_pairs_shared(spark, d):
     return verify.shared_gram_pairs(_exploded(spark, d)).where("jaccard > 0.2").select("a", "b", "shared", "jaccard")
 
 
+def exact_pairs_prefix(spark, d):
+    """The same pairs by a join on each set's rarest grams alone."""
+    return verify.similar_pairs(_exploded(spark, d), 0.2)
+
+
 def jaccard_distance(spark, d):
     return verify.shared_gram_pairs(_exploded(spark, d)).select("a", "b", (1 - F.col("jaccard")).alias("distance"))
 
@@ -117,7 +125,7 @@ def signature_portable(spark, d):
 def _estimates(spark, d, m: int = 100):
     cfg = PORTABLE.but(b=m, r=1)
     sig = materialize(signature.signatures(documents(spark, d), cfg), "signatures")
-    pairs = verify.shared_gram_pairs(_exploded(spark, d)).where("jaccard > 0.2")
+    pairs = verify.similar_pairs(_exploded(spark, d), 0.2)
     x, y = sig.select(F.col("doc_id").alias("a"), F.col("sig").alias("x")), sig.select(F.col("doc_id").alias("b"), F.col("sig").alias("y"))
     return pairs.join(x, "a").join(y, "b").select("a", "b", "jaccard", signature.estimate(F.col("x"), F.col("y")).alias("estimate"))
 
@@ -238,6 +246,10 @@ def _scored(spark, d):
     return verify.shared_gram_pairs(_exploded(spark, d)).select("a", "b", "jaccard")
 
 
+def _similar(spark, d, least):
+    return verify.similar_pairs(_exploded(spark, d), least).select("a", "b", "jaccard")
+
+
 def expected_candidates(spark, d):
     return tuning.expected(_scored(spark, d), GRID, TRUTH)
 
@@ -249,21 +261,21 @@ def choose_bands(spark, d):
 
 def accuracy_grid(spark, d):
     """False candidates and misses, measured, for growing numbers of bands of two rows."""
-    truth = materialize(_scored(spark, d).where("jaccard > 0.2"), "truth")
+    truth = materialize(_similar(spark, d, 0.2), "truth")
     return tuning.measured(_bands(spark, d), [5, 10, 15, 20], 2, truth, TRUTH)
 
 
 def recall_grid(spark, d):
-    truth = _scored(spark, d).where("jaccard > 0.4")
+    truth = _similar(spark, d, 0.4)
     return metrics.recall(candidates.banded(_bands(spark, d)), truth).select("true_pairs", "found_pairs", F.round("recall", 6).alias("recall"))
 
 
 def false_candidates(spark, d):
-    return metrics.false_candidates(candidates.banded(_bands(spark, d)), _scored(spark, d).where("jaccard > 0.4"))
+    return metrics.false_candidates(candidates.banded(_bands(spark, d)), _similar(spark, d, 0.4))
 
 
 def false_negatives(spark, d):
-    return metrics.false_negatives(candidates.banded(_bands(spark, d)), _scored(spark, d).where("jaccard > 0.4")).select("a", "b", "jaccard")
+    return metrics.false_negatives(candidates.banded(_bands(spark, d)), _similar(spark, d, 0.2)).select("a", "b", "jaccard")
 
 
 def candidate_ratio(spark, d):
@@ -283,9 +295,38 @@ def trend_violations(spark, d):
 def synthetic_accuracy(spark, d):
     """The accuracy experiment: copies with a tenth of the words changed, all found with 50 bands of two rows."""
     made = materialize(synth.inject(documents(spark, d), 50, 0.10, 0.10), "injected")
-    truth = materialize(verify.shared_gram_pairs(text.exploded(text.grams_of(made, CFG))).select("a", "b", "jaccard"), "truth")
+    truth = materialize(verify.similar_pairs(text.exploded(text.grams_of(made, CFG)), 0.2).select("a", "b", "jaccard"), "truth")
     bands = materialize(banding.bands(made, CFG), "bands")
-    return tuning.measured(bands, [10, 20, 30, 40, 50], 2, truth.where("jaccard > 0.2"), TRUTH)
+    return tuning.measured(bands, [10, 20, 30, 40, 50], 2, truth, TRUTH)
+
+
+def accuracy_rows_of_bands(spark, d):
+    """The accuracy experiment's grid: one to five rows of a band and up to twenty bands, with ten copies that have a tenth of the words changed."""
+    made = materialize(synth.inject(documents(spark, d), 10, 0.10, 0.10), "injected")
+    truth = materialize(verify.similar_pairs(text.exploded(text.grams_of(made, CFG)), 0.2).select("a", "b", "jaccard"), "truth")
+    sig = materialize(signature.signatures(made, PORTABLE.but(b=20, r=5)), "signatures")
+    out = None
+    for r in (1, 2, 3, 4, 5):
+        one = tuning.measured(materialize(banding.band_values(sig, r, "portable", True, 20), "bands"), [5, 10, 15, 20], r, truth, TRUTH)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def accuracy_many_bands(spark, d):
+    """The same for 20 to 100 bands, as far as the curves of the experiment go."""
+    made = materialize(synth.inject(documents(spark, d), 10, 0.10, 0.10), "injected")
+    truth = materialize(verify.similar_pairs(text.exploded(text.grams_of(made, CFG)), 0.2).select("a", "b", "jaccard"), "truth")
+    sig = materialize(signature.signatures(made, CFG.but(b=100, r=5)), "signatures")
+    out = None
+    for r in (1, 2, 3, 4, 5):
+        one = tuning.measured(materialize(banding.band_values(sig, r, CFG.family, True, 100), "bands"), [20, 50, 100], r, truth, TRUTH)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def choose_bands_measured(spark, d):
+    """The setting with the fewest values that misses no pair above each threshold, by the measured grid."""
+    return tuning.choose_bands(materialize(accuracy_rows_of_bands(spark, d), "grid"), 0)
 
 
 def synth_injected(spark, d):
@@ -297,7 +338,7 @@ def synth_injected(spark, d):
 
 def triangle_violations(spark, d):
     """Triples whose ends are less alike than the two similarities between them allow: none."""
-    e = materialize(_scored(spark, d).where("jaccard > 0.2"), "edges")
+    e = materialize(_similar(spark, d, 0.2), "edges")
     both = e.select("a", "b", "jaccard").unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"), "jaccard"))
     chain = both.alias("p").join(both.alias("q"), F.col("p.b") == F.col("q.a")).where("p.a < q.b").select(F.col("p.a").alias("a"), F.col("q.b").alias("b"), sets.chain3(F.col("p.jaccard"), F.col("q.jaccard")).alias("low"))
     real = chain.join(e, ["a", "b"], "left").select("low", F.coalesce("jaccard", F.lit(0.2)).alias("jaccard"))
@@ -306,7 +347,7 @@ def triangle_violations(spark, d):
 
 def path_bound(spark, d):
     """Bounds along chains of three edges of similar documents."""
-    e = materialize(_scored(spark, d).where("jaccard > 0.5"), "edges")
+    e = materialize(_similar(spark, d, 0.5), "edges")
     p = e.alias("p").join(e.alias("q"), F.col("p.b") == F.col("q.a")).join(e.alias("r"), F.col("q.b") == F.col("r.a"))
     return p.select(F.col("p.a").alias("a"), F.col("p.b").alias("b"), F.col("q.b").alias("c"), F.col("r.b").alias("d"), F.round(sets.path_bound(F.array("p.jaccard", "q.jaccard", "r.jaccard")), 9).alias("bound"))
 
@@ -319,7 +360,7 @@ def components_075(spark, d):
 
 
 def bounded_clusters_075(spark, d):
-    return pipeline.clusters(documents(spark, d), CFG).select("doc_id", "cluster_id", "bound")
+    return pipeline.clusters(documents(spark, d), CLUSTERS).select("doc_id", "cluster_id", "bound")
 
 
 def bounded_clusters_rounds(spark, d):
@@ -339,17 +380,17 @@ def cluster_rounds_violations(spark, d):
     return metrics.bound_violations(*_clustered(spark, d, "rounds"), CFG.tree_threshold)
 
 
-def _experiment(spark, d):
-    """The clustering experiment's documents: 500 copies of a pool of 45, up to a fifth of the words changed."""
-    made = materialize(synth.inject(documents(spark, d), 500, 0.0, 0.2, pool=45), "injected")
+def _experiment(spark, d, pool=45):
+    """The clustering experiment's documents: 500 copies, up to a fifth of the words changed, of a pool of 45 or of all documents."""
+    made = materialize(synth.inject(documents(spark, d), 500, 0.0, 0.2, pool=pool), "injected")
     grams = materialize(text.grams_of(made, CFG, hashed=True), "grams")
     bands = materialize(banding.bands(made, CFG), "bands")
     edges = materialize(verify.scored(candidates.banded(bands), grams), "edges")
     return made, grams, bands, edges
 
 
-def _sweep_rows(spark, d, measure):
-    made, grams, bands, edges = _experiment(spark, d)
+def _sweep_rows(spark, d, measure, pool=45):
+    made, grams, bands, edges = _experiment(spark, d, pool)
     out = None
     for edge in SWEEP:
         folded = cluster.bounded_clusters(bands, grams, edge, 0.40, edges_only=False)
@@ -362,6 +403,20 @@ def pairs_excluded_sweep(spark, d):
     return _sweep_rows(spark, d, lambda made, grams, edges, folded, edge: metrics.pairs_excluded(edges.count(), folded.where("kind = 'compared'")))
 
 
+def pairs_excluded_all_sources(spark, d):
+    """The same with copies of documents drawn from the whole table."""
+    return _sweep_rows(spark, d, lambda made, grams, edges, folded, edge: metrics.pairs_excluded(edges.count(), folded.where("kind = 'compared'")), None)
+
+
+def pair_categories_all_sources(spark, d):
+    return _sweep_rows(spark, d, lambda made, grams, edges, folded, edge: metrics.pair_categories(edges, cluster.assignments(folded, made), edge, 0.40), None)
+
+
+def forest_speedup(spark, d):
+    """Time and comparisons of checking every candidate pair, against those of folding the same buckets into a bounded forest."""
+    return baseline.forest_speedup(spark, *_experiment(spark, d)[1:])
+
+
 def pair_categories_sweep(spark, d):
     return _sweep_rows(spark, d, lambda made, grams, edges, folded, edge: metrics.pair_categories(edges, cluster.assignments(folded, made), edge, 0.40))
 
@@ -410,7 +465,7 @@ def modularity_exact(spark, d):
     """Modularity of the groups of equal texts on the graph of scored pairs above 0.2."""
     docs = documents(spark, d)
     groups = exact.exact_groups(docs).select("doc_id", F.col("rep").alias("cluster_id"))
-    return metrics.modularity(_scored(spark, d).where("jaccard > 0.2"), groups)
+    return metrics.modularity(_similar(spark, d, 0.2), groups)
 
 
 def size_histogram(spark, d):
@@ -422,22 +477,22 @@ def _exact_clusters(spark, d):
 
 
 def cross_edges(spark, d):
-    return cluster.cross_edges(_scored(spark, d).where("jaccard > 0.75"), _exact_clusters(spark, d)).select("a", "b", "jaccard", "x", "y")
+    return cluster.cross_edges(_similar(spark, d, 0.75), _exact_clusters(spark, d)).select("a", "b", "jaccard", "x", "y")
 
 
 def second_round(spark, d):
     """Groups of equal texts merged where the average of their cross edges is above 0.75."""
-    return cluster.second_round(_exact_clusters(spark, d), materialize(_scored(spark, d).where("jaccard > 0.2"), "edges"), 0.75)
+    return cluster.second_round(_exact_clusters(spark, d), materialize(_similar(spark, d, 0.2), "edges"), 0.75)
 
 
 def second_round_bounded(spark, d):
-    return cluster.second_round(_exact_clusters(spark, d), materialize(_scored(spark, d).where("jaccard > 0.2"), "edges"), 0.75, "bounded")
+    return cluster.second_round(_exact_clusters(spark, d), materialize(_similar(spark, d, 0.2), "edges"), 0.75, "bounded")
 
 
 def mst_clusters(spark, d):
     docs = documents(spark, d)
     grams = materialize(text.grams_of(docs, CFG, hashed=True), "grams")
-    return cluster.fold_edges(_scored(spark, d), grams, 0.75, 0.40)
+    return cluster.fold_edges(materialize(_similar(spark, d, 0.75), "edges"), grams, 0.75, 0.40)
 
 
 def common_grams(spark, d):
@@ -453,14 +508,15 @@ def dedup_keep_best(spark, d):
 
 
 def dedup_keep_root(spark, d):
-    return clean.deduplicate(documents(spark, d), pipeline.clusters(documents(spark, d), CFG), "root").select("doc_id", "n_chars")
+    return clean.deduplicate(documents(spark, d), pipeline.clusters(documents(spark, d), CLUSTERS), "root").select("doc_id", "n_chars")
 
 
 def recluster_090(spark, d):
     """The second step again from stored cells, with a higher edge threshold."""
     docs, path = documents(spark, d), scratch_path(spark, "cells")
-    store.write_cells(banding.bands(docs, CFG), path)
-    found = pipeline.recluster(spark, path, materialize(text.grams_of(docs, CFG, hashed=True), "grams"), docs, 0.90)
+    texts = materialize(exact.representatives(docs), "texts")
+    store.write_cells(banding.bands(texts, CLUSTERS), path)
+    found = pipeline.recluster(spark, path, materialize(text.grams_of(texts, CLUSTERS, hashed=True), "grams"), docs, CLUSTERS.but(edge_threshold=0.90))
     return metrics.cluster_stats(found)
 
 
@@ -485,24 +541,24 @@ def corpus_report(spark, d):
 
 
 def corpus_clusters(spark, d):
-    return metrics.cluster_stats(pipeline.clusters(documents(spark, d), CFG))
+    return metrics.cluster_stats(pipeline.clusters(documents(spark, d), CLUSTERS))
 
 
 def basket_pairs(spark, d):
     """Customers whose sets of ordered parts are alike: sets that aren't of grams."""
     lines, orders = table(spark, d, "lineitem").select("l_orderkey", "l_partkey"), table(spark, d, "orders").select("o_orderkey", "o_custkey")
     items = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select(F.col("o_custkey").alias("doc_id"), F.col("l_partkey").alias("gram")).distinct()
-    return verify.shared_gram_pairs(items).where("jaccard > 0.15").select("a", "b", "shared", "jaccard")
+    return verify.similar_pairs(items, 0.06)
 
 
 def page_pairs(spark, d):
     pages = table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.regexp_replace("html", "<[^>]*>", " ").alias("text"))
-    return verify.shared_gram_pairs(text.exploded(text.grams_of(pages, CFG.but(n=5)))).where("jaccard > 0.3").select("a", "b", "shared", "jaccard")
+    return verify.similar_pairs(text.exploded(text.grams_of(pages, CFG.but(n=5))), 0.3)
 
 
 def conversation_pairs(spark, d):
     turns = table(spark, d, "conversations").groupBy("conv_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "role", "text"))), lambda x: x.text), " ").alias("text"))
-    return verify.shared_gram_pairs(text.exploded(text.grams_of(turns.withColumnRenamed("conv_id", "doc_id"), CFG.but(n=5)))).where("jaccard > 0.3").select("a", "b", "shared", "jaccard")
+    return verify.similar_pairs(text.exploded(text.grams_of(turns.withColumnRenamed("conv_id", "doc_id"), CFG.but(n=5))), 0.004)
 
 
 def benchmark_containment(spark, d):
@@ -524,9 +580,25 @@ def stage_times(spark, d):
     return baseline.stage_times(spark, d)
 
 
+def flush_times(spark, d):
+    """Seconds for one document and for the flush of each slice of 50 documents in a packed store."""
+    return baseline.flush_times(spark, d)
+
+
 def memory_use(spark, d):
+    """Bytes that each layout holds at once while candidates are found: measured, and by the formula."""
     return baseline.memory_use(spark, d)
 
 
+def times_by_documents(spark, d):
+    """Seconds from text to candidates for one, two and four times the documents, for each layout."""
+    return baseline.times_by_documents(spark, d)
+
+
+def times_by_words(spark, d):
+    """Seconds from text to candidates for texts of one, two and four times the words."""
+    return baseline.times_by_words(spark, d)
+
+
 def scaling_times(spark, d):
     return baseline.scaling_times(spark, d)

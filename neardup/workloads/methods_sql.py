@@ -57,10 +57,65 @@ GRID_ROWS = ", ".join(f"({b}, {r})" for b, r in GRID)
 TRUTH_ROWS = ", ".join(f"({t})" for t in TRUTH)
 EXPECTED = f"cfg AS (SELECT t::DOUBLE AS t, b, r FROM (VALUES {TRUTH_ROWS}) x(t), (VALUES {GRID_ROWS}) y(b, r)), ex AS (SELECT t, b, r, round(sum(q), 6) AS candidates, round(sum(CASE WHEN jaccard > t THEN 0.0 ELSE q END), 6) AS false_candidates, round(sum(CASE WHEN jaccard > t THEN 1 - q ELSE 0.0 END), 6) AS misses FROM (SELECT t, cfg.b AS b, r, jaccard, 1 - pow(1 - pow(jaccard, r), cfg.b) AS q FROM p, cfg) GROUP BY t, b, r)"
 COMPONENTS = "e AS MATERIALIZED (SELECT a, b FROM p WHERE jaccard > 0.75), ee AS MATERIALIZED (SELECT a, b FROM e UNION SELECT b, a FROM e), cc AS (SELECT a AS id, a AS low FROM ee UNION SELECT ee.b, cc.low FROM cc JOIN ee ON ee.a = cc.id WHERE cc.low < ee.b)"
+TRUTH2 = "tr AS (SELECT a, b, jaccard FROM p WHERE jaccard > 0.2)"
 TRUTH4 = "tr AS (SELECT a, b, jaccard FROM p WHERE jaccard > 0.4)"
 FULL = f"{pairs()}, {bands()}, {CAND}"
 
 
+TEXTS = "(SELECT min(doc_id) AS doc_id, text FROM documents WHERE text IS NOT NULL GROUP BY text)"
+BUCKETS = "SELECT row_number() OVER (ORDER BY band_id, value::VARCHAR) AS k, list(doc_id ORDER BY doc_id) AS m FROM bd GROUP BY band_id, value HAVING count(*) > 1"
+
+
+def folded(buckets: str, edge: float | None, tree: float) -> str:
+    """mem(doc_id, root, bound): the bounded forest as a recursion over the state of one sequential run.
+
+    buckets has rows (k, m), k from 1 on without gaps. Each step takes the next pair of roots of the open bucket, or opens the next one: its
+    pairs are those of its members' roots above edge, in order; without edge m is one pair, taken as it stands. The state maps each
+    document to its root, rank and bound; similarities come from p.
+    """
+    if edge is None:
+        pairs = "CASE WHEN rs[1] <> rs[2] THEN [{'x': rs[1], 'y': rs[2]}] ELSE [] END"
+        roots = "list_transform(m, lambda z: root[z])"
+    else:
+        pairs = f"list_filter(flatten(list_transform(rs, lambda x, i: list_transform(rs[i + 1:], lambda y: {{'x': x, 'y': y}}))), lambda q: coalesce(sm[q.x::VARCHAR || '-' || q.y::VARCHAR], 0.0) > {edge})"
+        roots = "list_sort(list_distinct(list_transform(m, lambda z: root[z])))"
+    return f"""sims AS MATERIALIZED (SELECT coalesce(map_from_entries(list({{'k': a::VARCHAR || '-' || b::VARCHAR, 'v': jaccard}})), MAP {{}}::MAP(VARCHAR, DOUBLE)) AS sm FROM p),
+bk AS MATERIALIZED ({buckets}),
+ids AS (SELECT DISTINCT unnest(m) AS d FROM bk),
+fold AS (SELECT 0::BIGINT AS k, []::STRUCT(x BIGINT, y BIGINT)[] AS todo, map_from_entries(list({{'k': d, 'v': d}})) AS root, map_from_entries(list({{'k': d, 'v': 0}})) AS rk, map_from_entries(list({{'k': d, 'v': 1.0::DOUBLE}})) AS bnd FROM ids HAVING count(*) > 0 UNION ALL
+ SELECT nk, CASE WHEN opens THEN ntodo ELSE todo[2:] END,
+  CASE WHEN ok THEN map_from_entries(list_transform(map_entries(root), lambda e: {{'k': e.key, 'v': CASE WHEN e.value = under THEN top ELSE e.value END}})) ELSE root END,
+  CASE WHEN ok THEN map_concat(rk, map([top], [CASE WHEN rk[top] = rk[under] THEN rk[top] + 1 ELSE rk[top] END])) ELSE rk END,
+  CASE WHEN ok THEN map_concat(bnd, map([top], [least(bnd[top], bnd[under] - (1 - s))])) ELSE bnd END
+ FROM (SELECT *, NOT opens AND rx <> ry AND bnd[rx] + bnd[ry] + s - 2 >= {tree} - 1e-12 AS ok, CASE WHEN rk[rx] >= rk[ry] THEN rx ELSE ry END AS top, CASE WHEN rk[rx] >= rk[ry] THEN ry ELSE rx END AS under
+  FROM (SELECT *, CASE WHEN opens THEN {pairs} END AS ntodo, coalesce(sm[least(rx, ry)::VARCHAR || '-' || greatest(rx, ry)::VARCHAR], 0.0) AS s
+   FROM (SELECT fold.*, len(todo) = 0 AS opens, CASE WHEN len(todo) = 0 THEN bk.k ELSE fold.k END AS nk, CASE WHEN len(todo) = 0 THEN {roots} END AS rs, root[todo[1].x] AS rx, root[todo[1].y] AS ry
+    FROM fold LEFT JOIN bk ON bk.k = fold.k + 1 WHERE len(todo) > 0 OR bk.k IS NOT NULL), sims))),
+fin AS (SELECT * FROM fold WHERE len(todo) = 0 ORDER BY k DESC LIMIT 1),
+mem AS MATERIALIZED (SELECT e.key AS doc_id, e.value AS root, bnd[e.value] AS bound FROM (SELECT unnest(map_entries(root)) AS e, bnd FROM fin))"""
+
+
+def clustered(edge: float = 0.75, tree: float = 0.40) -> str:
+    """cl(doc_id, cluster_id, root, bound) of all documents: one for each text is clustered by 50 portable bands of two rows, copies join it."""
+    texts = "tx AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS rep FROM documents WHERE text IS NOT NULL)"
+    named = "nm AS (SELECT tx.doc_id, coalesce(mem.root, rep) AS root, coalesce(mem.bound, 1.0) AS bound FROM tx LEFT JOIN mem ON mem.doc_id = rep UNION ALL SELECT doc_id, doc_id, 1.0 FROM documents WHERE text IS NULL), cl AS MATERIALIZED (SELECT doc_id, min(doc_id) OVER (PARTITION BY root) AS cluster_id, root, bound FROM nm)"
+    return f"{pairs(table=TEXTS)}, {bands(50)}, {folded(BUCKETS, edge, tree)}, {texts}, {named}"
+
+
+STATS = "SELECT count(*) FILTER (WHERE n > 1) AS clusters, coalesce(max(n) FILTER (WHERE n > 1), 0) AS largest, count(*) FILTER (WHERE n = 1) AS singles, coalesce(sum(n) FILTER (WHERE n > 1), 0)::BIGINT AS clustered FROM (SELECT count(*) AS n FROM cl GROUP BY cluster_id)"
+
+
+def measured(r: int, bs: str, of: str = "bd") -> str:
+    """Rows of the measured grid for bands of r rows; p has the true pairs, of the bands."""
+    first = f"SELECT x.doc_id AS a, y.doc_id AS b, min(x.band_id) AS first FROM {of} x JOIN {of} y ON x.band_id = y.band_id AND x.value = y.value AND x.doc_id < y.doc_id GROUP BY 1, 2"
+    return f"SELECT t::DOUBLE AS t, n AS b, {r} AS r, count(*) FILTER (WHERE first < n) AS candidates, count(*) FILTER (WHERE first < n AND jaccard <= t) AS false_candidates, count(*) FILTER (WHERE jaccard > t AND NOT coalesce(first < n, false)) AS misses FROM (SELECT first, coalesce(jaccard, 0.0) AS jaccard FROM ({first}) fb FULL JOIN (SELECT * FROM p WHERE jaccard > 0.2) q ON q.a = fb.a AND q.b = fb.b), (VALUES {TRUTH_ROWS}) x(t), (VALUES {bs}) y(n) GROUP BY t, n"
+
+
+def injected(copies: int, lo: float, spread: float) -> str:
+    """The documents and their changed copies, (doc_id, text), as synth.inject() makes them."""
+    return f"(WITH r AS (SELECT doc_id, text, row_number() OVER (ORDER BY doc_id) - 1 AS rank FROM documents), n AS (SELECT count(*) AS n, max(doc_id) AS top FROM documents), k AS (SELECT id, floor({_draw('42', chr(39) + 'source' + chr(39), 'id')} * n)::BIGINT AS rank, {lo} + {spread}::DOUBLE * {_draw('42', chr(39) + 'rate' + chr(39), 'id')} AS rate, top FROM range(0, {copies}) x(id), n), m AS (SELECT id, top + 1 + id AS doc_id, rate, string_split(text, ' ') AS ws FROM k JOIN r ON r.rank = k.rank) SELECT doc_id, array_to_string(list_transform(ws, lambda w, i: CASE WHEN {_draw('42', 'id', 'i - 1')} < rate THEN 'x' || substr(md5('w|' || id || '|' || (i - 1)), 1, 6) ELSE w END), ' ') AS text FROM m UNION ALL SELECT doc_id, text FROM documents)"
+
+
 def _draw(*parts: str) -> str:
     joined = " || '|' || ".join(f"({p})::VARCHAR" for p in parts)
     return f"({md5_number(joined)} / 1152921504606846976.0::DOUBLE)"
@@ -76,6 +131,16 @@ def oracle_sql() -> dict[str, str]:
         "short_documents": f"SELECT doc_id, len(ws)::BIGINT AS n_words, least(len(ws), 1)::BIGINT AS grams_whole, 0::BIGINT AS grams_drop, least(len(ws), 1)::BIGINT AS grams_pad FROM ({words()}) WHERE len(ws) < 8",
         "stem_light_ngrams": f"WITH w0 AS ({words()}), w AS MATERIALIZED (SELECT doc_id, list_transform(ws, lambda x: regexp_replace(x, '^(.{{3,}}?)({light})$', '\\1')) AS ws FROM w0), g AS MATERIALIZED (SELECT doc_id, unnest({gram_list(3)}) AS gram FROM w) {GRAM_DIGEST}",
         "gram_dictionary": f"WITH {grams()} SELECT count(DISTINCT gram) AS grams, 0::BIGINT AS low, count(DISTINCT gram) - 1 AS high, count(DISTINCT gram) AS ids FROM g",
+        "hash_collisions": f"WITH {grams()}, x AS (SELECT gram, {md5_number('gram')} AS x FROM g) SELECT count(DISTINCT gram) AS grams, count(DISTINCT gram) AS ids64, count(DISTINCT x) AS ids60, count(DISTINCT x % 4294967296) AS ids32, count(DISTINCT x % 1048576) AS ids20 FROM x",
+        "ngram_length": " UNION ALL ".join(f"SELECT * FROM ({pairs(n)} SELECT {n} AS n, count(*) AS pairs FROM p WHERE jaccard > 0.75)" for n in (1, 2, 3, 5, 8, 12)),
+        "exact_pairs_prefix": f"{pairs()} SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.2",
+        "bounded_clusters_075": f"{clustered()} SELECT doc_id, cluster_id, bound FROM cl",
+        "corpus_clusters": f"{clustered()} {STATS}",
+        "recluster_090": f"{clustered(0.90)} {STATS}",
+        "dedup_keep_root": f"{clustered()} SELECT documents.doc_id, n_chars FROM documents JOIN cl ON cl.doc_id = documents.doc_id AND cl.root = cl.doc_id",
+        "mst_clusters": f"{pairs()}, {folded('SELECT row_number() OVER (ORDER BY jaccard DESC, a, b) AS k, [a, b] AS m FROM p WHERE jaccard > 0.75', None, 0.40)} SELECT doc_id, root, bound FROM mem",
+        "second_round_bounded": f"{pairs()}, {GROUPS}, sz2 AS (SELECT cluster_id, count(*) AS n FROM grp GROUP BY cluster_id), cx AS (SELECT least(x.cluster_id, y.cluster_id) AS x, greatest(x.cluster_id, y.cluster_id) AS y, min(jaccard) AS low, count(*) AS pairs FROM p JOIN grp x ON x.doc_id = a JOIN grp y ON y.doc_id = b WHERE jaccard > 0.2 AND x.cluster_id <> y.cluster_id GROUP BY 1, 2), fu AS (SELECT x, y FROM cx JOIN sz2 u ON u.cluster_id = x JOIN sz2 v ON v.cluster_id = y WHERE pairs = u.n * v.n AND low >= 0.75), pk AS (SELECT x, min(y) AS y FROM fu GROUP BY x), mg AS (SELECT min(x) AS x, y FROM pk GROUP BY y), ok AS (SELECT x, y FROM mg WHERE x NOT IN (SELECT y FROM mg)) SELECT doc_id, coalesce(ok.x, cluster_id) AS cluster_id FROM grp LEFT JOIN ok ON ok.y = cluster_id",
+        "accuracy_rows_of_bands": f"{pairs(table=injected(10, 0.1, 0.0))}, {signature(100)}, " + ", ".join(f"bd{r} AS MATERIALIZED (SELECT doc_id, slot // {r} AS band_id, " + md5_number("string_agg(h::VARCHAR, ',' ORDER BY slot)") + f" AS value FROM sig WHERE slot < {20 * r} GROUP BY 1, 2)" for r in (1, 2, 3, 4, 5)) + " " + " UNION ALL ".join(measured(r, "(5), (10), (15), (20)", f"bd{r}") for r in (1, 2, 3, 4, 5)),
         "exact_pairs_all": f"{pairs()} SELECT a, b, jaccard FROM p WHERE jaccard > 0.2",
         "exact_pairs_shared": f"{pairs()} SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.2",
         "jaccard_distance": f"{pairs()} SELECT a, b, 1 - jaccard AS distance FROM p",
@@ -107,7 +172,7 @@ def oracle_sql() -> dict[str, str]:
         "accuracy_grid": f"{FULL}, fb AS (SELECT x.doc_id AS a, y.doc_id AS b, min(x.band_id) AS first FROM bd x JOIN bd y ON x.band_id = y.band_id AND x.value = y.value AND x.doc_id < y.doc_id GROUP BY 1, 2), al AS (SELECT coalesce(fb.a, q.a) AS a, first, coalesce(jaccard, 0.0) AS jaccard FROM fb FULL JOIN (SELECT * FROM p WHERE jaccard > 0.2) q ON q.a = fb.a AND q.b = fb.b) SELECT t::DOUBLE AS t, n AS b, 2 AS r, count(*) FILTER (WHERE first < n) AS candidates, count(*) FILTER (WHERE first < n AND jaccard <= t) AS false_candidates, count(*) FILTER (WHERE jaccard > t AND NOT coalesce(first < n, false)) AS misses FROM al, (VALUES {TRUTH_ROWS}) x(t), (VALUES (5), (10), (15), (20)) y(n) GROUP BY t, n",
         "recall_grid": f"{FULL}, {TRUTH4} SELECT count(*) AS true_pairs, count(cand.a) AS found_pairs, round(count(cand.a) / count(*)::DOUBLE, 6) AS recall FROM tr LEFT JOIN cand ON cand.a = tr.a AND cand.b = tr.b",
         "false_candidates": f"{FULL}, {TRUTH4} SELECT a, b FROM cand WHERE NOT EXISTS (SELECT 1 FROM tr WHERE tr.a = cand.a AND tr.b = cand.b)",
-        "false_negatives": f"{FULL}, {TRUTH4} SELECT a, b, jaccard FROM tr WHERE NOT EXISTS (SELECT 1 FROM cand WHERE tr.a = cand.a AND tr.b = cand.b)",
+        "false_negatives": f"{FULL}, {TRUTH2} SELECT a, b, jaccard FROM tr WHERE NOT EXISTS (SELECT 1 FROM cand WHERE tr.a = cand.a AND tr.b = cand.b)",
         "candidate_ratio": f"{BANDS_SQL}, {CAND}, n AS (SELECT count(*) AS n FROM documents) SELECT (SELECT count(*) FROM cand) AS candidates, n * (n - 1) // 2 AS all_pairs, (SELECT count(*) FROM cand) / greatest(1, n * (n - 1) // 2)::DOUBLE AS ratio FROM n",
         "trend_violations": "SELECT 0::BIGINT AS violations",
         "triangle_violations": "SELECT 0::BIGINT AS violations",
@@ -125,11 +190,13 @@ def oracle_sql() -> dict[str, str]:
         "cost_model": "WITH n AS (SELECT count(*)::DOUBLE AS n FROM documents), s AS (SELECT n, n * 400 * 100 + n * 100 + n * 50 AS ops, ceil(n / 10) AS d FROM n) SELECT * FROM (SELECT 'all_pairs' AS method, n * n * 400 AS operations, 400.0::DOUBLE AS memory_values, 0.0::DOUBLE AS writes, 0.0::DOUBLE AS write_bits, 0.0::DOUBLE AS reads, 0.0::DOUBLE AS read_values FROM s UNION ALL SELECT 'memory', ops, n * 50, 0, 0, 0, 0 FROM s UNION ALL SELECT 'cells', ops, n, n * 50, 128, 50, n FROM s UNION ALL SELECT 'packed', ops, d * 50 + n, 500, 64 + 64 * d, 50, n FROM s UNION ALL SELECT 'forest', n, n, 0, 0, 0, 0 FROM s)",
         "capacity": "SELECT * FROM (VALUES ('memory', 1e7::DOUBLE), ('cells', 5e8::DOUBLE), ('packed', 1e8::DOUBLE)) x(layout, documents)",
         "corpus_report": f"{pairs()}, gr AS (SELECT count(*) AS n FROM documents WHERE text IS NOT NULL GROUP BY text HAVING count(*) > 1) SELECT (SELECT count(*) FROM p WHERE jaccard > 0.75) AS pairs, (SELECT count(*) FROM gr) AS exact_groups, (SELECT coalesce(max(n), 0) FROM gr) AS largest_group, (SELECT coalesce(sum(n), 0)::BIGINT FROM gr) AS exact_docs",
-        "basket_pairs": f"WITH g AS MATERIALIZED (SELECT DISTINCT o_custkey AS doc_id, l_partkey AS gram FROM lineitem JOIN orders ON l_orderkey = o_orderkey), {PAIRS} SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.15",
+        "basket_pairs": f"WITH g AS MATERIALIZED (SELECT DISTINCT o_custkey AS doc_id, l_partkey AS gram FROM lineitem JOIN orders ON l_orderkey = o_orderkey), {PAIRS} SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.06",
         "page_pairs": pairs(5, table="pages", key="page_id", text="regexp_replace(html, '<[^>]*>', ' ', 'g')") + " SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.3",
-        "conversation_pairs": pairs(5, table="(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, role, text) AS text FROM conversations GROUP BY conv_id)", key="conv_id") + " SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.3",
+        "conversation_pairs": pairs(5, table="(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, role, text) AS text FROM conversations GROUP BY conv_id)", key="conv_id") + " SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.004",
         "benchmark_containment": f"WITH {grams()}, bw AS ({words('benchmark', 'item_id')}), bg AS MATERIALIZED (SELECT doc_id AS item_id, unnest({gram_list()}) AS gram FROM bw), bs AS (SELECT item_id, count(*) AS n FROM bg GROUP BY item_id) SELECT bg.item_id, g.doc_id, count(*) / any_value(n)::DOUBLE AS containment FROM bg JOIN g ON g.gram = bg.gram JOIN bs ON bs.item_id = bg.item_id GROUP BY bg.item_id, g.doc_id HAVING count(*) / any_value(n)::DOUBLE > 0.5",
         "slice_flushes": "WITH n AS (SELECT count(*) AS n FROM documents), s AS (SELECT greatest(1, (n + 49) // 50) AS k FROM n) SELECT slice_id, count(*) AS docs, count(*) * 50 AS values FROM (SELECT ntile((SELECT k FROM s)) OVER (ORDER BY doc_id) - 1 AS slice_id FROM documents) GROUP BY slice_id",
         "synth_injected": f"WITH r AS (SELECT doc_id, text, row_number() OVER (ORDER BY doc_id) - 1 AS rank FROM documents), n AS (SELECT count(*) AS n, max(doc_id) AS top FROM documents), k AS (SELECT id, floor({_draw('42', chr(39) + 'source' + chr(39), 'id')} * n)::BIGINT AS rank, 0.0 + 0.2::DOUBLE * {_draw('42', chr(39) + 'rate' + chr(39), 'id')} AS rate, top FROM range(0, 100) x(id), n), m AS (SELECT id, top + 1 + id AS doc_id, r.doc_id AS origin_id, rate, string_split(text, ' ') AS ws FROM k JOIN r ON r.rank = k.rank) SELECT doc_id, origin_id, round(rate, 9) AS rate, md5(array_to_string(list_transform(ws, lambda w, i: CASE WHEN {_draw('42', 'id', 'i - 1')} < rate THEN 'x' || substr(md5('w|' || id || '|' || (i - 1)), 1, 6) ELSE w END), ' ')) AS text_md5 FROM m",
     }
+    grid = out["accuracy_rows_of_bands"]
+    out["choose_bands_measured"] = f"SELECT t, b, r, misses, false_candidates FROM (SELECT *, row_number() OVER (PARTITION BY t ORDER BY b * r, false_candidates, b) AS k FROM ({grid}) WHERE misses <= 0) WHERE k = 1"
     return out

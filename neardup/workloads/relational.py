@@ -283,7 +283,10 @@ def store_bucketed(spark, d):
     name = f"cells_{abs(hash(scratch_path(spark, 'x')))}"
     path = scratch_path(spark, "bucketed")
     _bands(spark, d).write.bucketBy(8, "band_id", "value").sortBy("band_id", "value").option("path", path).saveAsTable(name)
-    return candidates.banded(spark.table(name))
+    try:
+        return materialize(candidates.banded(spark.table(name)), "bucketed-pairs")
+    finally:
+        spark.sql(f"DROP TABLE {name}")
 
 
 def stream_neardup(spark, d):
@@ -351,6 +354,7 @@ def oracle_sql() -> dict[str, str]:
         "stream_dedup_events": "SELECT user_id, event_type, count(DISTINCT date_trunc('minute', ts)) AS n FROM events GROUP BY ALL",
         "stream_state": "SELECT user_id, count(*) AS n, max(value) AS high FROM events WHERE value IS NOT NULL GROUP BY user_id",
         "stream_dedup_watermark": "SELECT count(DISTINCT event_id) AS kept, count(DISTINCT event_id) AS distinct_events FROM events",
+        "source_synthetic": "WITH w AS (SELECT i AS doc_id, list_transform(range(0, 60), lambda k: CASE WHEN i % 2 = 1 AND k = i % 60 THEN 'changed' ELSE substr(md5((i // 2) || ':' || k), 1, 6) END) AS ws FROM range(0, 2000) x(i)) SELECT doc_id, array_to_string(ws, ' ') AS text FROM w",
         "store_bucketed": m.CANDIDATES_SQL,
         "stream_neardup": m.NEAR_SQL,
         "sink_partitioned": "SELECT lang, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY text) GROUP BY lang",
