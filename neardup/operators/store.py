@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
+
+from neardup.operators.ranks import ranked as by_rank
 
 
 def write_cells(bands: DataFrame, path: str) -> None:
@@ -19,9 +20,13 @@ def read_cells(spark: SparkSession, path: str, band_id: int | None = None) -> Da
 
 
 def slice_ids(docs: DataFrame, slices: int, ranked: bool = False) -> DataFrame:
-    """(doc_id, slice_id): by hash, or by rank (in one task, for small tables) with slices of equal size."""
+    """(doc_id, slice_id): by hash, or by rank with slices of equal size, the first ones a document longer where it doesn't come out even."""
     if ranked:
-        return docs.select("doc_id", (F.ntile(slices).over(Window.orderBy("doc_id")) - 1).alias("slice_id"))
+        n = docs.count()
+        size, longer = n // slices, n % slices
+        rank, edge = F.col("rank"), longer * (size + 1)
+        slice_id = F.when(rank < edge, F.floor(rank / (size + 1))).otherwise(longer + F.floor((rank - edge) / max(1, size)))
+        return by_rank(docs.select("doc_id"), "doc_id").select("doc_id", slice_id.cast("int").alias("slice_id"))
     return docs.select("doc_id", F.pmod(F.xxhash64("doc_id"), F.lit(slices)).cast("int").alias("slice_id"))
 
 

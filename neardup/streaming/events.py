@@ -76,3 +76,24 @@ def once_within_watermark(spark: SparkSession, d: str) -> DataFrame:
     e = event_stream(spark, d)
     once = run_to_end(e.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
     return once.agg(F.count("*").alias("kept"), F.countDistinct("event_id").alias("distinct_events"))
+
+
+def late_rows(spark: SparkSession, d: str) -> DataFrame:
+    """One row (rows, late): the newer half of the events arrives first, and how many of the others come too late for the watermark.
+
+    The engine counts the late rows itself, in the progress of the operator that drops them.
+    """
+    rows = spark.read.parquet(f"{d.rstrip('/')}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    middle = rows.agg(F.min("ts").cast("double").alias("lo"), F.max("ts").cast("double").alias("hi")).first()
+    newer = F.col("ts").cast("double") * 2 >= middle.lo + middle.hi
+    source, out, marks = (scratch_path(spark, x) for x in ("late-events", "stream", "stream-marks"))
+    late = 0
+    # The query ends after the first half and starts again for the other: the watermark comes back from the checkpoint.
+    for part in (rows.where(newer), rows.where(~newer)):
+        part.coalesce(1).write.mode("append").parquet(source)
+        stream = spark.readStream.schema(rows.schema).parquet(source).withWatermark("ts", "10 minutes")
+        once = stream.dropDuplicatesWithinWatermark(["event_id"])
+        query = once.writeStream.option("checkpointLocation", marks).trigger(availableNow=True).foreachBatch(lambda batch, n: batch.write.mode("overwrite").parquet(f"{out}/batch={n}")).start()
+        query.awaitTermination()
+        late += sum(o["numRowsDroppedByWatermark"] for p in query.recentProgress for o in p["stateOperators"])
+    return rows.agg(F.count("*").alias("rows")).withColumn("late", F.lit(late).cast("bigint"))

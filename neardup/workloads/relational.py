@@ -278,6 +278,21 @@ def stream_dedup_watermark(spark, d):
     return once_within_watermark(spark, d)
 
 
+def stream_late_rows(spark, d):
+    from neardup.streaming.events import late_rows
+
+    return late_rows(spark, d)
+
+
+def scan_text(spark, d):
+    """Documents written as lines of text and read back."""
+    path = scratch_path(spark, "text")
+    one_line = F.concat_ws("\t", F.col("doc_id").cast("string"), F.regexp_replace("text", "\n", " "))
+    documents(spark, d).select(one_line.alias("value")).write.option("lineSep", "\n").text(path)
+    rows = spark.read.option("lineSep", "\n").text(path).select(F.split("value", "\t", 2).alias("x"))
+    return rows.select(F.col("x")[0].cast("bigint").alias("doc_id"), F.length(F.col("x")[1]).cast("bigint").alias("n_chars"))
+
+
 def store_bucketed(spark, d):
     """Cells as a bucketed table: the join of its bands needs no exchange of either side."""
     name = f"cells_{abs(hash(scratch_path(spark, 'x')))}"
@@ -355,6 +370,8 @@ def oracle_sql() -> dict[str, str]:
         "stream_state": "SELECT user_id, count(*) AS n, max(value) AS high FROM events WHERE value IS NOT NULL GROUP BY user_id",
         "stream_dedup_watermark": "SELECT count(DISTINCT event_id) AS kept, count(DISTINCT event_id) AS distinct_events FROM events",
         "source_synthetic": "WITH w AS (SELECT i AS doc_id, list_transform(range(0, 60), lambda k: CASE WHEN i % 2 = 1 AND k = i % 60 THEN 'changed' ELSE substr(md5((i // 2) || ':' || k), 1, 6) END) AS ws FROM range(0, 2000) x(i)) SELECT doc_id, array_to_string(ws, ' ') AS text FROM w",
+        "scan_text": "SELECT doc_id, length(text) AS n_chars FROM documents",
+        "stream_late_rows": "WITH m AS (SELECT (min(epoch_us(ts)) + max(epoch_us(ts))) / 2 AS half, max(epoch_us(ts)) // 1000 - 600000 AS mark FROM events) SELECT count(*) AS rows, count(*) FILTER (WHERE epoch_us(ts) < half AND epoch_us(ts) // 1000 <= mark) AS late FROM events, m",
         "store_bucketed": m.CANDIDATES_SQL,
         "stream_neardup": m.NEAR_SQL,
         "sink_partitioned": "SELECT lang, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY text) GROUP BY lang",

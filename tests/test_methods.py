@@ -1,3 +1,4 @@
+import collections
 import random
 
 import pytest
@@ -215,3 +216,98 @@ def test_empty_corpus(spark, docs):
     assert pipeline.near_duplicates(none).isEmpty()
     assert pipeline.clusters(none).isEmpty()
     assert banding.bands(docs.where("doc_id = 10"), DedupConfig()).count() == 50
+
+
+def _plain_similar(sets, least):
+    out = {}
+    for a, x in sets.items():
+        for b, y in sets.items():
+            if a < b and x and y and len(x & y) / len(x | y) > least:
+                out[a, b] = (len(x & y), len(x & y) / len(x | y))
+    return out
+
+
+def test_prefix_join_finds_all_pairs_above_a_threshold(spark):
+    r, sets = random.Random(3), {}
+    for d in range(80):
+        base = sets[r.randrange(d)] if d and r.random() < 0.6 else set()
+        sets[d] = {x for x in base if r.random() < 0.9} | {r.randrange(60) for _ in range(r.randrange(1, 12))}
+    rows = spark.createDataFrame([(d, f"g{x}") for d, s in sets.items() for x in s], "doc_id bigint, gram string")
+    for least in (0.05, 0.2, 0.5, 0.8):
+        got = {(x.a, x.b): (x.shared, x.jaccard) for x in verify.similar_pairs(rows, least).collect()}
+        assert got == _plain_similar(sets, least) and got
+
+
+def test_ranks_of_a_whole_table(spark):
+    from neardup.operators.ranks import ranked
+
+    ids = [7, 3, 99, 1000, -5, 12]
+    df = spark.createDataFrame([(i, f"r{i}") for i in ids], "doc_id bigint, rank_part string").repartition(4)
+    assert {x.doc_id: x["rank"] for x in ranked(df, "doc_id").collect()} == {d: k for k, d in enumerate(sorted(ids))}
+    assert ranked(df.limit(0), "doc_id").count() == 0
+    sizes = collections.Counter(x.slice_id for x in store.slice_ids(spark.range(23).withColumnRenamed("id", "doc_id"), 5, ranked=True).collect())
+    assert sizes == {0: 5, 1: 5, 2: 5, 3: 4, 4: 4}
+
+
+def test_heavy_keys_and_others_join_alike(spark):
+    from neardup.operators.skew import join_counted, repeated
+
+    rows = spark.createDataFrame([(k, i) for k, n in (("a", 500), ("b", 3), ("c", 1), ("d", 2)) for i in range(n)], "k string, i int")
+    counts = rows.groupBy("k").count().withColumnRenamed("count", "n").where("k <> 'd'").withColumn("x", F.concat("k", F.lit("!")))
+    for heavy in (1, 4, 1000):
+        got = collections.Counter((r.k, r.x) for r in join_counted(rows, counts, ["k"], heavy_keys=heavy).collect())
+        assert got == {("a", "a!"): 500, ("b", "b!"): 3, ("c", "c!"): 1}
+    assert collections.Counter(r.k for r in repeated(rows, ["k"]).collect()) == {"a": 500, "b": 3, "d": 2}
+    assert repeated(rows.limit(0), ["k"]).count() == 0
+
+
+def test_band_store_knows_its_batches_after_a_restart(spark, tmp_path):
+    from neardup.streaming.neardup import BandStore, arrive
+
+    words = [f"w{k}" for k in range(60)]
+    docs = lambda *ids: spark.createDataFrame([(i, " ".join([*words, f"x{i}"])) for i in ids], "doc_id bigint, text string")
+    cfg = DedupConfig()
+    assert {(x.a, x.b) for x in arrive(BandStore(spark, f"{tmp_path}/s"), docs(1, 2), 0, cfg).collect()} == {(1, 2)}
+    # Another object, as after a restart; a batch that runs again gives the same rows.
+    for _ in range(2):
+        assert {(x.a, x.b) for x in arrive(BandStore(spark, f"{tmp_path}/s"), docs(3), 1, cfg).collect()} == {(1, 3), (2, 3)}
+    (tmp_path / "s" / "bands" / "batch=7").mkdir()
+    assert BandStore(spark, f"{tmp_path}/s").batches("bands") == [0, 1]
+
+
+def test_copies_cost_no_candidates_and_keep_their_pairs(spark):
+    words = [f"w{k}" for k in range(60)]
+    rows = [(i, " ".join(words)) for i in range(30)] + [(40, " ".join([*words, "more"])), (41, None), (42, ""), (43, "")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    run = pipeline.run(df, DedupConfig())
+    assert run.candidates.count() == 1
+    pairs = {(x.a, x.b) for x in run.pairs.collect()}
+    assert pairs == {(a, b) for a in [*range(30), 40] for b in [*range(30), 40] if a < b}
+    for mode in ("sequential", "rounds"):
+        found = {x.doc_id: x.cluster_id for x in pipeline.clusters(df, DedupConfig(mode=mode)).collect()}
+        assert found == {**dict.fromkeys([*range(30), 40], 0), 41: 41, 42: 42, 43: 42} or found == {**dict.fromkeys([*range(30), 40], 0), 41: 41, 42: 42, 43: 43}
+
+
+def test_components_beyond_one_task_keep_the_bound(spark):
+    """The same guarantee, and no two roots left that could still be joined, for several orders of the rounds."""
+    from neardup.functions.text import grams_of
+    from neardup.operators import cluster
+
+    words = [f"w{k}" for k in range(200)]
+    rows = [(i, " ".join(words[7 * i : 7 * i + 80])) for i in range(14)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    cfg = DedupConfig(n=2)
+    grams, bands = grams_of(df, cfg, hashed=True), banding.bands(df, cfg)
+    for most in (20_000, 3):
+        folded = cluster.bounded_clusters(bands, grams, 0.6, 0.4, most_members=most)
+        got = cluster.assignments(folded, df)
+        x = metrics.bound_violations(got, grams, 0.4).first()
+        assert (x.low_pairs, x.root_violations) == (0, 0) and got.count() == 14 and got.select("cluster_id").distinct().count() < 14
+    edges = verify.scored(candidates.banded(bands), grams)
+    for seed in range(4):
+        state = cluster.rounds(edges, grams, 0.6, 0.4, seed=seed)
+        roots = state.select("root", "bound").distinct()
+        pairs = edges.where("jaccard > 0.6").join(state.select(F.col("doc_id").alias("a"), F.col("root").alias("x"), F.col("bound").alias("bx")), "a").join(state.select(F.col("doc_id").alias("b"), F.col("root").alias("y"), F.col("bound").alias("by")), "b").where("x <> y")
+        both = verify.scored(pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), grams).collect()
+        bound = {r.root: r.bound for r in roots.collect()}
+        assert not [p for p in both if p.jaccard > 0.6 and bound[p.a] + bound[p.b] + p.jaccard - 2 >= 0.4]
