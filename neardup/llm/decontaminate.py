@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
+from neardup.session import ship_package
 
 RADIUS, BLOCKS = 20, 4
 ITEM_BYTES = 16 << 20
@@ -143,6 +144,7 @@ def item_groups(benchmark: DataFrame, most: int = ITEM_BYTES) -> Iterator[tuple[
 def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows (doc_id, item_id, start_word, n_shingles, similarity): the best window for each item that a document holds."""
     schema = "doc_id bigint, item_id bigint, start_word bigint, n_shingles bigint, similarity double"
+    ship_package(docs.sparkSession)
     found = None
     for ids, texts in item_groups(benchmark):
         one = docs.select("doc_id", "text").mapInArrow(_search(ids, texts), schema)
@@ -174,6 +176,7 @@ def _search(ids: list, texts: list):
 
 def without_benchmark(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of docs that hold no item, with all their columns."""
+    ship_package(docs.sparkSession)
     at = docs.columns.index("text")
     for ids, texts in item_groups(benchmark):
 

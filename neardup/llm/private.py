@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.session import ship_package
+
 KINDS = ("email", "ip", "card", "phone")
 WINDOW, STEP = 64, 32
 #: Windows farther than this from every digit and at sign are not decoded.
@@ -436,6 +438,7 @@ def _best_tags(tagger: Tagger, regions: list[tuple[int, list[int]]], classes: li
 
 def find_private(docs: DataFrame, tagger: Tagger | None = None) -> DataFrame:
     """One row (doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_added): counts are of base spans, n_added of those that the tagger adds."""
+    ship_package(docs.sparkSession)
     tagger = tagger or train_tagger(docs.select("doc_id", "text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from neardup.llm.common import IS_SPACE, GOLDEN, gram_hash, mix, prefix_hash, range_hash, slices, texts_of, tidy, word_bounds
+from neardup.session import ship_package
 
 SAMPLE = 400
 WINDOW = 5
@@ -169,6 +170,7 @@ def order_rules(docs: DataFrame, rules: tuple[Rule, ...] = RULES, sample: int =
 
 def quality_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """One row for each document with all features, base_failed and kept."""
+    ship_package(docs.sparkSession)
     order = order_rules(docs, rules)
     base = {r.name for r in BASE_RULES}
 
@@ -191,6 +193,7 @@ def quality_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFram
 
 def quality_filter(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows of docs that no rule rejects, with all their columns."""
+    ship_package(docs.sparkSession)
     order, at = order_rules(docs, rules), docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from neardup.llm.common import LOWER, mix, shingle_rows, slices, texts_of, tidy
 from neardup.operators.graph import components
-from neardup.session import materialize, release
+from neardup.session import materialize, release, ship_package
 
 #: Cells of the sketch: a task counts up to 255 in each, so its part has 2 MB at any size of the input.
 SKETCH_BITS = 21
@@ -233,6 +233,7 @@ class SignatureTree:
 
 
 def _texts(docs: DataFrame) -> DataFrame:
+    ship_package(docs.sparkSession)
     text = F.coalesce(F.col("text"), F.lit(""))
     return docs.select("doc_id", F.xxhash64(text).alias("t"), text.alias("text"))
 

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from neardup.llm.common import GOLDEN, mix, prefix_hash, range_hash, slices, texts_of
 from neardup.operators.skew import join_counted, repeated
-from neardup.session import materialize, release
+from neardup.session import materialize, release, ship_package
 
 THRESHOLD = 400
 ANCHOR = 80
@@ -77,6 +77,7 @@ def anchors_of(buf: np.ndarray, offs: np.ndarray, threshold: int = THRESHOLD, an
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
+    ship_package(docs.sparkSession)
     text = F.coalesce(F.col("text"), F.lit(""))
     return docs.select("doc_id", F.xxhash64(text).alias("t"), text.alias("text"))
 

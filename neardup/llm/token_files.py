@@ -34,7 +34,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from neardup.session import scratch_path
+from neardup.session import scratch_path, ship_package
 
 #: The dictionary is trained on ANCHORS runs of RUN ids in a row, each from an id drawn by hash.
 ANCHORS, RUN = 16, 32
@@ -236,6 +236,7 @@ def range_bounds(docs: DataFrame, range_rows: int) -> list[int]:
 def write_token_files(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, range_rows: int = RANGE_ROWS) -> bytes:
     """Writes the block files and the dictionary; gives the dictionary."""
     spark = docs.sparkSession
+    ship_package(spark)
     docs = docs.select("doc_id", "text")
     dictionary = train_dictionary(docs, tokenizer_path, end_id, width)
     spark.createDataFrame([(bytearray(dictionary), dictionary_hash(dictionary), width, end_id)], "dictionary binary, dict_hash string, width int, end_id bigint").coalesce(1).write.parquet(f"{path}/dictionary")
@@ -321,6 +322,7 @@ def read_one(spark: SparkSession, path: str, doc_id: int) -> np.ndarray | None:
 
 
 def _read(spark: SparkSession, path: str, column: str, made, kind: pa.DataType) -> DataFrame:
+    ship_package(spark)
     meta = spark.read.parquet(f"{path}/dictionary").first()
     dictionary, label = bytes(meta.dictionary), meta.dict_hash
     if dictionary_hash(dictionary) != label:

@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neardup.session import ship_package
+
 #: At most so many labelled rows are learned from, drawn by hash of their id.
 TRAIN_ROWS = 20_000
 TERMS = 2_000
@@ -171,6 +173,7 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, penalty: float = 1e-2, steps: int
 
 def train(docs: DataFrame, labels: DataFrame, exceptions: tuple[str, ...] = ()) -> tuple[dict[str, float], tuple[str, ...], list[float]]:
     """Terms with weights, exceptions, and the weights of the logistic function."""
+    ship_package(docs.sparkSession)
     rows = training_rows(docs, labels)
     terms = learn_terms(rows)
     exceptions = tuple(dict.fromkeys((*exceptions, *learn_exceptions(rows, terms))))

@@ -168,6 +168,18 @@ def test_quality_order_does_not_change_the_verdict(spark):
     assert {r.doc_id for r in quality.quality_filter(df).collect()} == set(range(20))
 
 
+def test_quality_of_a_very_long_text_and_clashing_columns(spark):
+    words = words_of(60_000, 1)
+    text = " ".join(words) + "\n" + " ".join(words[:5]) + "\nx###\nx###"
+    df = spark.createDataFrame([(1, text, 7), (1, text, 7), (2, "", 8)], "doc_id bigint, text string, kept int")
+    got = quality.quality_report(df).collect()
+    long = [r for r in got if r.doc_id == 1]
+    assert len(got) == 3 and len(long) == 2 and long[0] == long[1]
+    assert (long[0].n_words, long[0].n_symbols, long[0].n_dup_lines, long[0].n_repeat_words, long[0].kept) == (60_007, 6, 1, 10, True)
+    kept = quality.quality_filter(df)
+    assert kept.columns == df.columns and [(r.doc_id, r["kept"]) for r in kept.collect()] == [(1, 7), (1, 7)]
+
+
 # --- 4
 
 
@@ -689,6 +701,29 @@ def test_sharding_keeps_all_columns(spark, tmp_path, monkeypatch):
 # --- pipeline
 
 
+def test_pipeline_keeps_one_of_copies_and_no_blank_text(spark, tmp_path):
+    """Copies of texts of many lines, near copies, equal ids with different texts, and columns with names that are used inside."""
+    import corpus_pipeline
+
+    lined = lambda seed, n: "\n".join(" ".join(words_of(30, seed + k)) for k in range(n))
+    base, other = lined(1, 6), lined(100, 5)
+    near = "\n".join([*base.split("\n")[:3], *(x.replace(" w", " v", 1) for x in base.split("\n")[3:])])
+    pieced = "\n".join([base.split("\n")[0], other.split("\n")[1]] + ["short line"])
+    rows = [(1, base), (2, base), (3, base), (4, near), (5, other), (5, lined(300, 4)), (5, other), (6, pieced), (7, lined(500, 1)), (8, lined(500, 1)), (9, lined(700, 3) + "\n" + base.split("\n")[0])]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    for name in ("row", "d", "t", "h", "sources", "cut", "_t", "rows"):
+        docs = docs.withColumn(name, F.lit(name))
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        got = stage(spark, got, str(tmp_path))
+        assert got.columns == docs.columns
+    kept = sorted((r.doc_id, r.text) for r in got.collect())
+    # The sixth is put together from lines of others and goes, the ninth loses the line that it shares.
+    assert kept == sorted([(1, base), (5, other), (5, lined(300, 4)), (7, lined(500, 1)), (9, lined(700, 3))])
+
+
 def test_pipeline_against_its_parts(spark, tmp_path):
     import corpus_pipeline
 
