@@ -70,12 +70,15 @@ def bitmap(s: np.ndarray) -> bytes:
     return np.packbits(flags, bitorder="little").tobytes()
 
 
-def fold(raw: bytes, size: int) -> np.ndarray:
+def _folded(x: np.ndarray, size: int) -> np.ndarray:
     """A bitmap of fewer bytes: the OR of its equal parts."""
-    x = np.frombuffer(raw, np.uint8)
     return np.bitwise_or.reduce(x.reshape(-1, size), 0) if len(x) > size else x
 
 
+def fold(raw: bytes, size: int) -> np.ndarray:
+    return _folded(np.frombuffer(raw, np.uint8), size)
+
+
 def needed(n, m):
     """The least number of shared shingles with which sets of n and m link."""
     return (4 * (n + m) + 8) // 9
@@ -178,7 +181,10 @@ class SignatureTree:
 
     def _build(self, lo: int, hi: int) -> int:
         b = self.block
-        if hi - lo <= self.leaf:
+        if hi - lo == len(b.ids) <= self.leaf:
+            # The whole block is one leaf: there is no pair of nodes to leave out.
+            width, ors, fewest, kids = 0, np.zeros(0, np.uint8), 0, None
+        elif hi - lo <= self.leaf:
             width = int(b.widths[lo:hi].min())
             maps = b.at(width)[lo:hi]
             ors, fewest, kids = np.bitwise_or.reduce(maps, 0), int(np.bitwise_count(maps).sum(1, dtype=np.int64).min()), None
@@ -187,7 +193,7 @@ class SignatureTree:
             kids = (self._build(lo, mid), self._build(mid, hi))
             x, y = (self.nodes[k] for k in kids)
             width = min(len(x["or"]), len(y["or"]))
-            ors = fold(x["or"].tobytes(), width) | fold(y["or"].tobytes(), width)
+            ors = _folded(x["or"], width) | _folded(y["or"], width)
             fewest = int(min(np.bitwise_count(b.at(width)[lo:hi]).sum(1, dtype=np.int64))) if width < max(len(x["or"]), len(y["or"])) else min(x["fewest"], y["fewest"])
         comps = b.comps[lo:hi]
         self.nodes.append({"lo": lo, "hi": hi, "or": ors, "fewest": fewest, "least": int(b.n[lo]), "most": int(b.n[hi - 1]), "kids": kids, "one": int(comps[0]) if (comps == comps[0]).all() else None})
@@ -197,10 +203,12 @@ class SignatureTree:
         """False if no pair of members can share enough, or all members are in one component."""
         if x["one"] is not None and x["one"] == y["one"]:
             return False
+        if x is y and x["kids"] is None:
+            return True
         if 4 * max(x["least"], y["least"]) > 5 * min(x["most"], y["most"]):
             return False
         width = min(len(x["or"]), len(y["or"]))
-        both = int(np.bitwise_count(fold(x["or"].tobytes(), width) & fold(y["or"].tobytes(), width)).sum())
+        both = int(np.bitwise_count(_folded(x["or"], width) & _folded(y["or"], width)).sum())
         most = min((n["most"] - max(0, n["fewest"] - both)) if len(n["or"]) == width else n["most"] for n in (x, y))
         return most >= needed(x["least"], y["least"])
 
@@ -509,8 +517,9 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     fate = materialize(found.select(F.col("doc_id").alias("d"), F.col("t").alias("h"), F.struct("doc_id", "t").eqNullSafe(F.col("one")).alias("first"), "rows").where("NOT first OR rows > 1"), "fate")
     # All columns travel in one struct, so that no name of theirs can clash.
     keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("doc_id").alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"))
-    kept = keyed.join(fate, ["d", "h"], "left_anti")
+    # What goes grows with the documents: no broadcast.
+    kept = keyed.join(fate.hint("merge"), ["d", "h"], "left_anti")
     again = fate.where("first")
     if not again.isEmpty():
-        kept = kept.unionByName(keyed.join(again, ["d", "h"], "left_semi").dropDuplicates(["d", "h"]))
+        kept = kept.unionByName(keyed.join(again.hint("merge"), ["d", "h"], "left_semi").dropDuplicates(["d", "h"]))
     return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
