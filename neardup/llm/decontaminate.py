@@ -90,6 +90,8 @@ class Items:
         self.index = HammingIndex([simhash(b) for b in self.bags])
         self.keys = np.unique(np.concatenate([np.zeros(0, np.uint64), *self.bags]))
         self.sizes = np.array([len(b) for b in self.bags], np.int64)
+        self.lengths, self.longest = np.unique(self.sizes), int(self.sizes.max(initial=0))
+        self.needs: dict[int, tuple[list[int], list[int]]] = {}
         self.maybe = np.zeros(1 << 20, bool)
         self.maybe[(self.keys & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
 
@@ -103,16 +105,28 @@ class Items:
 
     def windows(self, n: int, p: np.ndarray) -> Iterator[tuple[int, int]]:
         """(start, size) of the item-sized windows of a document of n shingles that some item may be like; p as from places."""
-        for size in np.unique(np.minimum(self.sizes, n)).tolist():
-            # Longer items than the document need more.
-            least = min((4 * (m + size) + 8) // 9 for m in {size, int(self.sizes[self.sizes >= size].min())})
-            if len(p) < least:
+        for size, least in zip(*self._needs(min(n, self.longest)), strict=True):
+            if least > len(p):
                 continue
-            starts = np.arange(max(0, int(p[0]) - size + 1), min(int(p[-1]), n - size) + 1)
+            # Some window holds so many places only if so many of them in a row lie within a window's length.
+            near = np.flatnonzero(p[least - 1 :] - p[: len(p) - least + 1] < size)
+            if not len(near):
+                continue
+            first, last = int(p[near[0] + least - 1]) - size + 1, int(p[near[-1]])
+            starts = np.arange(max(0, first), min(last, n - size) + 1)
             held = np.searchsorted(p, starts + size) - np.searchsorted(p, starts)
             for s in starts[held >= least].tolist():
                 yield s, size
 
+    def _needs(self, n: int) -> tuple[list[int], list[int]]:
+        """Sizes of windows of a document of n shingles, and how many of a window's shingles some item must have; longer items than the document need more."""
+        if n not in self.needs:
+            sizes = np.unique(np.minimum(self.sizes, n))
+            longer = np.searchsorted(self.lengths, sizes)
+            # One entry for each length below the longest item's, and one for all others.
+            self.needs[n] = sizes.tolist(), ((4 * (self.lengths[longer] + sizes) + 8) // 9).tolist()
+        return self.needs[n]
+
     def matches(self, bag: np.ndarray, p: np.ndarray) -> list[tuple[int, int, int, float]]:
         """Best window (item, start, size, similarity) of each item that a document holds; p as from places."""
         best: dict[int, tuple[int, int, float]] = {}
