@@ -311,3 +311,47 @@ def test_components_beyond_one_task_keep_the_bound(spark):
         both = verify.scored(pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), grams).collect()
         bound = {r.root: r.bound for r in roots.collect()}
         assert not [p for p in both if p.jaccard > 0.6 and bound[p.a] + bound[p.b] + p.jaccard - 2 >= 0.4]
+
+
+def test_pairs_come_from_few_lists_of_documents(spark, monkeypatch):
+    shared = list(range(1000))
+    sets = {1: shared, 2: shared, 3: [*range(990, 1000), 2000], **{i: [5000, 6000 + i] for i in range(10, 20)}}
+    rows = spark.createDataFrame(list(sets.items()), "doc_id bigint, grams array<bigint>")
+    written = []
+    monkeypatch.setattr(verify, "materialize", lambda df, name: written.append((name, out := materialize(df, name))) or out)
+    monkeypatch.setattr(verify, "BLOCK", 3)
+    plain = {k: set(v) for k, v in sets.items()}
+    for least in (0.0, 0.2, 0.5):
+        found = verify.similar_pairs(rows, least) if least else verify.shared_gram_pairs(rows)
+        assert {(x.a, x.b): (x.shared, x.jaccard) for x in found.collect()} == _plain_similar(plain, least)
+    # 1,000 shared grams are two lists, and those of ten documents one.
+    assert written[0][0] == "lists" and sorted((len(x.ids), x.w) for x in written[0][1].collect()) == [(2, 990), (3, 10), (10, 1)]
+
+
+def test_approximate_counts_keep_no_sketch_for_each_gram(spark):
+    from neardup.workloads import relational
+
+    plan = relational.agg_approx_grams(spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    keyed = [x for x in plan.splitlines() if "approx_count_distinct" in x and "keys=[]" not in x and "functions=" in x]
+    assert "approx_count_distinct" in plan and not keyed
+
+
+def test_all_pairs_meets_block_after_block(spark, monkeypatch):
+    r = random.Random(5)
+    sets = {d: {r.randrange(30) for _ in range(r.randrange(0, 9))} for d in range(0, 120, 3)}
+    rows = spark.createDataFrame([(d, sorted(s)) for d, s in sets.items()], "doc_id bigint, grams array<bigint>")
+    monkeypatch.setattr(verify, "ALL_PAIRS_GRAMS", 60)
+    got = {(x.a, x.b): x.jaccard for x in verify.all_pairs(rows, 0.2).collect()}
+    assert got == {k: j for k, (_, j) in _plain_similar(sets, 0.2).items()} and got
+    assert verify.all_pairs(rows.limit(0), 0.2).isEmpty()
+
+
+def _documents_read(df):
+    return [x for x in df._jdf.queryExecution().optimizedPlan().collectLeaves().mkString("\n").splitlines() if "parquet" in x]
+
+
+@pytest.mark.parametrize("name", ["capacity", "lsh_curve", "scan_schema_check", "source_synthetic", "udf_probability"])
+def test_queries_read_the_documents_table(spark, name):
+    from neardup import catalog
+
+    assert _documents_read(catalog.queries()[name](spark, "/root/testdata/sf0.001"))
