@@ -13,6 +13,12 @@ def words(table: str = "documents", key: str = "doc_id", text: str = "text") ->
     return f"SELECT {key} AS doc_id, list_filter(regexp_split_to_array(lower(coalesce({text}, '')), '{SPLIT}'), lambda x: x <> '') AS ws FROM {table}"
 
 
+def halves() -> str:
+    """(doc_id, j): similarity of the distinct words of both halves of each text of two words or more."""
+    parts = "list_distinct(ws[1:len(ws) // 2]) AS x, list_distinct(ws[len(ws) // 2 + 1:]) AS y"
+    return f"(SELECT doc_id, len(list_intersect(x, y)) / (len(x) + len(y) - len(list_intersect(x, y)))::DOUBLE AS j FROM (SELECT doc_id, {parts} FROM ({words()}) WHERE len(ws) > 1))"
+
+
 def gram_list(n: int = 8, ws: str = "ws") -> str:
     return f"CASE WHEN len({ws}) >= {n} THEN list_distinct(list_transform(range(1, len({ws}) - {n} + 2), lambda i: array_to_string({ws}[i:i + {n} - 1], ' '))) WHEN len({ws}) > 0 THEN [array_to_string({ws}, ' ')] ELSE []::VARCHAR[] END"
 
@@ -166,7 +172,7 @@ def oracle_sql() -> dict[str, str]:
         "near_duplicates_mm32": NEAR_SQL,
         "near_duplicates_rewritten": NEAR_SQL,
         "sql_pairs": f"{pairs()} SELECT a, b, x.lang AS lang_a, y.lang AS lang_b FROM p JOIN documents x ON x.doc_id = a JOIN documents y ON y.doc_id = b WHERE jaccard > 0.75",
-        "lsh_curve": f"SELECT s, b, r, round(pow(s, r), 9) AS band_agrees, round(1 - pow(s, r), 9) AS band_differs, round(pow(1 - pow(s, r), b), 9) AS all_differ, round(1 - pow(1 - pow(s, r), b), 9) AS candidate FROM (SELECT i / 20.0::DOUBLE AS s FROM range(0, 21) x(i)), (VALUES {GRID_ROWS}) y(b, r)",
+        "lsh_curve": f"SELECT s, b, r, documents, round(pow(s, r), 9) AS band_agrees, round(1 - pow(s, r), 9) AS band_differs, round(pow(1 - pow(s, r), b), 9) AS all_differ, round(1 - pow(1 - pow(s, r), b), 9) AS candidate FROM (SELECT floor(j * 20 + 0.5) / 20 AS s, count(*) AS documents FROM {halves()} GROUP BY 1), (VALUES {GRID_ROWS}) y(b, r)",
         "expected_candidates": f"{pairs()}, {EXPECTED} SELECT * FROM ex",
         "choose_bands": f"{pairs()}, {EXPECTED}, rk AS (SELECT *, row_number() OVER (PARTITION BY t ORDER BY b * r, false_candidates, b) AS k FROM ex WHERE misses <= 0.05) SELECT t, b, r, misses, false_candidates FROM rk WHERE k = 1",
         "accuracy_grid": f"{FULL}, fb AS (SELECT x.doc_id AS a, y.doc_id AS b, min(x.band_id) AS first FROM bd x JOIN bd y ON x.band_id = y.band_id AND x.value = y.value AND x.doc_id < y.doc_id GROUP BY 1, 2), al AS (SELECT coalesce(fb.a, q.a) AS a, first, coalesce(jaccard, 0.0) AS jaccard FROM fb FULL JOIN (SELECT * FROM p WHERE jaccard > 0.2) q ON q.a = fb.a AND q.b = fb.b) SELECT t::DOUBLE AS t, n AS b, 2 AS r, count(*) FILTER (WHERE first < n) AS candidates, count(*) FILTER (WHERE first < n AND jaccard <= t) AS false_candidates, count(*) FILTER (WHERE jaccard > t AND NOT coalesce(first < n, false)) AS misses FROM al, (VALUES {TRUTH_ROWS}) x(t), (VALUES (5), (10), (15), (20)) y(n) GROUP BY t, n",
