@@ -194,7 +194,7 @@ def oracle_sql() -> dict[str, str]:
         "dedup_keep_first": f"WITH {GROUPS} SELECT doc_id, n_chars FROM documents WHERE doc_id IN (SELECT cluster_id FROM grp)",
         "dedup_keep_best": f"WITH {GROUPS}, rk AS (SELECT grp.doc_id, row_number() OVER (PARTITION BY cluster_id ORDER BY coalesce(quality, -1) DESC, grp.doc_id) AS k FROM grp LEFT JOIN labels ON labels.doc_id = grp.doc_id) SELECT doc_id, n_chars FROM documents WHERE doc_id IN (SELECT doc_id FROM rk WHERE k = 1)",
         "cost_model": "WITH n AS (SELECT count(*)::DOUBLE AS n FROM documents), s AS (SELECT n, n * 400 * 100 + n * 100 + n * 50 AS ops, ceil(n / 10) AS d FROM n) SELECT * FROM (SELECT 'all_pairs' AS method, n * n * 400 AS operations, 400.0::DOUBLE AS memory_values, 0.0::DOUBLE AS writes, 0.0::DOUBLE AS write_bits, 0.0::DOUBLE AS reads, 0.0::DOUBLE AS read_values FROM s UNION ALL SELECT 'memory', ops, n * 50, 0, 0, 0, 0 FROM s UNION ALL SELECT 'cells', ops, n, n * 50, 128, 50, n FROM s UNION ALL SELECT 'packed', ops, d * 50 + n, 500, 64 + 64 * d, 50, n FROM s UNION ALL SELECT 'forest', n, n, 0, 0, 0, 0 FROM s)",
-        "capacity": "SELECT * FROM (VALUES ('memory', 1e7::DOUBLE), ('cells', 5e8::DOUBLE), ('packed', 1e8::DOUBLE)) x(layout, documents)",
+        "capacity": "SELECT layout, documents, round(documents / greatest(1, n), 6) AS tables FROM (VALUES ('memory', 1e7::DOUBLE), ('cells', 5e8::DOUBLE), ('packed', 1e8::DOUBLE)) x(layout, documents), (SELECT count(*) AS n FROM documents WHERE regexp_matches(text, '[\\p{L}\\p{N}]'))",
         "corpus_report": f"{pairs()}, gr AS (SELECT count(*) AS n FROM documents WHERE text IS NOT NULL GROUP BY text HAVING count(*) > 1) SELECT (SELECT count(*) FROM p WHERE jaccard > 0.75) AS pairs, (SELECT count(*) FROM gr) AS exact_groups, (SELECT coalesce(max(n), 0) FROM gr) AS largest_group, (SELECT coalesce(sum(n), 0)::BIGINT FROM gr) AS exact_docs",
         "basket_pairs": f"WITH g AS MATERIALIZED (SELECT DISTINCT o_custkey AS doc_id, l_partkey AS gram FROM lineitem JOIN orders ON l_orderkey = o_orderkey), {PAIRS} SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.06",
         "page_pairs": pairs(5, table="pages", key="page_id", text="regexp_replace(html, '<[^>]*>', ' ', 'g')") + " SELECT a, b, shared, jaccard FROM p WHERE jaccard > 0.3",
