@@ -355,3 +355,14 @@ def test_queries_read_the_documents_table(spark, name):
     from neardup import catalog
 
     assert _documents_read(catalog.queries()[name](spark, "/root/testdata/sf0.001"))
+
+
+def test_a_sweep_gives_what_each_threshold_gives(spark):
+    base = spark.createDataFrame([(i, " ".join(f"d{i}w{k}" for k in range(60))) for i in range(4)], "doc_id bigint, text string")
+    made = materialize(synth.inject(base, 30, 0.0, 0.2).select("doc_id", "text"), "made")
+    cfg = DedupConfig(n=3)
+    bands, grams = materialize(banding.bands(made, cfg), "bands"), materialize(text.grams_of(made, cfg, hashed=True), "grams")
+    swept = cluster.bounded_sweep(bands, grams, (0.6, 0.8), 0.4)
+    for edge in (0.6, 0.8):
+        want = rows(cluster.bounded_clusters(bands, grams, edge, 0.4, edges_only=False))
+        assert rows(swept.where(F.col("edge") == edge).drop("edge")) == want and want
