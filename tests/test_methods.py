@@ -1,5 +1,7 @@
 import collections
+import hashlib
 import random
+import re
 
 import pytest
 from pyspark.sql import functions as F
@@ -366,3 +368,22 @@ def test_a_sweep_gives_what_each_threshold_gives(spark):
     for edge in (0.6, 0.8):
         want = rows(cluster.bounded_clusters(bands, grams, edge, 0.4, edges_only=False))
         assert rows(swept.where(F.col("edge") == edge).drop("edge")) == want and want
+
+
+def test_orders_are_ranked_without_a_row_for_each_gram(spark):
+    """Ranks against a plain sort, with copies in several tasks, equal and null ids; what is shuffled has few rows for many grams."""
+    r = random.Random(8)
+    texts = [" ".join(f"w{r.randrange(40)}" for _ in range(r.randrange(0, 300))) for _ in range(30)]
+    data = [(i, t) for i, t in enumerate(texts)] + [(i + 30, t) for i, t in enumerate(texts[:15])] + [(3, "One, two"), (None, texts[4]), (99, None)]
+    df = spark.createDataFrame(data, "doc_id bigint, text string").repartition(4)
+    made = lambda t: {" ".join(w[i : i + 8]) for i in range(max(1, len(w) - 7))} if (w := re.findall(r"\w+", (t or "").lower())) else set()
+    every, want = set().union(*(made(t) for _, t in data)), {}
+    for slot in (0, 1):
+        rank = {g: k for k, g in enumerate(sorted(every, key=lambda g: hashlib.md5(f"42:{slot}:{g}".encode()).hexdigest()), 1)}
+        for d, t in data:
+            if g := made(t):
+                want[d, slot] = min(want.get((d, slot), len(every)), min(rank[x] for x in g))
+    assert {(x.doc_id, x.slot): x.h for x in signature.minhash_permutation(df, 2).collect()} == want
+    sent = df.select("doc_id", F.expr("array_join(split(lower(text), '[^a-z0-9]+'), ' ')")).mapInArrow(signature._order_keys(b"42:0:", 8), "bucket int, doc_id bigint, own bigint, keys binary")
+    packed = sent.where("keys IS NOT NULL").agg(F.count("*").alias("rows"), F.sum(F.length("keys") / 8).alias("keys")).first()
+    assert len(every) <= packed["keys"] <= sum(len(made(t)) for _, t in data) and sent.where("keys IS NULL").count() <= len(data)
