@@ -42,6 +42,35 @@ def simhash(hashes: np.ndarray) -> int:
     return int(((2 * votes > len(hashes)).astype(np.uint64) << _BITS).sum(dtype=np.uint64))
 
 
+#: Votes of so many places at most are held at once.
+REACH = 1 << 14
+
+
+class Prints:
+    """Fingerprints of the windows of one document, from running sums of the votes of its shingles; each is what simhash() gives."""
+
+    def __init__(self, bag: np.ndarray, longest: int, last: int):
+        """longest: of all windows; last: the last place that a window may end at."""
+        self.bag, self.longest, self.last = bag, longest, min(last, len(bag))
+        self.low, self.sums = 0, np.zeros((1, 64), np.int32)
+
+    def of(self, starts: np.ndarray, size: int) -> np.ndarray:
+        """starts in rising order."""
+        out = []
+        while len(starts):
+            at = int(starts[0])
+            if at < self.low or at + size > self.low + len(self.sums) - 1:
+                self.low = max(0, at - self.longest)
+                own = self.bag[self.low : max(at + size, min(self.last, self.low + REACH))]
+                self.sums = np.zeros((len(own) + 1, 64), np.int32)
+                np.cumsum((mix(own)[:, None] >> _BITS) & np.uint64(1), axis=0, out=self.sums[1:])
+            held = int(np.searchsorted(starts, self.low + len(self.sums) - 1 - size, side="right"))
+            x, starts = starts[:held] - self.low, starts[held:]
+            votes = self.sums[x + size] - self.sums[x]
+            out.append(np.packbits(2 * votes > size, axis=1, bitorder="little").view("<u8").ravel().astype(np.uint64))
+        return np.concatenate(out)
+
+
 class HammingIndex:
     """All fingerprints within a radius, by blocks of bits that are looked up within radius // blocks."""
 
@@ -52,23 +81,56 @@ class HammingIndex:
         self.values = [((self.prints >> np.uint64(lo)) & np.uint64(mask)).astype(np.uint32) for lo, mask in self.blocks]
         #: For each block the prints near a value of it, made when the value is first asked for: at most a table of all values.
         self.tables: list[dict[int, np.ndarray]] = [{} for _ in self.blocks]
+        self.held = 0
 
     def candidates(self, print_: int) -> np.ndarray:
         """The prints that a block brings up."""
         found = []
         for (lo, mask), values, table in zip(self.blocks, self.values, self.tables, strict=True):
-            own = (print_ >> lo) & mask
-            if own not in table:
-                table[own] = np.flatnonzero(np.bitwise_count(values ^ np.uint32(own)) <= self.block_radius)
-            found.append(table[own])
+            found.append(self._near_value(values, table, (print_ >> lo) & mask))
         return np.unique(np.concatenate(found))
 
+    def _near_value(self, values: np.ndarray, table: dict[int, np.ndarray], own: int) -> np.ndarray:
+        if own not in table:
+            if self.held > MOST_HELD:
+                for t in self.tables:
+                    t.clear()
+                self.held = 0
+            table[own] = np.flatnonzero(np.bitwise_count(values ^ np.uint32(own)) <= self.block_radius)
+            self.held += len(table[own])
+        return table[own]
+
+    def near_all(self, prints: np.ndarray, only: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(k, i): print k of many and index print i within the radius, in order; of index prints those where only is True."""
+        own, back = np.unique(prints, return_inverse=True)
+        step, ks, found = max(1, AT_ONCE // max(1, len(self.prints))), [], []
+        for a in range(0, len(own), step):
+            some = own[a : a + step]
+            hit = np.zeros((len(some), len(self.prints)), bool)
+            for (lo, mask), values, table in zip(self.blocks, self.values, self.tables, strict=True):
+                for r, v in enumerate(((some >> np.uint64(lo)) & np.uint64(mask)).tolist()):
+                    hit[r, self._near_value(values, table, v)] = True
+            k, i = np.nonzero(hit & only)
+            within = np.bitwise_count(self.prints[i] ^ some[k]) <= self.radius
+            ks.append(k[within] + a)
+            found.append(i[within])
+        k, i = np.concatenate(ks), np.concatenate(found)
+        # Each print stands for all windows that have it.
+        begin, n = np.searchsorted(k, back), np.searchsorted(k, back, side="right")
+        n -= begin
+        rows = np.repeat(begin - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        return np.repeat(np.arange(len(prints)), n), i[rows]
+
     def near(self, print_: int) -> list[int]:
         """The prints within the radius."""
         found = self.candidates(print_)
         return found[np.bitwise_count(self.prints[found] ^ np.uint64(print_)) <= self.radius].tolist()
 
 
+#: Entries of an index's tables, and print pairs that are looked at together.
+MOST_HELD, AT_ONCE = 1 << 24, 1 << 22
+
+
 def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> tuple[int, int]:
     """Shared and total weight of two bags of shingles."""
     x, nx = np.unique(a, return_counts=True)
@@ -103,8 +165,8 @@ class Items:
         k = np.minimum(np.searchsorted(self.keys, hashes[p]), len(self.keys) - 1)
         return p[self.keys[k] == hashes[p]]
 
-    def windows(self, n: int, p: np.ndarray) -> Iterator[tuple[int, int]]:
-        """(start, size) of the item-sized windows of a document of n shingles that some item may be like; p as from places."""
+    def windows(self, n: int, p: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """(size, starts) of the item-sized windows of a document of n shingles that some item may be like; p as from places."""
         for size, least in zip(*self._needs(min(n, self.longest)), strict=True):
             if least > len(p):
                 continue
@@ -115,8 +177,8 @@ class Items:
             first, last = int(p[near[0] + least - 1]) - size + 1, int(p[near[-1]])
             starts = np.arange(max(0, first), min(last, n - size) + 1)
             held = np.searchsorted(p, starts + size) - np.searchsorted(p, starts)
-            for s in starts[held >= least].tolist():
-                yield s, size
+            if (held >= least).any():
+                yield size, starts[held >= least]
 
     def _needs(self, n: int) -> tuple[list[int], list[int]]:
         """Sizes of windows of a document of n shingles, and how many of a window's shingles some item must have; longer items than the document need more."""
@@ -130,14 +192,24 @@ class Items:
     def matches(self, bag: np.ndarray, p: np.ndarray) -> list[tuple[int, int, int, float]]:
         """Best window (item, start, size, similarity) of each item that a document holds; p as from places."""
         best: dict[int, tuple[int, int, float]] = {}
-        for s, size in self.windows(len(bag), p):
-            own = bag[s : s + size]
-            for i in self.index.near(simhash(own)):
-                if min(len(self.bags[i]), len(bag)) != size:
-                    continue
-                shared, total = weighted_jaccard(own, self.bags[i])
-                if 10 * shared >= 8 * total and shared / total > best.get(i, (0, 0, 0.0))[2]:
-                    best[i] = (s, size, shared / total)
+        of_item: dict[int, np.ndarray] = {}
+        prints = Prints(bag, self.longest, int(p.max(initial=0)) + self.longest)
+        sizes = np.minimum(self.sizes, len(bag))
+        for size, starts in self.windows(len(bag), p):
+            k, found = self.index.near_all(prints.of(starts, size), sizes == size)
+            for i in np.unique(found).tolist():
+                own = starts[k[found == i]]
+                if i not in of_item:
+                    of_item[i] = p[np.isin(bag[p], self.bags[i])]
+                # A window shares no more with an item than it has places with shingles of it; most windows end here.
+                most = np.searchsorted(of_item[i], own + size) - np.searchsorted(of_item[i], own)
+                both = size + len(self.bags[i])
+                for s, m in zip(own.tolist(), np.minimum(most, len(self.bags[i])).tolist(), strict=True):
+                    if 10 * m < 8 * (both - m) or m / (both - m) <= best.get(i, (0, 0, 0.0))[2]:
+                        continue
+                    shared, total = weighted_jaccard(bag[s : s + size], self.bags[i])
+                    if 10 * shared >= 8 * total and shared / total > best.get(i, (0, 0, 0.0))[2]:
+                        best[i] = (s, size, shared / total)
         return [(i, *x) for i, x in sorted(best.items())]
 
 

@@ -619,6 +619,24 @@ def test_fingerprints_of_like_windows_are_within_the_radius():
     assert missed <= 6
 
 
+def test_fingerprints_of_many_windows_are_those_of_each(monkeypatch):
+    """Running sums and batches of lookups, in parts, against one window after the other."""
+    monkeypatch.setattr(decontaminate, "REACH", 64)
+    monkeypatch.setattr(decontaminate, "AT_ONCE", 500)
+    monkeypatch.setattr(decontaminate, "MOST_HELD", 300)
+    r = np.random.default_rng(4)
+    bag = r.integers(0, 2**63, 400).astype(np.uint64)
+    bags = [bag[k : k + 12].copy() for k in range(0, 380, 9)] + [bag[5:17]]
+    index, prints, only = decontaminate.HammingIndex([decontaminate.simhash(b) for b in bags]), decontaminate.Prints(bag, 70, 390), np.arange(len(bags)) % 3 != 1
+    for size in (1, 12, 70):
+        starts = np.flatnonzero(r.random(390 - size + 1) < 0.4)
+        got = prints.of(starts, size)
+        assert got.tolist() == [decontaminate.simhash(bag[s : s + size]) for s in starts]
+        k, i = index.near_all(np.append(got, got[:5]), only)
+        want = [(n, j) for n, x in enumerate([*got.tolist(), *got[:5].tolist()]) for j in index.near(x) if only[j]]
+        assert list(zip(k.tolist(), i.tolist(), strict=True)) == want and want
+
+
 def test_items_that_share_shingles_are_told_apart_by_fingerprints(spark):
     """Items with a common half, copies of items, long texts and repeated rows, against every window of every document."""
     half = words_of(30, 1)
