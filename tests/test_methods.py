@@ -387,3 +387,31 @@ def test_orders_are_ranked_without_a_row_for_each_gram(spark):
     sent = df.select("doc_id", F.expr("array_join(split(lower(text), '[^a-z0-9]+'), ' ')")).mapInArrow(signature._order_keys(b"42:0:", 8), "bucket int, doc_id bigint, own bigint, keys binary")
     packed = sent.where("keys IS NOT NULL").agg(F.count("*").alias("rows"), F.sum(F.length("keys") / 8).alias("keys")).first()
     assert len(every) <= packed["keys"] <= sum(len(made(t)) for _, t in data) and sent.where("keys IS NULL").count() <= len(data)
+
+
+def test_pairs_scored_in_blocks_and_counted_inside_clusters(spark):
+    """Blocks of few documents against the joins that fetch both sets of each pair; the experiment's comparisons against one run over all buckets."""
+    from neardup.operators import baseline, forest
+
+    base = spark.createDataFrame([(i, " ".join(f"d{i // 2}w{k}" for k in range(40)) + f" own{i}") for i in range(8)], "doc_id bigint, text string")
+    made = materialize(synth.inject(base, 40, 0.0, 0.3).select("doc_id", "text"), "made")
+    cfg = DedupConfig(n=3)
+    bands, grams = materialize(banding.bands(made, cfg), "bands"), materialize(text.grams_of(made, cfg, hashed=True), "grams")
+    pairs = candidates.banded(bands)
+    edges = materialize(verify.scored_near(pairs, grams, together=5), "edges")
+    assert rows(edges) == rows(verify.scored(pairs, grams)) and not edges.isEmpty()
+    assert verify.scored_near(pairs.limit(0), grams).isEmpty()
+    groups = graph.components(edges).select(F.col("id").alias("doc_id"), F.col("component").alias("cluster_id"))
+    want = metrics.pair_categories(metrics.all_inside(groups, grams), groups, 0.75, 0.4).select("same_high", "same_mid", "same_low")
+    assert rows(metrics.inside_categories(groups, grams, 0.75, 0.4, together=5)) == rows(want) and sum(want.first()) > edges.count() / 2
+    assert rows(cluster.bounded_clusters(bands, grams, scores=edges)) == rows(cluster.bounded_clusters(bands, grams))
+    lists = collections.defaultdict(list)
+    for x in bands.orderBy("band_id", F.col("value").cast("string"), "doc_id").collect():
+        lists[x.band_id, str(x.value)].append(x.doc_id)
+    known = {(x.a, x.b): x.jaccard for x in edges.collect()}
+    sets_of = {x.doc_id: set(x.grams) for x in grams.collect()}
+    sim = lambda x, y: known.setdefault((x, y) if x < y else (y, x), len(sets_of[x] & sets_of[y]) / len(sets_of[x] | sets_of[y]))
+    candidates_, tried = len(known), set()
+    forest.fold_buckets([m for m in lists.values() if len(m) > 1], lambda x, y: (tried.add((min(x, y), max(x, y))), sim(x, y))[1], 0.75, 0.4)
+    row = baseline.forest_speedup(spark, grams, bands, edges).first()
+    assert (row.pairs, row.forest_pairs) == (candidates_, len(tried))
