@@ -17,6 +17,7 @@ from neardup.io import spread_documents as documents
 from neardup.operators import candidates, store, verify
 from neardup.operators.banding import bands
 from neardup.operators.forest import fold_buckets
+from neardup.operators.graph import components
 from neardup.plans.pipeline import stored_bands
 from neardup.session import materialize, scratch_path
 
@@ -91,14 +92,18 @@ def times_by_words(spark: SparkSession, d: str) -> DataFrame:
 
 
 def forest_speedup(spark: SparkSession, grams: DataFrame, bands: DataFrame, edges: DataFrame, edge: float = 0.75, tree: float = 0.40) -> DataFrame:
-    """One row: comparisons and seconds of one worker that checks all candidate pairs, and of one that folds the buckets into a bounded forest.
+    """One row: comparisons and seconds of workers that check all candidate pairs, and of those that fold the buckets into a bounded forest.
 
-    Both work through the same buckets of the experiment in one task, on sets in memory; a pair that has been compared is not
-    compared again by either.
+    Both work through the same buckets of a component of candidate pairs in one task, on sets in memory; a pair that has been compared is not
+    compared again by either. Components share no bucket, so comparisons are those of one run over all; seconds are sums over the components.
     """
 
     def both(rows: pd.DataFrame, sets: pd.DataFrame) -> pd.DataFrame:
-        own = {x: np.unique(g) for x, g in zip(sets.doc_id, sets.grams, strict=True)}
+        whole = {x: np.unique(g) for x, g in zip(sets.doc_id, sets.grams, strict=True)}
+        size = {x: len(g) for x, g in whole.items()}
+        values, counts = np.unique(np.concatenate(list(whole.values())), return_counts=True)
+        common = values[counts > 1]  # grams of one document alone are never shared
+        own = {x: np.intersect1d(g, common, assume_unique=True) for x, g in whole.items()}
         lists = [g.doc_id.tolist() for _, g in rows.sort_values(["band_id", "value", "doc_id"]).groupby(["band_id", "value"], sort=False)]
         lists = [x for x in lists if len(x) > 1]
         made = [0]
@@ -111,21 +116,27 @@ def forest_speedup(spark: SparkSession, grams: DataFrame, bands: DataFrame, edge
                 if key not in known:
                     made[0] += 1
                     shared = len(np.intersect1d(own[x], own[y], assume_unique=True))
-                    known[key] = shared / max(1, len(own[x]) + len(own[y]) - shared)
+                    known[key] = shared / max(1, size[x] + size[y] - shared)
                 return known[key]
 
             return sim
 
-        sim = similarity()
-        plain = timed(lambda: [sim(x, y) for m in lists for i, x in enumerate(m) for y in m[i + 1 :]])
-        pairs, made[0] = made[0], 0
-        forest = timed(lambda: fold_buckets(lists, similarity(), edge, tree))
-        return pd.DataFrame([(pairs, made[0], plain, forest, plain / forest)], columns=["pairs", "forest_pairs", "seconds", "forest_seconds", "speedup"])
+        def check(sim) -> None:
+            for m in lists:
+                for i, x in enumerate(m):
+                    for y in m[i + 1 :]:
+                        sim(x, y)
 
-    key = F.lit(0).alias("key")  # the experiment's documents alone: one run in one task is what is measured
-    left = bands.select(key, "band_id", F.col("value").cast("string").alias("value"), "doc_id").join(edges.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "doc_id")
-    right = grams.join(left.select("doc_id").distinct(), "doc_id").select(key, "doc_id", "grams")
-    return left.groupBy("key").cogroup(right.groupBy("key")).applyInPandas(lambda x, y: both(x, y), "pairs bigint, forest_pairs bigint, seconds double, forest_seconds double, speedup double")
+        plain = timed(lambda: check(similarity()))
+        pairs, made[0] = made[0], 0
+        forest = timed(lambda: fold_buckets(lists, similarity(), edge, tree, keep=False))
+        return pd.DataFrame([(pairs, made[0], plain, forest)], columns=["pairs", "forest_pairs", "seconds", "forest_seconds"])
+
+    parts = components(edges).select(F.col("id").alias("doc_id"), F.col("component").alias("key"))
+    left = bands.select("band_id", F.col("value").cast("string").alias("value"), "doc_id").join(parts, "doc_id")
+    right = grams.join(parts, "doc_id").select(F.col("key").alias("part"), "doc_id", "grams")
+    done = left.groupBy("key").cogroup(right.groupBy("part")).applyInPandas(lambda x, y: both(x, y), "pairs bigint, forest_pairs bigint, seconds double, forest_seconds double")
+    return done.agg(*[F.sum(c).alias(c) for c in done.columns]).where("pairs IS NOT NULL").withColumn("speedup", F.col("seconds") / F.col("forest_seconds"))
 
 
 def flush_times(spark: SparkSession, d: str, per_slice: int = 50) -> DataFrame:
