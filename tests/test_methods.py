@@ -415,3 +415,27 @@ def test_pairs_scored_in_blocks_and_counted_inside_clusters(spark):
     forest.fold_buckets([m for m in lists.values() if len(m) > 1], lambda x, y: (tried.add((min(x, y), max(x, y))), sim(x, y))[1], 0.75, 0.4)
     row = baseline.forest_speedup(spark, grams, bands, edges).first()
     assert (row.pairs, row.forest_pairs) == (candidates_, len(tried))
+
+
+def test_changes_are_made_for_the_given_ids_alone_and_texts_parted_once(spark, tmp_path):
+    import numpy as np
+
+    from neardup.sources.synthetic import SyntheticChanges, _joined, id_runs
+    from neardup.workloads.relational import source_synthetic
+
+    data = [(7, "a b c"), (8, "one"), (9, ""), (9, "x y"), (5_000_000, None), (10**15, "p  q r s t u v"), (10**15 + 1, "k l"), (-4, "n m o")]
+    spark.createDataFrame(data, "doc_id bigint, text string").repartition(3).write.parquet(str(tmp_path / "documents.parquet"))
+    found = source_synthetic(spark, str(tmp_path))
+    want = []
+    for d, t in data:
+        ws = None if t is None else t.split(" ")
+        if ws:
+            ws[d % len(ws)] = "x" + hashlib.md5(f"change:{d}".encode()).hexdigest()[:6]
+        want += [(d, 0, t), (d, 1, ws and " ".join(ws))]
+    assert sorted(map(tuple, found.collect()), key=str) == sorted(want, key=str)
+    assert found._jdf.queryExecution().optimizedPlan().toString().count("split(") == 1
+    docs = spark.read.parquet(str(tmp_path / "documents.parquet"))
+    spark.dataSource.register(SyntheticChanges)
+    made = spark.read.format("synthetic_changes").option("runs", id_runs(docs)).option("partitions", "3").load()
+    assert sorted(x.doc_id for x in made.collect()) == sorted({d for d, _ in data})
+    assert _joined(np.array([[5, 9], [1, 4], [9, 12], [20, 20]])).tolist() == [[1, 12], [20, 20]]
