@@ -439,3 +439,36 @@ def test_changes_are_made_for_the_given_ids_alone_and_texts_parted_once(spark, t
     made = spark.read.format("synthetic_changes").option("runs", id_runs(docs)).option("partitions", "3").load()
     assert sorted(x.doc_id for x in made.collect()) == sorted({d for d, _ in data})
     assert _joined(np.array([[5, 9], [1, 4], [9, 12], [20, 20]])).tolist() == [[1, 12], [20, 20]]
+
+
+def test_pairs_that_share_a_gram_are_counted_and_never_shuffled(spark, monkeypatch):
+    """Pairs and their numbers against a plain count, over one block of documents and many; no plan joins or deals rows of pairs."""
+    from neardup.operators import tuning
+
+    r = random.Random(3)
+    sets = {d * 7: {r.randrange(40) for _ in range(r.randrange(0, 9))} for d in range(60)}
+    sets |= {1000 + i: {500, 501, *range(600, 600 + i % 4)} for i in range(30)}
+    rows = spark.createDataFrame([(d, sorted(s)) for d, s in sets.items()] + [(None, [500])], "doc_id bigint, grams array<bigint>").repartition(3)
+    want = _plain_similar(sets, 0.0)
+    for places, held in ((4_000_000, 500_000), (25, 3)):
+        monkeypatch.setattr(verify, "PLACES", places)
+        monkeypatch.setattr(verify, "PAIRS_HELD", held)
+        pairs, numbers = verify.shared_gram_pairs(rows), verify.shared_gram_pairs(rows, counted=True)
+        plan = pairs._jdf.queryExecution().optimizedPlan().toString()
+        assert "MapInArrow" in plan and not re.search("Join|Aggregate|Repartition", plan)
+        assert {(x.a, x.b): (x.shared, x.jaccard) for x in pairs.collect()} == want and pairs.count() == len(want)
+        assert {(x.shared, x.jaccard): x.n for x in numbers.groupBy("shared", "jaccard").agg(F.sum("n").alias("n")).collect()} == collections.Counter(want.values())
+        assert tuning.expected(numbers, [(5, 2)], [0.3]).collect() == tuning.expected(pairs, [(5, 2)], [0.3]).collect()
+    assert verify.shared_gram_pairs(rows.limit(0)).isEmpty() and verify.shared_gram_pairs(rows.limit(0), counted=True).isEmpty()
+
+
+def test_sets_made_in_batches_are_those_of_the_built_in_functions(spark):
+    r = random.Random(4)
+    texts = [" ".join(r.choice(("Ä", "b", "c1", "", "d-e")) for _ in range(k)) for k in range(40)] + [None, "  ", "x " * 30]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
+    for n in (1, 3, 8):
+        for short in ("whole", "drop", "pad"):
+            cfg = DedupConfig(n=n, short_doc=short)
+            got = {x.doc_id: x.grams for x in text.gram_sets(df, cfg).collect()}
+            assert got == {x.doc_id: sorted(x.grams) for x in text.grams_of(df, cfg, hashed=True).collect()} and len(got) == len(texts)
+    assert text.gram_sets(df.limit(0), DedupConfig()).isEmpty()
