@@ -10,13 +10,13 @@ from neardup.operators.candidates import banded
 
 
 def expected(pairs: DataFrame, grid: list[tuple[int, int]], thresholds: list[float]) -> DataFrame:
-    """(t, b, r, candidates, false_candidates, misses): expected counts over scored pairs, by the curve."""
+    """(t, b, r, candidates, false_candidates, misses): expected counts over scored pairs, by the curve; pairs may have a column n with how many a row stands for."""
     spark = pairs.sparkSession
     configs = spark.createDataFrame([(t, b, r) for t in thresholds for b, r in grid], "t double, n_bands int, n_rows int")
     p = candidate_probability(F.col("jaccard"), F.col("n_bands"), F.col("n_rows"))
     true = F.col("jaccard") > F.col("t")
     # Pairs of equal similarity count as one row with their number.
-    rows = pairs.groupBy("jaccard").agg(F.count("*").alias("n")).crossJoin(F.broadcast(configs))  # a few dozen settings
+    rows = pairs.groupBy("jaccard").agg((F.sum("n") if "n" in pairs.columns else F.count("*")).alias("n")).crossJoin(F.broadcast(configs))  # a few dozen settings
     n = F.col("n")
     return rows.groupBy("t", F.col("n_bands").alias("b"), F.col("n_rows").alias("r")).agg(F.round(F.sum(n * p), 6).alias("candidates"), F.round(F.sum(F.when(true, 0.0).otherwise(n * p)), 6).alias("false_candidates"), F.round(F.sum(F.when(true, n * (1 - p)).otherwise(0.0)), 6).alias("misses"))
 
