@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from neardup.functions.sets import candidate_probability
 from neardup.operators.candidates import banded
+from neardup.operators.verify import first_bands
+from neardup.session import materialize
 
 
 def expected(pairs: DataFrame, grid: list[tuple[int, int]], thresholds: list[float]) -> DataFrame:
@@ -24,16 +26,17 @@ def expected(pairs: DataFrame, grid: list[tuple[int, int]], thresholds: list[flo
 def measured(bands: DataFrame, bs: list[int], r: int, truth: DataFrame, thresholds: list[float]) -> DataFrame:
     """(t, b, r, candidates, false_candidates, misses) of the first b bands, for each b: larger b only adds candidates.
 
-    The lowest band in which a pair agrees tells from which b on it is a candidate, so all b come from one join.
+    The lowest band in which a pair agrees tells from which b on it is a candidate, so all b come from one count; only true pairs become rows.
     """
-    left, right = bands.select("band_id", "value", F.col("doc_id").alias("a")), bands.select("band_id", "value", F.col("doc_id").alias("b"))
-    first = left.join(right, ["band_id", "value"]).where("a < b").groupBy("a", "b").agg(F.min("band_id").alias("first"))
     spark = bands.sparkSession
-    configs = spark.createDataFrame([(t, b) for t in thresholds for b in bs], "t double, n_bands int")
-    both = first.join(truth.select("a", "b", "jaccard"), ["a", "b"], "full").crossJoin(F.broadcast(configs))  # a few dozen settings
-    cand = F.col("first") < F.col("n_bands")
-    true = F.coalesce("jaccard", F.lit(0.0)) > F.col("t")
-    return both.groupBy("t", "n_bands").agg(F.count(F.when(cand, 1)).alias("candidates"), F.count(F.when(cand & ~true, 1)).alias("false_candidates"), F.count(F.when(true & ~F.coalesce(cand, F.lit(False)), 1)).alias("misses")).select("t", F.col("n_bands").alias("b"), F.lit(r).alias("r"), "candidates", "false_candidates", "misses")
+    configs = F.broadcast(spark.createDataFrame([(t, b) for t in thresholds for b in bs], "t double, n_bands int"))  # a few dozen settings
+    found = materialize(first_bands(bands, truth), "first")
+    true = truth.select("a", "b", "jaccard").join(found.where("n = 0").select("a", "b", "first"), ["a", "b"], "left").groupBy("jaccard", "first").agg(F.count("*").alias("n"))
+    rows = found.where("n > 0").select(F.lit(None).cast("double").alias("jaccard"), "first", "n").unionByName(true).crossJoin(configs)
+    cand, above = F.coalesce(F.col("first") < F.col("n_bands"), F.lit(False)), F.col("jaccard") > F.col("t")
+    total = lambda c: F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0))
+    every = rows.groupBy("t", "n_bands").agg(total(cand & F.col("jaccard").isNull()).alias("candidates"), total(cand & above).alias("hits"), total(~cand & above).alias("misses"))
+    return every.select("t", F.col("n_bands").alias("b"), F.lit(r).alias("r"), "candidates", (F.col("candidates") - F.col("hits")).alias("false_candidates"), "misses")
 
 
 def choose_bands(grid: DataFrame, most_misses: float = 0) -> DataFrame:

@@ -472,3 +472,41 @@ def test_sets_made_in_batches_are_those_of_the_built_in_functions(spark):
             got = {x.doc_id: x.grams for x in text.gram_sets(df, cfg).collect()}
             assert got == {x.doc_id: sorted(x.grams) for x in text.grams_of(df, cfg, hashed=True).collect()} and len(got) == len(texts)
     assert text.gram_sets(df.limit(0), DedupConfig()).isEmpty()
+
+
+def test_candidates_are_counted_by_their_lowest_band(spark, monkeypatch):
+    """The measured grid against a plain count, over one block of documents and many; only true pairs become rows."""
+    from neardup.operators import tuning
+
+    r = random.Random(6)
+    values = {3 * d: [r.randrange(6) + 10 * (r.random() < 0.7) * d for _ in range(4)] for d in range(50)} | {500 + d: [1, 2, 3, 4] for d in range(20)}
+    bands = spark.createDataFrame([(d, k, v) for d, vs in values.items() for k, v in enumerate(vs)] + [(None, 0, 1)], "doc_id bigint, band_id int, value bigint").repartition(3)
+    ids = sorted(values)
+    first = {(a, b): f for i, a in enumerate(ids) for b in ids[i + 1 :] if (f := min((k for k in range(4) if values[a][k] == values[b][k]), default=None)) is not None}
+    every = [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :]]
+    true = {p: r.choice((0.25, 0.35, 0.9)) for p in r.sample(every, 300)}
+    truth = spark.createDataFrame([(*p, j) for p, j in true.items()], "a bigint, b bigint, jaccard double")
+    for places in (4_000_000, 20):
+        monkeypatch.setattr(verify, "PLACES", places)
+        found = verify.first_bands(bands, truth).collect()
+        assert {(x.a, x.b): x.first for x in found if not x.n} == {p: f for p, f in first.items() if p in true}
+        assert sum((collections.Counter({x.first: x.n}) for x in found if x.n), collections.Counter()) == collections.Counter(first.values())
+        for x in tuning.measured(bands, [1, 2, 4], 2, truth, [0.2, 0.3]).collect():
+            cand = {p for p, f in first.items() if f < x.b}
+            good = {p for p, j in true.items() if j > x.t}
+            assert (x.r, x.candidates, x.false_candidates, x.misses) == (2, len(cand), len(cand - good), len(good - cand))
+    assert tuning.measured(bands.limit(0), [1], 2, truth.limit(0), [0.2]).isEmpty()
+
+
+def test_copies_are_drawn_without_moving_all_texts(spark, monkeypatch):
+    from neardup.operators import ranks
+
+    written = []
+    monkeypatch.setattr(ranks, "materialize", lambda df, name: written.append(df.columns) or materialize(df, name))
+    df = spark.createDataFrame([(i * 5, f"t{i} a b c d e") for i in range(40)], "doc_id bigint, text string")
+    for pool in (None, 4):
+        made = synth.inject(df, 12, 0.0, 0.2, pool=pool)
+        assert made.count() == 52 and made.where("doc_id > 195").select("doc_id").distinct().count() == 12
+        assert all(x.text.split()[0][0] in "tx" for x in made.collect())
+        assert "Exchange" not in made._jdf.queryExecution().executedPlan().toString()
+    assert written and all("text" not in c for c in written)
