@@ -3,6 +3,7 @@ import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -510,3 +511,25 @@ def test_copies_are_drawn_without_moving_all_texts(spark, monkeypatch):
         assert all(x.text.split()[0][0] in "tx" for x in made.collect())
         assert "Exchange" not in made._jdf.queryExecution().executedPlan().toString()
     assert written and all("text" not in c for c in written)
+
+
+def test_similarities_of_a_component_are_counted_in_bulk(spark, monkeypatch):
+    """The forest from counts at once against one similarity after the other, also where few counts are kept; a sweep without compared pairs."""
+    from neardup.operators.forest import fold_buckets
+
+    r = random.Random(7)
+    base = list(range(60))
+    sets_ = [np.array(sorted({x if r.random() < 0.9 else r.randrange(1000) for x in base}), np.int64) for _ in range(40)] + [np.zeros(0, np.int64)]
+    one_by_one = cluster._similarity(dict(enumerate(sets_)))
+    lists = [sorted(r.sample(range(41), r.randrange(2, 12))) for _ in range(60)]
+    for held in (cluster.COUNTS_HELD, 1):
+        monkeypatch.setattr(cluster, "COUNTS_HELD", held)
+        for edge in (0.5, 0.7):
+            want, got = (fold_buckets(lists, sim, edge, 0.4) for sim in (one_by_one, cluster.Likeness(sets_)))
+            assert got[1] == want[1] and (got[0].parent, got[0].bound) == (want[0].parent, want[0].bound) and want[0].bound
+            assert fold_buckets(lists, cluster.Likeness(sets_), edge, 0.4, keep=False)[1] == []
+    docs = spark.createDataFrame([(i, " ".join(f"w{k}" for k in range(i, i + 60))) for i in range(0, 30, 2)], "doc_id bigint, text string")
+    cfg = DedupConfig(n=3)
+    bands, grams = materialize(banding.bands(docs, cfg), "bands"), materialize(text.gram_sets(docs, cfg), "grams")
+    full, lean = (cluster.bounded_sweep(bands, grams, (0.6, 0.8), 0.4, compared=c) for c in (True, False))
+    assert rows(lean) == rows(full.where("kind = 'member'")) and not full.where("kind = 'compared'").isEmpty()
